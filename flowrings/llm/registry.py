@@ -7,7 +7,9 @@ from importlib import import_module
 _OPERATORS = {
     "op2_exact_dedup": "exact_dedup",
     "op5_pii": "pii",
+    "op7_langid": "langid",
     "op8_bpe": "bpe",
+    "op9_toxicity": "toxicity",
     "op10_decontaminate": "decontaminate",
 }
 _MODULES = {name: import_module(f"flowrings.llm.{module}") for name, module in _OPERATORS.items()}
