@@ -5,7 +5,9 @@ from __future__ import annotations
 from importlib import import_module
 
 _OPERATORS = {
+    "op1_simhash": "simhash",
     "op2_exact_dedup": "exact_dedup",
+    "op3_line_dedup": "line_dedup",
     "op5_pii": "pii",
     "op7_langid": "langid",
     "op8_bpe": "bpe",
