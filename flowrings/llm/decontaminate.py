@@ -19,42 +19,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from flowrings.llm.arrow import byte_rows, documents_view
+from flowrings.llm.rolling import grams, sliding_min
 from flowrings.scratch import materialize
 
 # Bytes that end a word; A-Z become a-z; digits, letters and all bytes from 0x80 on are word bytes.
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
-_MIX, _END = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
-
-
 def word_hashes(raw: bytes) -> np.ndarray:
     words = raw.translate(_FOLD).split()
     return np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words))
 
 
-def grams(a: np.ndarray, k: int) -> np.ndarray:
-    """A 64-bit hash of each run of k word hashes."""
-    n = len(a) - k + 1
-    if n <= 0:
-        return np.empty(0, np.uint64)
-    out = np.zeros(n, np.uint64)
-    for i in range(k):
-        out *= _MIX
-        out += a[i : i + n]
-    out ^= out >> np.uint64(29)
-    out *= _END
-    out ^= out >> np.uint64(32)
-    return out
-
-
-def sliding_min(a: np.ndarray, w: int) -> np.ndarray:
-    n, step = len(a) - w + 1, 1
-    if n <= 0:
-        return a[:0]
-    while step * 2 <= w:
-        a, step = np.minimum(a[:-step], a[step:]), step * 2
-    return np.minimum(a[:n], a[w - step : w - step + n]) if step < w else a[:n]
-
-
 def shape(length: int, k: int) -> tuple[int, int]:
     """For windows of ``length`` words: words in a k-gram, k-grams in a window."""
     k = min(k, length)

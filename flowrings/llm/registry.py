@@ -8,7 +8,9 @@ _OPERATORS = {
     "op1_simhash": "simhash",
     "op2_exact_dedup": "exact_dedup",
     "op3_line_dedup": "line_dedup",
+    "op4_substring_dedup": "substring_dedup",
     "op5_pii": "pii",
+    "op6_url_filter": "url_filter",
     "op7_langid": "langid",
     "op8_bpe": "bpe",
     "op9_toxicity": "toxicity",
