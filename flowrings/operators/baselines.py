@@ -12,6 +12,7 @@ from flowrings.components import star_components
 from flowrings.functions.stats import standardise
 from flowrings.operators.louvain import detect_communities
 from flowrings.params import LouvainParams
+from flowrings.scratch import materialize
 
 
 def serial_plain(edges: DataFrame) -> DataFrame:
@@ -123,8 +124,9 @@ def clique_percolation(edges: DataFrame, k: int = 3) -> DataFrame:
     at a hub.  Vertices in no clique belong to no group.
     """
     pairs = edges.filter("src <> dst").select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).distinct()
+    pairs = materialize(pairs, "pairs")
     if k == 2:
-        return star_components(pairs, "a", "b").withColumnRenamed("root", "comm")
+        return star_components(pairs, "a", "b", local_edges=200_000).withColumnRenamed("root", "comm")
     if k != 3:
         raise ValueError("k is 2 or 3")
     degree = pairs.select(F.explode(F.array("a", "b")).alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("deg"))
@@ -134,10 +136,10 @@ def clique_percolation(edges: DataFrame, k: int = 3) -> DataFrame:
     wedges = out.join(out.withColumnRenamed("y", "z"), "x").filter("y < z")
     closed = wedges.join(pairs, (F.col("y") == F.col("a")) & (F.col("z") == F.col("b")))
     nodes = F.array_sort(F.array("x", "y", "z"))
-    triangles = closed.select(nodes.alias("t")).distinct().select("t", F.xxhash64("t").alias("id"))
+    triangles = materialize(closed.select(nodes.alias("t")).distinct().select("t", F.xxhash64("t").alias("id")), "triangles")
     sides = triangles.select("id", F.explode(F.array(*(F.xxhash64(F.col("t")[i], F.col("t")[j]) for i, j in ((0, 1), (0, 2), (1, 2))))).alias("side"))
     least = sides.groupBy("side").agg(F.min("id").alias("root"))
-    joined = star_components(sides.join(least, "side").select("id", "root"), "id", "root")
+    joined = star_components(sides.join(least, "side").select("id", "root"), "id", "root", local_edges=200_000)
     members = triangles.join(joined.withColumnRenamed("v", "id"), "id").select("root", F.explode("t").alias("v")).distinct()
     names = members.groupBy("root").agg(F.min("v").alias("comm"), F.count(F.lit(1)).alias("size"))
     return members.join(names, "root").select("v", "comm", F.col("root").alias("group"))

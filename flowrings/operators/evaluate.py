@@ -86,7 +86,7 @@ def time_coherence(edges: DataFrame, labels: DataFrame) -> DataFrame:
 def structure_coherence(edges: DataFrame, labels: DataFrame, weight: str = "w_b") -> DataFrame:
     """One row: communities, how many are connected inside, and the share of weight that is inner."""
     inner = inside(edges.select("src", "dst", weight), labels)
-    roots = star_components(inner)
+    roots = star_components(inner, local_edges=200_000)
     parts = labels.join(roots, "v", "left").groupBy("comm").agg(F.countDistinct(F.coalesce("root", "v")).alias("parts"))
     weights = inner.agg(F.coalesce(F.sum(weight), F.lit(0.0)).alias("inner")).crossJoin(edges.agg(F.sum(weight).alias("all")))
     return parts.agg(F.count(F.lit(1)).alias("communities"), F.count_if(F.col("parts") == 1).alias("connected")).crossJoin(weights).select("communities", "connected", (F.col("inner") / F.col("all")).alias("inner_share"))

@@ -68,10 +68,10 @@ def drop_isolated_edges(edges: DataFrame, isolation: str = "edge") -> DataFrame:
     return marked.filter("__src IS NULL OR __dst IS NULL").select(edges.columns)
 
 
-def connected_components(edges: DataFrame, method: str = "star") -> DataFrame:
+def connected_components(edges: DataFrame, method: str = "star", local_edges: int = 200_000) -> DataFrame:
     """(v, mcs): the least vertex id of the component, by star contraction or by plain label spreading."""
     if method == "star":
-        return star_components(edges).withColumnRenamed("root", "mcs")
+        return star_components(edges, local_edges=local_edges).withColumnRenamed("root", "mcs")
     links = edges.select("src", "dst").union(edges.select("dst", "src")).toDF("v", "u").distinct()
     links = materialize(links, "links")
     labels = materialize(links.select("v").distinct().withColumn("mcs", F.col("v")), "labels")

@@ -19,7 +19,7 @@ from flowrings.operators.compress import carried_sums, compress
 from flowrings.operators.graph import connected_components, with_component
 from flowrings.operators.kernel import EPS, serial_louvain
 from flowrings.operators.modularity import Prepared, prepare
-from flowrings.operators.repairs import crossed_moves, follow_moves, undo_swaps
+from flowrings.operators.repairs import follow_moves, mark_crossed, undo_swaps
 from flowrings.params import LouvainParams
 from flowrings.scratch import materialize
 
@@ -36,8 +36,8 @@ def singletons(state: DataFrame) -> DataFrame:
 
 
 def community_totals(state: DataFrame) -> DataFrame:
-    """(comm, X, Y) over all members."""
-    return state.groupBy("comm").agg(F.sum("x").alias("X"), F.sum("y").alias("Y"))
+    """(comm, sum_x, sum_y) over all members."""
+    return state.groupBy("comm").agg(F.sum("x").alias("sum_x"), F.sum("y").alias("sum_y"))
 
 
 def neighbour_info(edges: DataFrame, state: DataFrame) -> DataFrame:
@@ -67,7 +67,7 @@ def scores(prepared: Prepared, state: DataFrame, params: LouvainParams = Louvain
     here = F.col("cand") == F.col("mine")
     if theta_scope == "community":
         wide = wide.join(community_totals(state).withColumnRenamed("comm", "cand"), "cand")
-        big_x, big_y = F.col("X") - F.when(here, F.col("x")).otherwise(0.0), F.col("Y") - F.when(here, F.col("y")).otherwise(0.0)
+        big_x, big_y = F.col("sum_x") - F.when(here, F.col("x")).otherwise(0.0), F.col("sum_y") - F.when(here, F.col("y")).otherwise(0.0)
     else:
         big_x, big_y = F.col("nx"), F.col("ny")
     factor = 2.0 if params.gain == "exact" else 1.0
@@ -87,48 +87,62 @@ def parallel_round(prepared: Prepared, state: DataFrame, params: LouvainParams =
     return best.filter((F.col("best.score") > F.col("stay") + EPS) & (new != F.col("old"))).select("v", "old", new.alias("new"), (F.col("best.score") - F.col("stay")).alias("gain"))
 
 
-def _quality(prepared: Prepared, state: DataFrame, resolution: float) -> float:
-    """Q of the state; inner weight from the links (both directions) and the self edges."""
+def _quality(prepared: Prepared, state: DataFrame, resolution: float) -> tuple[float, int, int]:
+    """Q of the state, and how many vertices changed and how many of them followed an owner.
+
+    The inner weight comes from the links (both directions) and the self edges.
+    """
     label = lambda v: state.select(F.col("v").alias(v), F.col("comm").alias(f"c_{v}"))
     inner = prepared.links.join(label("v"), "v").join(label("u"), "u").filter("c_v = c_u").agg(F.coalesce(F.sum("a"), F.lit(0.0)).alias("inner"))
     loops = prepared.loops.agg(F.coalesce(2 * F.sum("w"), F.lit(0.0)).alias("loops"))
-    pen = community_totals(state).agg(F.coalesce(F.sum(F.col("X") * F.col("Y")), F.lit(0.0)).alias("pen"))
-    r = inner.crossJoin(loops).crossJoin(pen).first()
-    return (r["inner"] + r["loops"]) / prepared.two_m - resolution * r["pen"] / prepared.two_m**2
+    pen = community_totals(state).agg(F.coalesce(F.sum(F.col("sum_x") * F.col("sum_y")), F.lit(0.0)).alias("pen"))
+    counts = state.agg(F.count_if("changed").alias("changed"), F.count_if("followed").alias("followed"))
+    r = inner.crossJoin(loops).crossJoin(pen).crossJoin(counts).first()
+    return (r["inner"] + r["loops"]) / prepared.two_m - resolution * r["pen"] / prepared.two_m**2, r["changed"], r["followed"]
 
 
 def stage_one(prepared: Prepared, params: LouvainParams, log: RoundLog, level: int) -> DataFrame:
-    """Synchronous rounds until nothing moves or ``max_rounds``: (v, x, y, comm) of the best state seen."""
-    state = materialize(singletons(prepared.state), "state")
-    best, best_q, stale = state, _quality(prepared, state, params.resolution), 0
+    """Synchronous rounds until nothing moves or ``max_rounds``: (v, x, y, comm, ...) of the best state seen."""
+    still = {"changed": F.lit(False), "followed": F.lit(False)}
+    state = materialize(singletons(prepared.state).withColumns(still), "state")
+    best, best_q, stale = state, _quality(prepared, state, params.resolution)[0], 0
     for number in range(params.max_rounds):
-        moves = parallel_round(prepared, state, params)
+        moves = parallel_round(prepared, state, params).select("v", "old", "new")
         if params.damping:
             moves = moves.filter(F.pmod(F.xxhash64("v", F.lit(number)), F.lit(2)) == 0)
-        moves = materialize(moves.select("v", "old", "new"), "moves")
-        n = moves.count()
-        swaps = followed = 0
-        if n and params.repair == "round":
-            swaps = crossed_moves(moves).count()
-            kept = materialize(undo_swaps(moves), "moves")
-            moves = materialize(follow_moves(kept, params.lag_hops).filter("new <> old"), "moves")
-            followed = kept.join(moves.withColumnRenamed("new", "to"), ["v", "old"]).filter("new <> `to`").count()
-        if n == 0 or moves.isEmpty():
-            log.rows.append((level, number, n, swaps, followed, best_q))
+        if params.repair == "round":
+            moves = mark_crossed(materialize(moves, "moves"))
+        else:
+            moves = moves.withColumn("crossed", F.lit(False))
+        moves = materialize(moves, "moves")
+        n, swaps = moves.agg(F.count(F.lit(1)), F.count_if("crossed")).first()
+        # where only swaps are left, undoing them all would end the search: one side of each goes through
+        kept = moves.filter("NOT crossed" if n > swaps else "new < old").select("v", "old", "new")
+        if n == 0:
+            log.rows.append((level, number, n, swaps, 0, best_q))
             break
-        state = materialize(state.join(moves.select("v", "new"), "v", "left").select("v", "x", "y", F.coalesce("new", "comm").alias("comm")), "state")
-        q = _quality(prepared, state, params.resolution)
+        if params.repair == "round":
+            kept = follow_moves(kept, params.lag_hops).withColumnRenamed("new", "to").join(kept.select("v", "new"), "v")
+        else:
+            kept = kept.withColumn("to", F.col("new"))
+        new = F.coalesce("to", "comm")
+        state = materialize(
+            state.select("v", "x", "y", "comm").join(kept.select("v", "to", "new"), "v", "left")
+            .select("v", "x", "y", new.alias("comm"), (new != F.col("comm")).alias("changed"), F.coalesce(F.col("to") != F.col("new"), F.lit(False)).alias("followed")),
+            "state",
+        )
+        q, changed, followed = _quality(prepared, state, params.resolution)
         log.rows.append((level, number, n, swaps, followed, q))
         if q > best_q + EPS:
             best, best_q, stale = state, q, 0
         else:
             stale += 1
-            if stale >= 3:  # rounds that only oscillate
-                break
+        if changed == 0 or stale >= 3:  # settled, or only oscillating
+            break
     if params.repair == "stage":
         moved = best.filter("v <> comm").select("v", F.col("v").alias("old"), F.col("comm").alias("new"))
         fixed = follow_moves(undo_swaps(moved), params.lag_hops)
-        best = materialize(best.select("v", "x", "y").join(fixed.select("v", F.col("new").alias("comm")), "v", "left").withColumn("comm", F.coalesce("comm", "v")), "state")
+        best = materialize(best.select("v", "x", "y").join(fixed.select("v", F.col("new").alias("comm")), "v", "left").withColumn("comm", F.coalesce("comm", "v")).withColumns(still), "state")
     return best
 
 
@@ -144,15 +158,15 @@ def _synchronous(edges: DataFrame, params: LouvainParams, log: RoundLog, two_m:
         if prepared.two_m <= 0:
             break
         state = stage_one(prepared, params, log, level)
-        q = _quality(prepared, state, params.resolution)
+        q = _quality(prepared, state, params.resolution)[0]
         if last is not None and q <= last + 1e-9:
             break
-        moved = state.filter("v <> comm").isEmpty()
+        settled = state.filter("v <> comm").isEmpty()
         last = q
         step = state.select("v", "comm")
         labels = materialize(labels.join(step.select(F.col("v").alias("comm"), F.col("comm").alias("up")), "comm").select("v", F.col("up").alias("comm")), "labels")
         levels.append(labels.select("v", F.lit(level).alias("level"), "comm"))
-        if moved:
+        if settled:
             break
         now = materialize(compress(now, step), "compressed")
         carried = materialize(carried_sums(prepared.state, step), "carried") if params.delta_mode == "carried" else None

@@ -6,6 +6,9 @@ look at moved rows (v, old, new) only.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -18,9 +21,10 @@ def undo_swaps(moves: DataFrame) -> DataFrame:
     return moves.join(crossed, ["old", "new"], "left_anti").select("v", "old", "new")
 
 
-def crossed_moves(moves: DataFrame) -> DataFrame:
-    crossed = moves.select(F.col("new").alias("old"), F.col("old").alias("new")).distinct()
-    return moves.join(crossed, ["old", "new"], "left_semi").select("v", "old", "new")
+def mark_crossed(moves: DataFrame) -> DataFrame:
+    """Moves with column crossed: whether their target community sent a vertex back."""
+    back = moves.select(F.col("new").alias("old"), F.col("old").alias("new"), F.lit(True).alias("crossed")).distinct()
+    return moves.join(back, ["old", "new"], "left").select("v", "old", "new", F.coalesce("crossed", F.lit(False)).alias("crossed"))
 
 
 def follow_moves(moves: DataFrame, hops: int | str = "closure") -> DataFrame:
@@ -29,19 +33,23 @@ def follow_moves(moves: DataFrame, hops: int | str = "closure") -> DataFrame:
     ``hops=1`` is a single step; with ``'closure'`` chains are followed to their end by pointer
     doubling, and everyone in or behind a cycle of owners takes the cycle's least label.
     """
-    owners = materialize(moves.filter("v = old").select(F.col("v").alias("label"), F.col("new").alias("target")), "owners")
+    owners = moves.filter("v = old").select(F.col("v").alias("label"), F.col("new").alias("target"))
     if hops == 1:
         return _redirect(moves, owners)
     return _redirect(moves, owner_targets(owners))
 
 
-def owner_targets(owners: DataFrame) -> DataFrame:
+def owner_targets(owners: DataFrame, local_rows: int = 200_000) -> DataFrame:
     """(label, target) with every chain followed to its end; the labels of a cycle go to the least of them.
 
     After k doublings a pointer has gone 2**k steps and knows the least label on its way.  The chain of
-    m owners is at an end, or at least once around its cycle, when 2**k >= m.
+    m owners is at an end, or at least once around its cycle, when 2**k >= m.  At most ``local_rows``
+    owners (counted first) are followed by one task instead.
     """
     n = owners.count()
+    if n <= local_rows:
+        return owners.coalesce(1).mapInArrow(_chase, "label long, target long")
+    owners = materialize(owners, "owners")
     now = owners.select("label", "target", F.col("target").alias("least"))
     steps = 1
     while steps < 2 * max(1, n):
@@ -57,3 +65,21 @@ def owner_targets(owners: DataFrame) -> DataFrame:
 def _redirect(moves: DataFrame, targets: DataFrame) -> DataFrame:
     to = targets.select(F.col("label").alias("new"), "target")
     return moves.join(to, "new", "left").select("v", "old", F.coalesce("target", "new").alias("new"))
+
+
+def _chase(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Ends of all chains of one partition's owners."""
+    to = {a: b for batch in batches for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())}
+    end: dict[int, int] = {}
+    for start in to:
+        path, on_path, now = [], {}, start
+        while now in to and now not in end and now not in on_path:
+            on_path[now] = len(path)
+            path.append(now)
+            now = to[now]
+        if now in on_path:  # a cycle
+            last = min(path[on_path[now] :])
+        else:
+            last = end.get(now, now)
+        end |= dict.fromkeys(path, last)
+    yield pa.RecordBatch.from_arrays([pa.array(list(end), pa.int64()), pa.array(list(end.values()), pa.int64())], ["label", "target"])

@@ -89,7 +89,7 @@ QUERIES = {
     "compress_relay": _compress,
     "rules_trade": lambda s, d: shown(baselines.rules(_trade_edges(s, d))),
     "outliers_trade": lambda s, d: shown(baselines.account_outliers(graph.vertex_profile(_trade_edges(s, d)))),
-    "cliques_relay": lambda s, d: baselines.clique_percolation(relay_connected(s, d)).select("v", "comm"),
+    "cliques_relay": lambda s, d: baselines.clique_percolation(materialize(relay_connected(s, d), "edges")).select("v", "comm"),
 }
 
 _COMP = "SELECT v, mcs FROM comp"

@@ -20,13 +20,13 @@ def stream_windows_event(spark, sf_dir):
     ledger.event(spark, sf_dir, EVENT_WEEK).repartition(1).sortWithinPartitions("ts").write.parquet(path)
     edges = streaming.windowed_edges(streaming.read_stream(spark, path), "1 day", lateness="1 hour")
     out = scratch_path(spark, "closed-windows")
-    spark.createDataFrame([], "day date, src bigint, dst bigint, money double, times bigint").write.parquet(out)
+    spark.createDataFrame([], "day string, src bigint, dst bigint, money double, times bigint").write.parquet(out)
 
     def keep(batch, _):
-        batch.select(F.to_date("window.start").alias("day"), "src", "dst", F.col("money").cast("double").alias("money"), "times").write.mode("append").parquet(out)
+        batch.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "src", "dst", F.col("money").cast("double").alias("money"), "times").write.mode("append").parquet(out)
 
     streaming.detect_on_close(edges, keep, scratch_path(spark, "stream-checkpoint")).awaitTermination()
-    return spark.read.schema("day date, src bigint, dst bigint, money double, times bigint").parquet(out).groupBy("day").agg(
+    return spark.read.schema("day string, src bigint, dst bigint, money double, times bigint").parquet(out).groupBy("day").agg(
         F.count(F.lit(1)).alias("edges"), F.sum("times").alias("transfers"), F.round(F.sum("money"), 2).alias("money")
     )
 
@@ -39,7 +39,7 @@ def _hops(spark, sf_dir):
 QUERIES = {
     "merge_relay": lambda s, d: shown(graph.merge_transfers(ledger.relay(s, d, RELAY))),
     "merge_trade": lambda s, d: shown(graph.merge_transfers(ledger.trade(s, d, TRADE_YEAR))),
-    "merge_event": lambda s, d: shown(graph.merge_transfers(ledger.event(s, d, EVENT_WEEK))),
+    "merge_event": lambda s, d: shown(graph.merge_transfers(ledger.event(s, d, EVENT_WEEK)), 3),
     "profile_relay": lambda s, d: shown(graph.vertex_profile(graph.merge_transfers(ledger.relay(s, d, RELAY)))),
     "profile_event": lambda s, d: shown(graph.vertex_profile(graph.merge_transfers(ledger.event(s, d, EVENT_HOURS))), 3),
     "counterparties_event": lambda s, d: drilldown.counterparties(graph.merge_transfers(ledger.event(s, d, EVENT_WEEK))),
@@ -59,7 +59,7 @@ nd AS (SELECT v, count(*) AS deg, count(*) FILTER (i = 1) AS deg_in, count(*) FI
 ORACLES = {
     "merge_relay": f"WITH {relay_sql()} {_EDGES}",
     "merge_trade": f"WITH {trade_sql(TRADE_YEAR)} {_EDGES}",
-    "merge_event": f"WITH {event_sql(EVENT_WEEK)} {_EDGES}",
+    "merge_event": f"WITH {event_sql(EVENT_WEEK)} {_EDGES.replace('round(t, 6)', 'round(t, 3)')}",
     "profile_relay": f"WITH {relay_sql()}, {_NODES.format(n=6)} SELECT * FROM nd",
     "profile_event": f"WITH {event_sql(EVENT_HOURS)}, {_NODES.format(n=3)} SELECT * FROM nd",
     "counterparties_event": f"WITH {event_sql(EVENT_WEEK)} SELECT v, count(DISTINCT u) AS n FROM (SELECT src AS v, dst AS u FROM e UNION ALL SELECT dst, src FROM e) GROUP BY 1",
@@ -68,7 +68,7 @@ ORACLES = {
     "bursts_event": f"""WITH {event_sql(EVENT_WEEK)} SELECT src, tx_id, round(t_sec, 6) AS t_sec, CAST(sum(amount) OVER w AS DOUBLE) AS volume, count(*) OVER w AS n FROM tr
         WINDOW w AS (PARTITION BY src ORDER BY CAST(floor(t_sec) AS BIGINT) RANGE BETWEEN 21600 PRECEDING AND CURRENT ROW)""",
     "stream_windows_event": f"""WITH {event_sql(EVENT_WEEK).replace(MERGE, "x AS (SELECT 1)")},
-        m AS (SELECT CAST(ts AS DATE) AS day, src, dst, sum(amount) AS money, count(*) AS times FROM tr GROUP BY 1, 2, 3)
+        m AS (SELECT strftime(ts, '%Y-%m-%d') AS day, src, dst, sum(amount) AS money, count(*) AS times FROM tr GROUP BY 1, 2, 3)
         SELECT day, count(*) AS edges, CAST(sum(times) AS BIGINT) AS transfers, round(CAST(sum(money) AS DOUBLE), 2) AS money FROM m
         WHERE CAST(day AS TIMESTAMP) + INTERVAL 1 DAY <= (SELECT max(ts) FROM tr) - INTERVAL 1 HOUR GROUP BY 1""",
     "threads_conversations": """SELECT src, dst, count(*) AS n FROM (SELECT role AS src, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS dst FROM conversations)

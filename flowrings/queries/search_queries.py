@@ -88,7 +88,9 @@ def _planted(s, d):
     """Ring accounts among the communities of the riskiest levels: precision and recall."""
     found = detect_rings(planted(s, PLANTED), PLANTED, SMALL)
     risky = found.labels.join(found.risk.filter("level between 1 and 3").select("comm"), "comm", "left_semi").select("v")
-    return evaluate.precision_recall(risky, planted_truth(s).select("v"))
+    truth = planted_truth(s)
+    rings = risky.join(truth, "v").agg(F.countDistinct("ring").alias("rings_found"))
+    return evaluate.precision_recall(risky, truth.select("v")).crossJoin(rings)
 
 
 QUERIES = {
@@ -130,7 +132,7 @@ ORACLES = {
     "ftl_round_relay": f"WITH RECURSIVE {TO_FINAL}, {_round_sql('flow', 'w_e')} SELECT v, new, gain FROM mv",
     "repair_round_relay": f"""WITH RECURSIVE {TO_FINAL}, {_round_sql('flow', 'w_e')},
         ok AS (SELECT v, new FROM mv a WHERE NOT EXISTS (SELECT 1 FROM mv b WHERE b.v = a.new AND b.new = a.v)),
-        way AS (SELECT v, new AS at FROM ok UNION SELECT way.v, ok.new FROM way JOIN ok ON ok.v = way.at),
-        rounds AS (SELECT v FROM way WHERE v = at)
-        SELECT v, coalesce(min(at) FILTER (at NOT IN (SELECT v FROM ok)), min(at) FILTER (at IN (SELECT v FROM rounds))) AS new FROM way GROUP BY 1""",
+        way AS (SELECT v, new AS stop FROM ok UNION SELECT way.v, ok.new FROM way JOIN ok ON ok.v = way.stop),
+        loops AS (SELECT v FROM way WHERE v = stop)
+        SELECT v, coalesce(min(stop) FILTER (stop NOT IN (SELECT v FROM ok)), min(stop) FILTER (stop IN (SELECT v FROM loops))) AS new FROM way GROUP BY 1""",
 }
