@@ -123,20 +123,25 @@ class WordTrie:
 
     def words(self, text: str) -> list[str]:
         """The words of a text without special tokens, in the vocabulary's normal form."""
-        if not _LATIN.search(text):
-            return _WORD.findall(text.lower())
+        low = text.lower()
+        if not (_LATIN.search(text) or _LATIN.search(low)):
+            return _WORD.findall(low)
         text = self._lib.normalizer.normalize_str(text)
         to_byte = _byte_alphabet()
         return [bytes(to_byte[c] for c in w).decode() for w, _ in self._lib.pre_tokenizer.pre_tokenize_str(text)]
 
     def chunks(self, text: str) -> list[str]:
-        """Pieces that encode independently: runs without white space of plain texts, else words; special tokens."""
+        """Pieces that encode independently: runs without white space of plain texts, else words.
+
+        A special token is a piece with a space before its name, which no other piece contains.
+        """
         if "<|" in text and self._split_at is not None and self._split_at.search(text):
             parts = self._split_at.split(text)
-            return [c for p in parts for c in ([p] if p in self.specials else self.chunks(p))]
-        if _LATIN.search(text) or _ODD.search(text):
+            return [c for p in parts for c in ([" " + p] if p in self.specials else self.chunks(p))]
+        low = text.lower()
+        if _ODD.search(text) or not text.isascii() and (_LATIN.search(text) or _LATIN.search(low)):
             return self.words(text)
-        return text.lower().split()
+        return low.split()
 
     def encode_batch(self, texts: list[str]) -> Iterator[tuple[str, str]]:
         """For each text its ids and its decoded text, both as strings."""
@@ -150,8 +155,8 @@ class WordTrie:
             self.ids, self.text = {}, {}
         for c in again:
             self.ids[c], self.text[c] = self.old_ids[c], self.old_text[c]
-        own = {c: [c] if c in self.specials else _WORD.findall(c) if not _LATIN.search(c) else [c] for c in new - again}
-        known = self.walk({w for ws in own.values() for w in ws} - self.specials.keys()) | {s: [i] for s, i in self.specials.items()}
+        own = {c: [c] if c[0] == " " or _LATIN.search(c) else _WORD.findall(c) for c in new - again}
+        known = self.walk({w for ws in own.values() for w in ws if w[0] != " "}) | {" " + s: [i] for s, i in self.specials.items()}
         for c, ws in own.items():
             tokens = [t for w in ws for t in known[w]]
             self.ids[c], self.text[c] = " ".join(map(str, tokens)), " ".join([self.names[t] for t in tokens])
