@@ -42,11 +42,11 @@ def _screen_trade(s, d):
 
 def _node_weight(s, d):
     e = relay_screened(s, d)
-    return shown(e.select("src", "dst", "w_b", "w_n"))
+    return shown(e.select("src", "dst", "log_w_b", "log_w_n"))
 
 
 def _compress(s, d):
-    return shown(compress(relay_base(s, d), nations(s, d), "w_b"))
+    return shown(compress(relay_base(s, d), nations(s, d), "w_b"), 3)
 
 
 def _q(kind):
@@ -60,7 +60,7 @@ def _thresholds(s, d):
 
 
 QUERIES = {
-    "base_weight_relay": lambda s, d: shown(relay_base(s, d).select("src", "dst", "w_b")),
+    "base_weight_relay": lambda s, d: shown(relay_base(s, d).select("src", "dst", "w_b"), 3),
     "isolation_relay": lambda s, d: relay_connected(s, d).select("src", "dst"),
     "isolation_pair_event": lambda s, d: graph.drop_isolated_edges(graph.merge_transfers(ledger.event(s, d, EVENT_HOURS)), "pair").select("src", "dst"),
     "retention_relay": lambda s, d: shown(evaluate.retention(relay_base(s, d), relay_connected(s, d))),
@@ -78,14 +78,14 @@ QUERIES = {
     "screen_trade": _screen_trade,
     "screen_size_relay": lambda s, d: evaluate.screen_size(screened_graph(relay(s, d), SMALL)[0]),
     "node_weight_relay": _node_weight,
-    "final_weight_relay": lambda s, d: shown(relay_screened(s, d).select("src", "dst", "x_src", "x_dst", "w_e")),
+    "final_weight_relay": lambda s, d: shown(relay_screened(s, d).select("src", "dst", "x_src", "x_dst", "log_w_e")),
     "patterns_relay": lambda s, d: relay_screened(s, d).groupBy(F.element_at(F.split("pattern", ":"), 1).alias("kind")).agg(F.count(F.lit(1)).alias("n")),
     "pattern_census_relay": lambda s, d: weights.pattern_census(relay_screened(s, d)),
     "pagerank_relay": lambda s, d: weights.pagerank(graph.merge_transfers(relay(s, d)), 3).select("v", F.round("rank", 9).alias("rank")),
     "q_plain_relay": _q("plain"),
     "q_flow_relay": _q("flow"),
     "q_inout_relay": _q("inout"),
-    "flow_skew_relay": lambda s, d: shown(modularity.flow_skew(relay_base(s, d), "w_b")),
+    "flow_skew_relay": lambda s, d: shown(modularity.flow_skew(relay_base(s, d), "w_b"), 3),
     "compress_relay": _compress,
     "rules_trade": lambda s, d: shown(baselines.rules(_trade_edges(s, d))),
     "outliers_trade": lambda s, d: shown(baselines.account_outliers(graph.vertex_profile(_trade_edges(s, d)))),
@@ -119,7 +119,7 @@ _AVG = ", coalesce(round(v_remain / nullif(CAST(m_remain AS DOUBLE), 0), 6), 0)
 _AVG_RAW = ", coalesce(v_remain / nullif(CAST(m_remain AS DOUBLE), 0), 0) AS v_avg"
 
 ORACLES = {
-    "base_weight_relay": f"WITH {relay_sql()}, {BASE} SELECT src, dst, round(w_b, 6) AS w_b FROM ew",
+    "base_weight_relay": f"WITH {relay_sql()}, {BASE} SELECT src, dst, round(w_b, 3) AS w_b FROM ew",
     "isolation_relay": f"WITH {relay_sql()}, {BASE}, {ISOLATION} SELECT src, dst FROM k",
     "isolation_pair_event": f"""WITH {event_sql(EVENT_HOURS)}, l AS (SELECT src AS v, dst AS u FROM e UNION SELECT dst, src FROM e), s AS (SELECT v FROM l GROUP BY 1 HAVING count(*) = 1)
         SELECT src, dst FROM e WHERE NOT (src IN (SELECT v FROM s) AND dst IN (SELECT v FROM s))""",
@@ -137,15 +137,19 @@ ORACLES = {
     "screen_relay": f"WITH RECURSIVE {TO_SCREENED} SELECT mcs, src, dst FROM se",
     "screen_trade": f"WITH RECURSIVE {trade_sql()}, k AS (SELECT * FROM e), {COMPONENTS}, {PROFILE.replace('deg > 3', 'deg > 20')} SELECT * FROM prof WHERE n_vertices > 10 AND n_vertices < 2000 AND n_hubs > 7",
     "screen_size_relay": f"WITH RECURSIVE {TO_SCREENED} SELECT (SELECT count(DISTINCT v) FROM (SELECT src AS v FROM se UNION ALL SELECT dst FROM se)) AS vertices, count(*) AS edges, count(DISTINCT mcs) AS components FROM se",
-    "node_weight_relay": f"WITH RECURSIVE {TO_FINAL} SELECT src, dst, round(w_b, 6) AS w_b, round(w_n, 6) AS w_n FROM fw",
-    "final_weight_relay": f"WITH RECURSIVE {TO_FINAL} SELECT src, dst, round(xs, 6) AS x_src, round(xd, 6) AS x_dst, round(w_e, 6) AS w_e FROM fw",
+    "node_weight_relay": f"WITH RECURSIVE {TO_FINAL} SELECT src, dst, round(lw, 6) AS log_w_b, round(lwn, 6) AS log_w_n FROM fw",
+    "final_weight_relay": f"WITH RECURSIVE {TO_FINAL} SELECT src, dst, round(xs, 6) AS x_src, round(xd, 6) AS x_dst, round(lwn + xs + xd, 6) AS log_w_e FROM fw",
     "patterns_relay": f"WITH RECURSIVE {TO_FINAL} SELECT kind, count(*) AS n FROM fw GROUP BY 1",
     "pattern_census_relay": f"""WITH RECURSIVE {TO_FINAL} SELECT mcs, {', '.join(f"count(*) FILTER (kind = '{x}') AS {x}" for x in ('both', 'gather_then_send', 'gather_before_scatter', 'none'))} FROM fw GROUP BY 1""",
+    "pagerank_relay": f"""WITH {relay_sql()}, o AS (SELECT src, sum(times) AS total FROM e GROUP BY 1), s AS (SELECT src, dst, times / CAST(total AS DOUBLE) AS share FROM e JOIN o USING (src)),
+        n AS (SELECT src AS v FROM e UNION SELECT dst FROM e), c AS (SELECT CAST(count(*) AS DOUBLE) AS n FROM n), r0 AS (SELECT v, 1 / n AS rank FROM n, c),
+        {", ".join(f"r{i} AS (SELECT n.v, 0.15 / max(c.n) + 0.85 * coalesce(sum(share * rank), 0) AS rank FROM n LEFT JOIN (SELECT dst, share, rank FROM s JOIN r{i - 1} ON r{i - 1}.v = s.src) g ON g.dst = n.v, c GROUP BY 1)" for i in (1, 2, 3))}
+        SELECT v, round(rank, 9) AS rank FROM r3""",
     "q_plain_relay": _q_sql("plain"),
     "q_flow_relay": _q_sql("flow"),
     "q_inout_relay": _q_sql("inout"),
-    "flow_skew_relay": f"WITH {relay_sql()}, {BASE}, {_SKEW} SELECT v, round(k_in, 6) AS k_in, round(k_out, 6) AS k_out, round(k, 6) AS k, round(delta, 6) AS delta FROM sk",
-    "compress_relay": f"WITH {relay_sql()}, {BASE} SELECT CAST(a.c_nationkey AS BIGINT) AS src, CAST(b.c_nationkey AS BIGINT) AS dst, round(sum(w_b), 6) AS w FROM ew JOIN customer a ON a.c_custkey = src JOIN customer b ON b.c_custkey = dst GROUP BY 1, 2",
+    "flow_skew_relay": f"WITH {relay_sql()}, {BASE}, {_SKEW} SELECT v, round(k_in, 3) AS k_in, round(k_out, 3) AS k_out, round(k, 3) AS k, round(delta, 3) AS delta FROM sk",
+    "compress_relay": f"WITH {relay_sql()}, {BASE} SELECT CAST(a.c_nationkey AS BIGINT) AS src, CAST(b.c_nationkey AS BIGINT) AS dst, round(sum(w_b), 3) AS w FROM ew JOIN customer a ON a.c_custkey = src JOIN customer b ON b.c_custkey = dst GROUP BY 1, 2",
     "rules_trade": f"""WITH {trade_sql()} SELECT src, dst, CAST(money AS DOUBLE) AS money, times, concat_ws(',', CASE WHEN money >= 300000 THEN 'amount' END, CASE WHEN times >= 3 THEN 'times' END) AS rule
         FROM e WHERE money >= 300000 OR times >= 3""",
     "outliers_trade": f"""WITH {trade_sql()}, {nodes_sql('e')} SELECT * FROM (SELECT v, deg, CAST(money AS DOUBLE) AS money, times,

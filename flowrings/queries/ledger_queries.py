@@ -73,4 +73,9 @@ ORACLES = {
         WHERE CAST(day AS TIMESTAMP) + INTERVAL 1 DAY <= (SELECT max(ts) FROM tr) - INTERVAL 1 HOUR GROUP BY 1""",
     "threads_conversations": """SELECT src, dst, count(*) AS n FROM (SELECT role AS src, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS dst FROM conversations)
         WHERE dst IS NOT NULL GROUP BY 1, 2""",
+    "hyperlinks_pages": r"""WITH l AS (SELECT regexp_extract(url, '//([^/?#:]+)', 1) AS host, unnest(regexp_extract_all(html, 'href="([^"#?]+)', 1)) AS target FROM pages),
+        g AS (SELECT host, target, count(*) AS n FROM l GROUP BY 1, 2) SELECT count(*) AS edges, CAST(sum(n) AS BIGINT) AS links FROM g""",
+    "similarity_embeddings": """WITH p AS (SELECT a.vec_id AS src, b.vec_id AS dst, list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) AS w
+        FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id % 100 = 0),
+        r AS (SELECT *, row_number() OVER (PARTITION BY src ORDER BY w DESC, dst) AS r FROM p) SELECT src, count(*) AS n, round(min(w), 4) AS least FROM r WHERE r <= 10 GROUP BY 1""",
 }

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from flowrings.operators import drilldown, graph, risk
 from flowrings.params import RiskParams
 from flowrings.plans.pipeline import detect_rings
-from flowrings.queries.common import BASE, COMPONENTS, ISOLATION, RELAY, SMALL, nations, relay, relay_connected, relay_screened, relay_sql, shown, z_sql
+from flowrings.queries.common import BASE, COMPONENTS, ISOLATION, RELAY, SMALL, TO_FINAL, nations, relay, relay_connected, relay_screened, relay_sql, shown, z_sql
 from flowrings.scratch import materialize
 
 
@@ -46,7 +46,7 @@ def _found(s, d):
 
 def _report(s, d):
     edges = relay_screened(s, d)
-    return risk.report_nodes(edges, edges.select("mcs").distinct(), 5).select("mcs", "v", F.round("weight", 6).alias("weight"), F.col("rank").cast("bigint").alias("rank"))
+    return risk.report_nodes(edges, edges.select("mcs").distinct(), 5).select("mcs", "v", F.round(F.log("weight"), 6).alias("log_weight"), F.col("rank").cast("bigint").alias("rank"))
 
 
 QUERIES = {
@@ -85,6 +85,8 @@ ORACLES = {
     "risk_curve_relay": f"{_PART}, {_PSI('+')} SELECT comm, round(psi, 6) AS psi, row_number() OVER w AS rank, round(lead(psi) OVER w - psi, 6) AS slope FROM ps WINDOW w AS (ORDER BY psi DESC, comm)",
     "levels_relay": f"{_PART}, {_PSI('+')}, {_LEVELS} SELECT comm, round(psi, 6) AS psi, round(pct, 6) AS pct, level FROM lv",
     "suspicious_relay": f"{_PART}, {_PSI('+')}, {_LEVELS} SELECT comm // 100 AS mcs, count(*) FILTER (level BETWEEN 1 AND 2) AS n_risky, count(*) AS n_communities, round(max(psi), 6) AS top_psi FROM lv GROUP BY 1 HAVING count(*) FILTER (level BETWEEN 1 AND 2) >= 2",
+    "report_nodes_relay": f"""WITH RECURSIVE {TO_FINAL}, w AS (SELECT mcs, v, sum(w_e) AS weight FROM (SELECT mcs, src AS v, w_e FROM fw UNION ALL SELECT mcs, dst, w_e FROM fw) GROUP BY 1, 2),
+        r AS (SELECT *, row_number() OVER (PARTITION BY mcs ORDER BY weight DESC, v) AS rank FROM w) SELECT mcs, v, round(ln(weight), 6) AS log_weight, rank FROM r WHERE rank <= 5""",
     "rollup_relay": f"""{_PART}, {_PSI('+')}, {_LEVELS} SELECT r_name AS region, n_name AS nation, level, count(DISTINCT comm) AS communities, count(DISTINCT lb.v) AS accounts
         FROM lv JOIN lb USING (comm) JOIN customer ON c_custkey = lb.v JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name, level)""",
 }

@@ -92,6 +92,7 @@ def similarity(spark: SparkSession, sf_dir: str, neighbours: int = 10, queries_e
     """
     vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding")
     norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda s, x: s + x * x))
+    vectors = vectors.withColumn("embedding", F.col("embedding").cast("array<double>"))
     unit = vectors.withColumn("e", F.transform("embedding", lambda x: x / norm)).select("vec_id", "e")
     asked = unit.filter(F.col("vec_id") % queries_every == 0).select(F.col("vec_id").alias("src"), F.col("e").alias("q"))
     cosine = F.aggregate(F.zip_with("q", "e", lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
