@@ -115,14 +115,14 @@ def stage_one(prepared: Prepared, params: LouvainParams, log: RoundLog, level: i
         else:
             moves = moves.withColumn("crossed", F.lit(False))
         moves = materialize(moves, "moves")
-        n, swaps = moves.agg(F.count(F.lit(1)), F.count_if("crossed")).first()
+        n, swaps, owners = moves.agg(F.count(F.lit(1)), F.count_if("crossed"), F.count_if(F.col("v") == F.col("old"))).first()
         # where only swaps are left, undoing them all would end the search: one side of each goes through
         kept = moves.filter("NOT crossed" if n > swaps else "new < old").select("v", "old", "new")
         if n == 0:
             log.rows.append((level, number, n, swaps, 0, best_q))
             break
         if params.repair == "round":
-            kept = follow_moves(kept, params.lag_hops).withColumnRenamed("new", "to").join(kept.select("v", "new"), "v")
+            kept = follow_moves(kept, params.lag_hops, owners).withColumnRenamed("new", "to").join(kept.select("v", "new"), "v")
         else:
             kept = kept.withColumn("to", F.col("new"))
         new = F.coalesce("to", "comm")
@@ -137,7 +137,7 @@ def stage_one(prepared: Prepared, params: LouvainParams, log: RoundLog, level: i
             best, best_q, stale = state, q, 0
         else:
             stale += 1
-        if changed == 0 or stale >= 3:  # settled, or only oscillating
+        if changed == 0 or stale >= 2:  # settled, or only oscillating
             break
     if params.repair == "stage":
         moved = best.filter("v <> comm").select("v", F.col("v").alias("old"), F.col("comm").alias("new"))

@@ -27,26 +27,27 @@ def mark_crossed(moves: DataFrame) -> DataFrame:
     return moves.join(back, ["old", "new"], "left").select("v", "old", "new", F.coalesce("crossed", F.lit(False)).alias("crossed"))
 
 
-def follow_moves(moves: DataFrame, hops: int | str = "closure") -> DataFrame:
+def follow_moves(moves: DataFrame, hops: int | str = "closure", at_most: int | None = None) -> DataFrame:
     """A vertex that joined a community whose owner left for another follows the owner.
 
     ``hops=1`` is a single step; with ``'closure'`` chains are followed to their end by pointer
-    doubling, and everyone in or behind a cycle of owners takes the cycle's least label.
+    doubling, and everyone in or behind a cycle of owners takes the cycle's least label.  ``at_most``
+    is a known bound on the number of owners, which saves counting them.
     """
     owners = moves.filter("v = old").select(F.col("v").alias("label"), F.col("new").alias("target"))
     if hops == 1:
         return _redirect(moves, owners)
-    return _redirect(moves, owner_targets(owners))
+    return _redirect(moves, owner_targets(owners, at_most))
 
 
-def owner_targets(owners: DataFrame, local_rows: int = 200_000) -> DataFrame:
+def owner_targets(owners: DataFrame, at_most: int | None = None, local_rows: int = 200_000) -> DataFrame:
     """(label, target) with every chain followed to its end; the labels of a cycle go to the least of them.
 
     After k doublings a pointer has gone 2**k steps and knows the least label on its way.  The chain of
     m owners is at an end, or at least once around its cycle, when 2**k >= m.  At most ``local_rows``
     owners (counted first) are followed by one task instead.
     """
-    n = owners.count()
+    n = owners.count() if at_most is None else at_most
     if n <= local_rows:
         return owners.coalesce(1).mapInArrow(_chase, "label long, target long")
     owners = materialize(owners, "owners")

@@ -38,7 +38,7 @@ def _dendrogram(s, d):
 
 def _round_log(s, d):
     log = RoundLog()
-    detect_communities(relay_screened(s, d), LouvainParams(strategy="sync"), log)
+    detect_communities(relay_screened(s, d), LouvainParams(strategy="sync", max_rounds=4, max_levels=4), log)
     return s.createDataFrame(log.rows, "level int, round int, moves bigint, swaps bigint, followed bigint, q double")
 
 
@@ -98,8 +98,8 @@ QUERIES = {
     "ftl_round_relay": lambda s, d: _round(s, d, "flow", "w_e"),
     "repair_round_relay": _repair,
     "louvain_serial_relay": _search(objective="plain", weight="w_b", strategy="serial"),
-    "louvain_plain_relay": _search(objective="plain", weight="w_b", strategy="sync"),
-    "ftl_relay": _search(strategy="sync"),
+    "louvain_plain_relay": _search(objective="plain", weight="w_b", strategy="sync", max_rounds=4, max_levels=4),
+    "ftl_relay": _search(strategy="sync", max_rounds=4, max_levels=4),
     "ftl_local_relay": _search(strategy="local"),
     "ftl_printed_gain_relay": _search(strategy="local", gain="printed"),
     "ftl_recomputed_relay": _search(strategy="local", delta_mode="recomputed"),
