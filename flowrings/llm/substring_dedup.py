@@ -30,7 +30,7 @@ from flowrings.scratch import scratch_path
 
 _HEADS, _PAST, _TAILS = 0, 1, 2
 _BLOCKS = "slice int, kind int, block binary"
-_FLUSH, _CHUNK = 1_000_000, 60_000
+_FLUSH, _CHUNK = 1_000_000, 10_000
 
 
 class FingerprintIndex:
@@ -164,7 +164,7 @@ def _merge_fingerprints(batches: Iterator[pa.RecordBatch], slices: int) -> Itera
 
     def suspects(d, h):
         n = len(d)
-        return pa.RecordBatch.from_arrays([pa.array(["suspect"] * n), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), pa.array(d), pa.array(h.view(np.int64))], ["part", "slice", "block", "doc_id", "h"])
+        return pa.RecordBatch.from_arrays([pa.array(["suspect"] * n, pa.string()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), pa.array(d), pa.array(h.view(np.int64))], ["part", "slice", "block", "doc_id", "h"])
 
     def posting(key, h, d):
         return pa.RecordBatch.from_arrays([pa.array(["run"]), pa.array([key], pa.int32()), pa.array([pack(h, d)], pa.binary()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64())], ["part", "slice", "block", "doc_id", "h"])
@@ -253,14 +253,10 @@ def _window_blocks(window: int, k: int, slices: int) -> Callable:
 
 
 def _merge_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc_id, starts): windows whose words also start in an earlier document."""
+    """(doc_id, start): windows whose words also start in an earlier document."""
 
     def rows(d, at):
-        order = np.lexsort((at, d))
-        d, at = d[order], at[order].astype(np.int32)
-        cuts = np.append(np.flatnonzero(np.append(True, d[1:] != d[:-1])), len(d)) if len(d) else np.zeros(1, np.int64)
-        starts = pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(at))
-        return pa.RecordBatch.from_arrays([pa.array(d[cuts[:-1]]), starts], ["doc_id", "starts"])
+        return pa.RecordBatch.from_arrays([pa.array(d), pa.array(at.astype(np.int32))], ["doc_id", "start"])
 
     def merge(parts):
         w, c, d, old = (np.concatenate(x) for x in zip(*parts))
@@ -305,7 +301,10 @@ def remove_repeats(
     none.  Rows with a null doc_id keep everything and are not indexed; rows that repeat a doc_id are
     one document and never remove each other's words.
     """
-    view = documents_view(docs, id_col, text_col)
+    whole = documents_view(docs, id_col, text_col)
+    view = whole.filter("doc_id IS NOT NULL")
+    # under other names, so that the two joins below plan the same shuffle of the texts and share it
+    shuffled = docs.select(F.col(f"`{id_col}`").alias("__id"), F.col(f"`{text_col}`").alias("__body")).filter("__id IS NOT NULL")
     blocks = view.mapInArrow(_fingerprint_blocks(window, k, index.slices), _BLOCKS)
     if (past := index.read()) is not None:
         blocks = blocks.unionByName(past.select("slice", F.lit(_PAST).alias("kind"), "block"))
@@ -316,13 +315,14 @@ def remove_repeats(
         index.compact()
     found = index.spark.read.schema(_MERGED).parquet(run).filter("part = 'suspect'").select("doc_id", "h")
     suspects = found.groupBy("doc_id").agg(F.collect_set("h").alias("hs"))
-    texts = view.join(suspects, "doc_id").withColumn("old", F.lit(0))
+    named = [F.col("__id").alias("doc_id"), F.col("__body").alias("text")]
+    texts = shuffled.join(suspects.withColumnRenamed("doc_id", "__id"), "__id").select(*named, "hs", F.lit(0).alias("old"))
     if history is not None:
-        before = documents_view(history, id_col, text_col).join(suspects, "doc_id").withColumn("old", F.lit(1))
+        before = documents_view(history, id_col, text_col).join(suspects, "doc_id").select("doc_id", "text", "hs", F.lit(1).alias("old"))
         texts = texts.unionByName(before)
     lost = (
-        _to_slices(texts.mapInArrow(_window_blocks(window, k, index.slices), _BLOCKS)).mapInArrow(_merge_windows, "doc_id long, starts array<int>")
-        .groupBy("doc_id").agg(F.flatten(F.collect_list("starts")).alias("starts"))
+        _to_slices(texts.mapInArrow(_window_blocks(window, k, index.slices), _BLOCKS)).mapInArrow(_merge_windows, "doc_id long, start int")
+        .groupBy("doc_id").agg(F.collect_list("start").alias("starts"))
     )
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -341,7 +341,9 @@ def remove_repeats(
             cols = list(zip(*out)) or [()] * 5
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()))], ["doc_id", "n_words", "n_removed", "kept_sha256", "kept"])
 
-    return view.join(lost, "doc_id", "left").mapInArrow(finish, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
+    nameless = whole.filter("doc_id IS NULL").withColumn("starts", F.lit(None).cast("array<int>"))
+    known = shuffled.join(lost.withColumnRenamed("doc_id", "__id"), "__id", "left").select(*named, "starts")
+    return known.unionByName(nameless).mapInArrow(finish, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
 
 
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
