@@ -14,6 +14,7 @@ import json
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
@@ -183,7 +184,7 @@ def encode_documents(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", t
     Null and empty texts have no tokens.  ``vocabulary`` is the path of the file on every executor.
     """
     names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "ids"][: 4 + keep_ids]
-    kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32())]
+    kinds = [pa.int64(), pa.int64(), pa.string(), pa.string()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder, sha = trie(vocabulary), lambda s: hashlib.sha256(s.encode()).hexdigest()
@@ -192,12 +193,17 @@ def encode_documents(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", t
             for doc_id, raw in byte_rows(batch, ["doc_id", "text"]):
                 ids_in.append(doc_id)
                 texts.append((raw or b"").decode())
-            out = []
-            for doc_id, (ids, text) in zip(ids_in, coder.encode_batch(texts)):
-                n = ids.count(" ") + 1 if ids else 0
-                out.append((doc_id, n, sha(ids), sha(text)) + ((list(map(int, ids.split())),) if keep_ids else ()))
-            cols = list(zip(*out)) or [()] * len(names)
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names)
+            out, numbers = [], []
+            for ids, text in coder.encode_batch(texts):
+                out.append((ids.count(" ") + 1 if ids else 0, sha(ids), sha(text)))
+                if keep_ids:
+                    numbers.append(np.fromstring(ids, np.int32, sep=" ") if ids else np.empty(0, np.int32))
+            n, ids_sha, text_sha = zip(*out) if out else ((), (), ())
+            arrays = [pa.array(c, t) for c, t in zip((ids_in, n, ids_sha, text_sha), kinds)]
+            if keep_ids:
+                ends = np.concatenate([[0], np.cumsum(n, dtype=np.int64)]).astype(np.int32)
+                arrays.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(numbers) if numbers else np.empty(0, np.int32))))
+            yield pa.RecordBatch.from_arrays(arrays, names)
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * keep_ids
     return documents_view(docs, id_col, text_col).mapInArrow(run, schema)
