@@ -96,7 +96,7 @@ def _fit(bags: list[tuple[int, int, np.ndarray, np.ndarray]], n_features: int, l
     return w, bias
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = 20_000, most_features: int = 4_000, least_lift: float = 4.0) -> MilModel:
+def train(docs: DataFrame, labels: DataFrame, sample: int = 10_000, most_features: int = 4_000, least_lift: float = 4.0) -> MilModel:
     """Fit on at most ``sample`` labelled documents that are not held out.
 
     A document labelled more than once counts with its largest label; null labels and ids are left
