@@ -2,8 +2,7 @@
 
 from __future__ import annotations
 
-from collections import deque
-
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -35,30 +34,48 @@ def in_times_out(edges: DataFrame, strategy: str = "local") -> DataFrame:
     return detect_communities(edges, LouvainParams(objective="inout", weight="w_e", strategy=strategy))
 
 
-def _betweenness(near: dict[int, set[int]]) -> dict[tuple[int, int], float]:
-    """Shortest paths through each undirected edge (both directions counted once)."""
-    flow: dict[tuple[int, int], float] = {}
-    for root in near:
-        depth, paths, order, before = {root: 0}, {root: 1.0}, [], {root: []}
-        queue = deque([root])
-        while queue:
-            v = queue.popleft()
-            order.append(v)
-            for u in near[v]:
-                if u not in depth:
-                    depth[u], paths[u], before[u] = depth[v] + 1, 0.0, []
-                    queue.append(u)
-                if depth[u] == depth[v] + 1:
-                    paths[u] += paths[v]
-                    before[u].append(v)
-        credit = dict.fromkeys(order, 1.0)
-        for u in reversed(order):
-            for v in before[u]:
-                part = credit[u] * paths[v] / paths[u]
-                credit[v] += part
-                key = (min(u, v), max(u, v))
-                flow[key] = flow.get(key, 0.0) + part / 2
-    return flow
+def _betweenness(near: dict[int, set[int]], members: list[int], cells: int = 2_000_000) -> dict[tuple[int, int], float]:
+    """Shortest paths through each undirected edge among ``members``, a whole component (both directions counted once).
+
+    All roots of a chunk go one step outwards at a time; a chunk has at most ``cells`` pairs of root and vertex.
+    """
+    ids = np.array(sorted(members))
+    n = len(ids)
+    degree = np.array([len(near[v]) for v in ids.tolist()])
+    heads = np.searchsorted(ids, np.concatenate([np.array(sorted(near[v]), ids.dtype) for v in ids.tolist()]))
+    tails, first = np.repeat(np.arange(n), degree), np.cumsum(degree) - degree
+    flow = np.zeros(len(heads))
+    for start in range(0, n, rows := max(1, cells // n)):
+        roots = np.arange(start, min(n, start + rows))
+        own = np.arange(len(roots)) * n
+        depth, paths = np.full(len(roots) * n, -1, np.int32), np.zeros(len(roots) * n)
+        front = own + roots
+        depth[front], paths[front] = 0, 1.0
+        steps, at = [], 0
+        while len(front):
+            v = front % n
+            count = degree[v]
+            arc = np.repeat(first[v] - np.cumsum(count) + count, count) + np.arange(count.sum())
+            origin = np.repeat(front, count)
+            goal = origin - tails[arc] + heads[arc]
+            at += 1
+            depth[goal[depth[goal] < 0]] = at
+            ahead = depth[goal] == at
+            arc, origin, goal = arc[ahead], origin[ahead], goal[ahead]
+            front, place = np.unique(goal, return_inverse=True)
+            paths[front] = np.bincount(place, paths[origin], len(front))
+            steps.append((arc, origin, goal))
+        credit = np.where(depth >= 0, 1.0, 0.0)
+        for arc, origin, goal in reversed(steps):
+            part = credit[goal] * paths[origin] / paths[goal]
+            back, place = np.unique(origin, return_inverse=True)
+            credit[back] += np.bincount(place, part, len(back))
+            flow += np.bincount(arc, part, len(flow)) / 2
+    out: dict[tuple[int, int], float] = {}
+    for a, b, x in zip(ids[tails].tolist(), ids[heads].tolist(), flow.tolist()):
+        key = (min(a, b), max(a, b))
+        out[key] = out.get(key, 0.0) + x
+    return out
 
 
 def _pieces(near: dict[int, set[int]]) -> dict[int, int]:
@@ -91,27 +108,52 @@ def divide(pairs: list[tuple[int, int]]) -> dict[int, int]:
             total[c] = total.get(c, 0) + degree[v]
         return sum(label[a] == label[b] for a, b in links) / m - sum(t * t for t in total.values()) / (4 * m * m)
 
-    best = _pieces(near)
-    best_q = quality(best)
+    label = _pieces(near)
+    best, best_q = dict(label), quality(label)
+    flow: dict[tuple[int, int], float] = {}
+    stale = _groups(label)
     while any(near.values()):
-        flow = _betweenness(near)
+        for members in stale:  # paths in other components are as they were
+            if len(members) > 1:
+                flow |= _betweenness(near, members)
         a, b = min(flow, key=lambda e: (-round(flow[e], 9), e))
         near[a].discard(b)
         near[b].discard(a)
-        label = _pieces(near)
-        if (q := quality(label)) > best_q + 1e-12:
-            best, best_q = label, q
+        del flow[a, b]
+        whole = _reached(near, a)
+        stale = [whole] if b in whole else [whole, _reached(near, b)]
+        if len(stale) == 2:
+            for members in stale:
+                label |= dict.fromkeys(members, min(members))
+            if (q := quality(label)) > best_q + 1e-12:
+                best, best_q = dict(label), q
     return best
 
 
-def edge_betweenness(edges: DataFrame, mcs_max: int = 500) -> DataFrame:
-    """(v, comm) by divisive edge betweenness, one task per component (column mcs).
+def _reached(near: dict[int, set[int]], start: int) -> set[int]:
+    seen, todo = {start}, [start]
+    while todo:
+        fresh = near[todo.pop()] - seen
+        seen |= fresh
+        todo += fresh
+    return seen
+
+
+def _groups(label: dict[int, int]) -> list[list[int]]:
+    out: dict[int, list[int]] = {}
+    for v, c in label.items():
+        out.setdefault(c, []).append(v)
+    return list(out.values())
+
+
+def edge_betweenness(edges: DataFrame) -> DataFrame:
+    """(v, comm) by divisive edge betweenness, one task per component (column mcs), whatever its size.
 
-    Work grows as vertices times edges squared, so components above ``mcs_max`` vertices stay whole.
+    After a cut only the paths of the component that was cut are counted again.  Work still grows as
+    vertices times edges squared where a component does not fall apart.
     """
     def search(part: pd.DataFrame) -> pd.DataFrame:
-        vertices = set(part.src) | set(part.dst)
-        label = divide(list(zip(part.src, part.dst))) if len(vertices) <= mcs_max else dict.fromkeys(vertices, min(vertices))
+        label = divide(list(zip(part.src.tolist(), part.dst.tolist())))
         return pd.DataFrame({"v": list(label), "comm": list(label.values())})
 
     return edges.select("mcs", "src", "dst").groupBy("mcs").applyInPandas(search, "v bigint, comm bigint")

@@ -106,7 +106,7 @@ QUERIES = {
     "inout_relay": _search(strategy="local", objective="inout"),
     "dendrogram_relay": _dendrogram,
     "round_log_relay": _round_log,
-    "betweenness_relay": lambda s, d: baselines.edge_betweenness(relay_screened(s, d), 60),
+    "betweenness_relay": lambda s, d: baselines.edge_betweenness(relay_screened(s, d)),
     "ablation_relay": _grid,
     "agreement_relay": _agreement,
     "case_study_relay": _case_study,
