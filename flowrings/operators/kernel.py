@@ -96,3 +96,107 @@ def serial_louvain(
         else:
             x, y = vertex_numbers(s, d, w, n, kind)
     return ids, levels
+
+
+def follow_owners(owners: dict[int, int]) -> dict[int, int]:
+    """Where every chain of owners (label to target) ends; the labels of a cycle go to the least of them."""
+    end: dict[int, int] = {}
+    for start in owners:
+        path, on_path, now = [], {}, start
+        while now in owners and now not in end and now not in on_path:
+            on_path[now] = len(path)
+            path.append(now)
+            now = owners[now]
+        last = min(path[on_path[now] :]) if now in on_path else end.get(now, now)
+        end |= dict.fromkeys(path, last)
+    return end
+
+
+def synchronous_moves(v, u, a, comm, x, y, two_m: float, gain: str, resolution: float) -> tuple[np.ndarray, np.ndarray]:
+    """Vertices that move and their new communities, decided from the labels ``comm``; ties go to the least label."""
+    n = len(comm)
+    key, inverse = np.unique(np.concatenate([v * n + comm[u], np.arange(n) * n + comm]), return_inverse=True)
+    k = np.bincount(inverse, np.concatenate([a, np.zeros(n)]), len(key))
+    i, c = key // n, key % n
+    own = comm[i] == c
+    big_x, big_y = np.bincount(comm, x, n)[c] - np.where(own, x[i], 0.0), np.bincount(comm, y, n)[c] - np.where(own, y[i], 0.0)
+    factor = 2.0 if gain == "exact" else 1.0
+    score = np.round(factor * k / two_m - resolution * (x[i] * big_y + y[i] * big_x) / two_m**2, 12)
+    order = np.lexsort((c, -score, i))
+    best = order[np.unique(i[order], return_index=True)[1]]
+    stay = score[own]  # by vertex, as i ascends
+    go = (score[best] > stay + EPS) & (c[best] != comm)
+    return np.flatnonzero(go), c[best][go]
+
+
+def synchronous_louvain(
+    src: np.ndarray, dst: np.ndarray, w: np.ndarray, *, kind: str = "flow", two_m: float | None = None, gain: str = "exact", resolution: float = 1.0,
+    delta_mode: str = "carried", lag_hops: int | str = "closure", stale_rounds: int = 3, max_rounds: int = 20, max_levels: int = 20,
+) -> tuple[np.ndarray, list[np.ndarray], list[tuple]]:
+    """The synchronous search of a graph that fits into one task: the same rounds as the distributed one.
+
+    Returns vertex ids, the community of each by level, and the log (see ``louvain.RoundLog``).
+    """
+    ids, ends = np.unique(np.concatenate([src, dst]), return_inverse=True)
+    s, d, w = ends[: len(src)], ends[len(src) :], np.asarray(w, float)
+    n, place, names = len(ids), np.arange(len(ids)), np.arange(len(ids))
+    if two_m is None:
+        two_m = 2 * float(w.sum())
+    levels: list[np.ndarray] = []
+    log: list[tuple] = []
+    if n == 0 or two_m <= 0:
+        return ids, [ids.copy()], log
+    x, y = vertex_numbers(s, d, w, n, kind)
+    last = None
+    for level in range(max_levels):
+        out = s != d
+        key, inverse = np.unique(np.concatenate([s[out] * n + d[out], d[out] * n + s[out]]), return_inverse=True)
+        v, u, a = key // n, key % n, np.bincount(inverse, np.tile(w[out], 2), len(key))
+        comm = np.arange(n)
+        best, best_q, stale = comm, quality(s, d, w, comm, x, y, two_m, resolution), 0
+        for number in range(max_rounds):
+            who, new = synchronous_moves(v, u, a, comm, x, y, two_m, gain, resolution)
+            old = comm[who]
+            crossed = np.isin(old * n + new, new * n + old)
+            moved, swaps = len(who), int(crossed.sum())
+            if moved == 0:
+                log.append((level, number, 0, 0, 0, best_q, "settled"))
+                break
+            kept = ~crossed if moved > swaps else new < old
+            who, old, new = who[kept], old[kept], new[kept]
+            leaves = who == old
+            owners = dict(zip(old[leaves].tolist(), new[leaves].tolist()))
+            ahead = owners if lag_hops == 1 else follow_owners(owners)
+            to = np.array([ahead.get(c, c) for c in new.tolist()], np.int64)
+            changed = int((to != old).sum())
+            comm = comm.copy()
+            comm[who] = to
+            q = quality(s, d, w, comm, x, y, two_m, resolution)
+            if q > best_q + EPS:
+                best, best_q, stale = comm, q, 0
+            else:
+                stale += 1
+            stop = "settled" if changed == 0 else "no gain" if stale >= stale_rounds else "round bound" if number + 1 == max_rounds else None
+            log.append((level, number, moved, swaps, int((to != new).sum()), q, stop))
+            if stop:
+                break
+        if last is not None and best_q <= last + 1e-9:
+            break
+        last = best_q
+        settled = bool((best == np.arange(n)).all())
+        labels, best = np.unique(best, return_inverse=True)
+        place, names = best[place], names[labels]
+        levels.append(ids[names][place])
+        if settled:
+            break
+        if level + 1 == max_levels:
+            log.append((level, None, None, None, None, best_q, "level bound"))
+            break
+        s, d, n = best[s], best[d], len(labels)
+        key, inverse = np.unique(s * n + d, return_inverse=True)
+        w, s, d = np.bincount(inverse, w), key // n, key % n
+        if delta_mode == "carried":
+            x, y = np.bincount(best, x, n), np.bincount(best, y, n)
+        else:
+            x, y = vertex_numbers(s, d, w, n, kind)
+    return ids, levels or [ids.copy()], log

@@ -3,30 +3,44 @@
 Communities never cross a connected component, and apart from 2m the gain of a move involves only sums
 of the communities next to a vertex.  So after screening (components of bounded size) the serial search
 runs on each component by itself: one shuffle in all.  Components beyond a bound take synchronous
-rounds, in which every vertex decides from the labels of the round before.
+rounds, in which every vertex decides from the labels of the round before.  Rounds end when no label
+changes or modularity has not risen for ``STALE`` rounds; bounds that end them earlier are logged and
+warned of.  A synchronous search of at most ``local_edges`` edges (counted first) does its rounds in one
+task, with the same result.
 """
 
 from __future__ import annotations
 
+import warnings
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from flowrings.operators.compress import carried_sums, compress
 from flowrings.operators.graph import connected_components, with_component
-from flowrings.operators.kernel import EPS, serial_louvain
+from flowrings.operators.kernel import EPS, serial_louvain, synchronous_louvain
 from flowrings.operators.modularity import Prepared, prepare
 from flowrings.operators.repairs import follow_moves, mark_crossed, undo_swaps
 from flowrings.params import LouvainParams
 from flowrings.scratch import materialize
 
 
+#: Rounds without a rise of modularity after which a level is taken to oscillate.
+STALE = 3
+
+
 @dataclass
 class RoundLog:
-    """What each synchronous round did: (level, round, moves, swaps, followed, q)."""
+    """What each synchronous round did: (level, round, moves, swaps, followed, q, stop).
+
+    ``stop`` says why a level ended with this round: 'settled' (no label changes), 'no gain', or
+    'round bound'.  A row without a round, stop 'level bound', says that ``max_levels`` ended the search.
+    """
 
     rows: list[tuple] = field(default_factory=list)
 
@@ -119,7 +133,7 @@ def stage_one(prepared: Prepared, params: LouvainParams, log: RoundLog, level: i
         # where only swaps are left, undoing them all would end the search: one side of each goes through
         kept = moves.filter("NOT crossed" if n > swaps else "new < old").select("v", "old", "new")
         if n == 0:
-            log.rows.append((level, number, n, swaps, 0, best_q))
+            log.rows.append((level, number, n, swaps, 0, best_q, "settled"))
             break
         if params.repair == "round":
             kept = follow_moves(kept, params.lag_hops, owners).withColumnRenamed("new", "to").join(kept.select("v", "new"), "v")
@@ -132,12 +146,13 @@ def stage_one(prepared: Prepared, params: LouvainParams, log: RoundLog, level: i
             "state",
         )
         q, changed, followed = _quality(prepared, state, params.resolution)
-        log.rows.append((level, number, n, swaps, followed, q))
         if q > best_q + EPS:
             best, best_q, stale = state, q, 0
         else:
             stale += 1
-        if changed == 0 or stale >= 2:  # settled, or only oscillating
+        stop = "settled" if changed == 0 else "no gain" if stale >= STALE else "round bound" if number + 1 == params.max_rounds else None
+        log.rows.append((level, number, n, swaps, followed, q, stop))
+        if stop:
             break
     if params.repair == "stage":
         moved = best.filter("v <> comm").select("v", F.col("v").alias("old"), F.col("comm").alias("new"))
@@ -168,6 +183,9 @@ def _synchronous(edges: DataFrame, params: LouvainParams, log: RoundLog, two_m:
         levels.append(labels.select("v", F.lit(level).alias("level"), "comm"))
         if settled:
             break
+        if level + 1 == params.max_levels:
+            log.rows.append((level, None, None, None, None, q, "level bound"))
+            break
         now = materialize(compress(now, step), "compressed")
         carried = materialize(carried_sums(prepared.state, step), "carried") if params.delta_mode == "carried" else None
         two = prepared.two_m
@@ -181,6 +199,34 @@ def _synchronous(edges: DataFrame, params: LouvainParams, log: RoundLog, two_m:
     return out
 
 
+def _synchronous_small(edges: DataFrame, params: LouvainParams, log: RoundLog) -> DataFrame:
+    """``_synchronous`` by one task."""
+    kw = dict(kind=params.objective, gain=params.gain, resolution=params.resolution, delta_mode=params.delta_mode, lag_hops=params.lag_hops, stale_rounds=STALE, max_rounds=params.max_rounds, max_levels=params.max_levels)
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = [[c.to_numpy() for c in b.columns] for b in batches] or [[np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0)]]
+        src, dst, w = (np.concatenate(x) for x in zip(*parts))
+        order = np.lexsort((w, dst, src))
+        ids, levels, rows = synchronous_louvain(src[order], dst[order], w[order], **kw)
+        size = len(ids) * len(levels)
+        cols = list(zip(*rows)) or [()] * 7
+        found = [np.tile(ids, len(levels)), np.repeat(np.arange(len(levels)), len(ids)), np.concatenate(levels), *[[None] * size] * 6]
+        for x in (found, [[None] * len(rows), cols[0], [None] * len(rows), *cols[1:]]):
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(x, types)], names)
+
+    types, names = [pa.int64(), pa.int32(), pa.int64(), *[pa.int64()] * 4, pa.float64(), pa.string()], ["v", "level", "comm", "round", "moves", "swaps", "followed", "q", "stop"]
+    rows = edges.select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), F.col(params.weight).cast("double").alias("w")).filter("w > 0").coalesce(1)
+    out = materialize(rows.mapInArrow(search, "v long, level int, comm long, round long, moves long, swaps long, followed long, q double, stop string"), "synchronous")
+    did = out.filter("v IS NULL").select("level", "round", "moves", "swaps", "followed", "q", "stop").collect()  # a row a round
+    log.rows.extend(tuple(r) for r in sorted(did, key=lambda r: (r["level"], r["round"] is None, r["round"])))
+    return out.filter("v IS NOT NULL").select("v", "level", "comm")
+
+
+def _warn_of_bounds(log: RoundLog) -> None:
+    if hit := sorted({r[-1] for r in log.rows if r[-1] in ("round bound", "level bound")}):
+        warnings.warn(f"the synchronous search was ended by its {' and '.join(hit)}, not by convergence", stacklevel=3)
+
+
 def canonical(levels: DataFrame) -> DataFrame:
     """Name every community of every level by its least member."""
     least = levels.groupBy("level", "comm").agg(F.min("v").alias("least"))
@@ -209,7 +255,10 @@ def detect_levels(edges: DataFrame, params: LouvainParams = LouvainParams(), log
     """
     log = RoundLog() if log is None else log
     if params.strategy == "sync":
-        return canonical(_synchronous(edges, params, log))
+        small = not params.damping and params.repair == "round" and edges.count() <= params.local_edges
+        levels = (_synchronous_small if small else _synchronous)(edges, params, log)
+        _warn_of_bounds(log)
+        return canonical(levels)
     if params.strategy == "serial":
         whole = edges.withColumn("mcs", F.lit(0).cast("bigint"))
         return _local(whole, params, _two_m(edges, params))
@@ -224,7 +273,9 @@ def detect_levels(edges: DataFrame, params: LouvainParams = LouvainParams(), log
     small = _local(edges.join(large, "mcs", "left_anti"), params, two_m)
     if large.isEmpty():
         return small
-    return small.unionByName(canonical(_synchronous(edges.join(large, "mcs", "left_semi"), params, log, two_m)))
+    levels = _synchronous(edges.join(large, "mcs", "left_semi"), params, log, two_m)
+    _warn_of_bounds(log)
+    return small.unionByName(canonical(levels))
 
 
 def _two_m(edges: DataFrame, params: LouvainParams) -> float:

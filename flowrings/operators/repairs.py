@@ -12,6 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from flowrings.operators.kernel import follow_owners
 from flowrings.scratch import materialize
 
 
@@ -71,16 +72,5 @@ def _redirect(moves: DataFrame, targets: DataFrame) -> DataFrame:
 def _chase(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Ends of all chains of one partition's owners."""
     to = {a: b for batch in batches for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())}
-    end: dict[int, int] = {}
-    for start in to:
-        path, on_path, now = [], {}, start
-        while now in to and now not in end and now not in on_path:
-            on_path[now] = len(path)
-            path.append(now)
-            now = to[now]
-        if now in on_path:  # a cycle
-            last = min(path[on_path[now] :])
-        else:
-            last = end.get(now, now)
-        end |= dict.fromkeys(path, last)
+    end = follow_owners(to)
     yield pa.RecordBatch.from_arrays([pa.array(list(end), pa.int64()), pa.array(list(end.values()), pa.int64())], ["label", "target"])

@@ -16,6 +16,10 @@ from flowrings.scratch import materialize
 from flowrings.sources.planted import planted, planted_truth
 
 
+#: Synchronous rounds until convergence: bounds far beyond it, whose reaching is logged and warned of.
+SYNC = dict(strategy="sync", max_rounds=1000, max_levels=1000)
+
+
 def _round(spark, sf_dir, kind: str, weight: str) -> DataFrame:
     """One synchronous round from singletons."""
     p = prepare(relay_screened(spark, sf_dir), weight, kind)
@@ -38,8 +42,8 @@ def _dendrogram(s, d):
 
 def _round_log(s, d):
     log = RoundLog()
-    detect_communities(relay_screened(s, d), LouvainParams(strategy="sync", max_rounds=4, max_levels=4), log)
-    return s.createDataFrame(log.rows, "level int, round int, moves bigint, swaps bigint, followed bigint, q double")
+    detect_communities(relay_screened(s, d), LouvainParams(**SYNC), log)
+    return s.createDataFrame(log.rows, "level int, round int, moves bigint, swaps bigint, followed bigint, q double, stop string")
 
 
 def _grid(s, d):
@@ -98,8 +102,8 @@ QUERIES = {
     "ftl_round_relay": lambda s, d: _round(s, d, "flow", "w_e"),
     "repair_round_relay": _repair,
     "louvain_serial_relay": _search(objective="plain", weight="w_b", strategy="serial"),
-    "louvain_plain_relay": _search(objective="plain", weight="w_b", strategy="sync", max_rounds=4, max_levels=4),
-    "ftl_relay": _search(strategy="sync", max_rounds=4, max_levels=4),
+    "louvain_plain_relay": _search(objective="plain", weight="w_b", **SYNC),
+    "ftl_relay": _search(**SYNC),
     "ftl_local_relay": _search(strategy="local"),
     "ftl_printed_gain_relay": _search(strategy="local", gain="printed"),
     "ftl_recomputed_relay": _search(strategy="local", delta_mode="recomputed"),
