@@ -19,14 +19,14 @@ def serial_plain(edges: DataFrame) -> DataFrame:
     return detect_communities(edges, LouvainParams(objective="plain", weight="w_b", strategy="serial"))
 
 
-def parallel_plain(edges: DataFrame, strategy: str = "sync") -> DataFrame:
+def parallel_plain(edges: DataFrame, strategy: str = "sync", **changes) -> DataFrame:
     """Plain modularity on base weights, in parallel."""
-    return detect_communities(edges, LouvainParams(objective="plain", weight="w_b", strategy=strategy))
+    return detect_communities(edges, LouvainParams(objective="plain", weight="w_b", strategy=strategy, **changes))
 
 
-def flow_and_time(edges: DataFrame, strategy: str = "sync") -> DataFrame:
+def flow_and_time(edges: DataFrame, strategy: str = "sync", **changes) -> DataFrame:
     """Direction-aware modularity on final weights, in parallel."""
-    return detect_communities(edges, LouvainParams(objective="flow", weight="w_e", strategy=strategy))
+    return detect_communities(edges, LouvainParams(objective="flow", weight="w_e", strategy=strategy, **changes))
 
 
 def in_times_out(edges: DataFrame, strategy: str = "local") -> DataFrame:

@@ -18,6 +18,7 @@ from flowrings.sources.planted import planted, planted_truth
 
 #: Synchronous rounds until convergence: bounds far beyond it, whose reaching is logged and warned of.
 SYNC = dict(strategy="sync", max_rounds=1000, max_levels=1000)
+STRATEGIES = {"serial": dict(strategy="serial"), "local": dict(strategy="local"), "sync": SYNC}
 
 
 def _round(spark, sf_dir, kind: str, weight: str) -> DataFrame:
@@ -46,43 +47,68 @@ def _round_log(s, d):
     return s.createDataFrame(log.rows, "level int, round int, moves bigint, swaps bigint, followed bigint, q double, stop string")
 
 
-def _grid(s, d):
-    """Communities and all four modularities of each search: the published comparison in full."""
-    edges = relay_screened(s, d)
-    runs = {"serial_plain": dict(objective="plain", weight="w_b", strategy="serial"), "local_plain": dict(objective="plain", weight="w_b", strategy="local"), "local_flow": dict(objective="flow", weight="w_e", strategy="local"), "local_inout": dict(objective="inout", weight="w_e", strategy="local"), "local_plain_final": dict(objective="plain", weight="w_e", strategy="local"), "local_flow_base": dict(objective="flow", weight="w_b", strategy="local"), "local_plain_node": dict(objective="plain", weight="w_n", strategy="local"), "local_flow_node": dict(objective="flow", weight="w_n", strategy="local")}
+def _grid_runs() -> dict[str, dict]:
+    """3 weights x 2 objectives x {serial, local, sync}, and the rejected penalty; an objective's own weight is not named."""
+    named = {"plain": {"w_b": "", "w_n": "_node", "w_e": "_final"}, "flow": {"w_b": "_base", "w_n": "_node", "w_e": ""}}
+    runs = {f"{name}_{kind}{suffix}": dict(objective=kind, weight=w) | how for name, how in STRATEGIES.items() for kind, by in named.items() for w, suffix in by.items()}
+    return runs | {"local_inout": dict(objective="inout", weight="w_e", strategy="local")}
+
+
+def _stack(frames: list[DataFrame], label: str) -> DataFrame:
+    """All rows; each frame is computed by itself, so that the plan stays small."""
     out = None
-    for name, changes in runs.items():
-        labels = materialize(detect_communities(edges, LouvainParams().but(**changes)), "labels")
-        rows = evaluate.both_modularities(edges, labels).select(F.lit(name).alias("search"), "weight", "kind", F.round("q", 9).alias("q"), "communities")
+    for rows in frames:
+        rows = materialize(rows, label)
         out = rows if out is None else out.unionByName(rows)
     return out
 
 
+def _grid(s, d):
+    """Communities and all four modularities of each search: the published comparison and the rest of its grid."""
+    edges = relay_screened(s, d)
+
+    def one(name: str, changes: dict) -> DataFrame:
+        labels = materialize(detect_communities(edges, LouvainParams().but(**changes)), "labels")
+        return evaluate.both_modularities(edges, labels).select(F.lit(name).alias("search"), "weight", "kind", F.round("q", 9).alias("q"), "communities")
+
+    return _stack([one(*x) for x in _grid_runs().items()], "grid")
+
+
 def _agreement(s, d):
+    """The serial search against the synchronous one, and against the serial one by component (equal by construction)."""
     edges = relay_screened(s, d)
     a = materialize(baselines.serial_plain(edges), "labels")
-    b = materialize(baselines.parallel_plain(edges, "local"), "labels")
-    return evaluate.agreement(a, b).crossJoin(evaluate.size_distance(a, b))
+
+    def one(name: str) -> DataFrame:
+        b = materialize(baselines.parallel_plain(edges, **STRATEGIES[name]), "labels")
+        return evaluate.agreement(a, b).crossJoin(evaluate.size_distance(a, b)).select(F.lit(name).alias("search"), "*")
+
+    return _stack([one(name) for name in ("sync", "local")], "agreement")
 
 
 def _case_study(s, d):
-    """The largest screened component: where each plain community went in the direction-aware search."""
+    """The largest screened component: where each plain community went in the direction-aware search, by strategy."""
     edges = relay_screened(s, d)
     top = edges.groupBy("mcs").count().orderBy(F.desc("count"), "mcs").limit(1).select("mcs")
     part = materialize(edges.join(F.broadcast(top), "mcs", "left_semi"), "case")
-    plain = materialize(baselines.parallel_plain(part, "local"), "plain")
-    flow = materialize(baselines.flow_and_time(part, "local"), "flow")
-    return evaluate.compare_partitions(plain, flow)
+
+    def one(name: str) -> DataFrame:
+        plain = materialize(baselines.parallel_plain(part, **STRATEGIES[name]), "plain")
+        flow = materialize(baselines.flow_and_time(part, **STRATEGIES[name]), "flow")
+        return evaluate.compare_partitions(plain, flow).select(F.lit(name).alias("search"), "*")
+
+    return _stack([one(name) for name in ("sync", "local")], "case-study")
 
 
 def _coherence(s, d):
     edges = relay_screened(s, d)
-    out = None
-    for name, labels in (("plain", baselines.parallel_plain(edges, "local")), ("flow", baselines.flow_and_time(edges, "local"))):
-        labels = materialize(labels, "labels")
-        row = evaluate.time_coherence(edges, labels).crossJoin(evaluate.structure_coherence(edges, labels)).select(F.lit(name).alias("search"), "*")
-        out = row if out is None else out.unionByName(row)
-    return out
+
+    def one(name: str, objective: str) -> DataFrame:
+        search = baselines.parallel_plain if objective == "plain" else baselines.flow_and_time
+        labels = materialize(search(edges, **STRATEGIES[name]), "labels")
+        return evaluate.time_coherence(edges, labels).crossJoin(evaluate.structure_coherence(edges, labels)).select(F.lit(f"{name}_{objective}").alias("search"), "*")
+
+    return _stack([one(name, objective) for name in ("sync", "local") for objective in ("plain", "flow")], "coherence")
 
 
 PLANTED = Period("2024-01-01", "2024-01-08")

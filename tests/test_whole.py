@@ -42,3 +42,11 @@ def test_registered_synchronous_searches_stop_by_convergence(spark):
     assert min(search_queries.SYNC["max_rounds"], search_queries.SYNC["max_levels"]) > 100
     rows = search_queries.QUERIES["round_log_relay"](spark, "/root/testdata/sf0.001").collect()
     assert {r.stop for r in rows} - {None} <= {"settled", "no gain"}
+
+
+def test_comparisons_have_the_synchronous_search(spark):
+    runs = search_queries._grid_runs()
+    cells = {(r["weight"], r["objective"], r["strategy"]) for r in runs.values() if r["objective"] != "inout"}
+    assert len(cells) == 18 and len(runs) == 19
+    rows = search_queries.QUERIES["agreement_relay"](spark, "/root/testdata/sf0.001").collect()
+    assert [r.search for r in rows] == ["sync", "local"] and all(r.n > 0 for r in rows)
