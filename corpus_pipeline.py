@@ -6,38 +6,62 @@ Each stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from flowrings.llm import bpe, decontaminate, exact_dedup, simhash, toxicity
 from flowrings.scratch import materialize
 
 
-def _keep(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """The rows of ``docs`` whose doc_id is in ``ids``."""
-    return docs.join(ids.select("doc_id"), "doc_id", "left_semi").select(docs.columns)
+KEY = "__row"
+
+
+def _keyed(docs: DataFrame) -> DataFrame:
+    """``docs`` with a number of its own for each row, written once so that it stays the same."""
+    return materialize(docs.withColumn(KEY, F.monotonically_increasing_id()), "keyed")
+
+
+def _keep(keyed: DataFrame, rows: DataFrame) -> DataFrame:
+    """The rows of ``keyed`` whose number is in ``rows``, without it."""
+    return keyed.join(rows.select(KEY), KEY, "left_semi").drop(KEY)
+
+
+def _one_of_each(keyed: DataFrame, groups: DataFrame, first: Column) -> DataFrame:
+    """Of each group (KEY, group) the row that ``first``, an aggregate with field KEY, names."""
+    named = keyed.select(KEY, "doc_id").join(groups, KEY)
+    return named.groupBy("group").agg(first.alias("first")).select(F.col("first")[KEY].alias(KEY))
 
 
 def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose toxicity score stays below the threshold, judged by a model of the labels."""
-    model = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return _keep(docs, toxicity.score(docs, model).filter("predicted = 0"))
+    """Rows whose toxicity score stays below the threshold, judged by a model of the labels.
+
+    Each row is judged by its own text, also where its doc_id is null or repeated.
+    """
+    keyed = _keyed(docs)
+    model = toxicity.train(keyed, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    judged = toxicity.score(keyed, model, id_col=KEY).filter("predicted = 0")
+    return _keep(keyed, judged.select(F.col("doc_id").alias(KEY)))
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts the document with the largest doc_id."""
-    return _keep(docs, exact_dedup.deduplicate_once(docs).filter("kept"))
+    """Of equal texts one row, with the largest doc_id; a null id only where no row has another."""
+    keyed = _keyed(docs)
+    groups = exact_dedup.deduplicate_once(keyed, id_col=KEY).select(F.col("doc_id").alias(KEY), F.col("keep_id").alias("group"))
+    return _keep(keyed, _one_of_each(keyed, groups, F.max(F.struct("doc_id", KEY))))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the smallest doc_id."""
-    return _keep(docs, simhash.near_components(docs).filter(F.col("doc_id") == F.col("component_id")))
+    """Of each group of near copies one row, with the smallest doc_id; a null id only where no row has another."""
+    keyed = _keyed(docs)
+    groups = simhash.near_components(keyed, id_col=KEY).select(F.col("doc_id").alias(KEY), F.col("component_id").alias("group"))
+    return _keep(keyed, _one_of_each(keyed, groups, F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", KEY))))
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a contaminating share of benchmark passages."""
-    judged = decontaminate.decontaminate(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
-    return _keep(docs, judged.filter(~F.col("contaminated")))
+    """Rows without a contaminating share of benchmark passages, each judged by its own text."""
+    keyed = _keyed(docs)
+    judged = decontaminate.decontaminate(keyed, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), id_col=KEY)
+    return _keep(keyed, judged.filter(~F.col("contaminated")).select(F.col("doc_id").alias(KEY)))
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
