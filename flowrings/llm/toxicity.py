@@ -21,6 +21,8 @@ from flowrings.llm.arrow import byte_rows, documents_view, held_out
 from flowrings.llm.sample import sample_ids
 
 BITS = 20
+#: The bias of a model that has learned nothing: the noisy-or of any number of sentences stays near 0.
+NO_EVIDENCE = -40.0
 # Bytes that end a sentence become 10; other ASCII bytes that are no letter or digit become 32.
 _TABLE = bytes(10 if c in b".!?\n" else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
@@ -100,13 +102,17 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 10_000, most_feature
     """Fit on at most ``sample`` labelled documents that are not held out.
 
     A document labelled more than once counts with its largest label; null labels and ids are left
-    out.  Without both labels in the sample the model scores every sentence by its prior alone.
+    out.  Features need a lift of ``least_lift`` standard errors or, where labels are too few for any
+    to get there, 0.7 of the greatest lift.  Without both labels no sentence is evidence: the model then
+    scores every text as good as 0, whatever its length.
     """
     chosen = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out())
     chosen = sample_ids(chosen.groupBy("doc_id").agg(F.max("toxic").alias("toxic")), sample).select("doc_id", "toxic")
     chosen = docs.sparkSession.createDataFrame([tuple(r) for r in chosen.collect()], "doc_id long, toxic int")
     texts = documents_view(docs).join(F.broadcast(chosen), "doc_id").select("text", "toxic")
 
+    n_toxic = texts.filter("toxic > 0").select("toxic").count()
+
     def presence(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros((2, 1 << BITS), np.int32)
         total = [0, 0]
@@ -118,17 +124,18 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 10_000, most_feature
         yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1)), pa.array(np.append(counts[0][at], total[0]).astype(np.int64)), pa.array(np.append(counts[1][at], total[1]).astype(np.int64))], ["feature", "clean", "toxic"])
 
     lean = texts.mapInArrow(presence, "feature long, clean long, toxic long").groupBy("feature").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
-    found = lean.filter((F.col("feature") == -1) | (F.col("toxic") >= 3)).toArrow()  # at most 2^20 rows
+    found = lean.filter((F.col("feature") == -1) | (F.col("toxic") >= max(1, min(3, n_toxic)))).toArrow()  # at most 2^20 rows
     f, b, a = (found.column(c).to_numpy().astype(float) for c in ("feature", "clean", "toxic"))
     n0, n1 = (float(x[f == -1][0]) if (f == -1).any() else 0.0 for x in (b, a))
     b, a, f = b[f >= 0], a[f >= 0], f[f >= 0].astype(np.int64)
     weights = np.zeros(1 << BITS)
     if not n0 or not n1 or not len(f):
-        return MilModel(weights, -6.0)
+        return MilModel(weights, NO_EVIDENCE)
     odds = np.log((a + 0.5) / (n1 - a + 0.5)) - np.log((b + 0.5) / (n0 - b + 0.5))
     lift = odds / np.sqrt(1 / (a + 0.5) + 1 / (n1 - a + 0.5) + 1 / (b + 0.5) + 1 / (n0 - b + 0.5))
     order = np.lexsort((f, -lift))[:most_features]
-    kept = np.sort(f[order[lift[order] >= least_lift]])
+    enough = min(least_lift, 0.7 * lift.max()) if lift.max() > 0 else np.inf
+    kept = np.sort(f[order[lift[order] >= enough]])
 
     def bags(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -143,7 +150,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 10_000, most_feature
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int32(), pa.int32(), pa.binary(), pa.binary()))], ["label", "n", "sentences", "features"])
 
     if not len(kept):
-        return MilModel(weights, -6.0)
+        return MilModel(weights, NO_EVIDENCE)
     got = texts.mapInArrow(bags, "label int, n int, sentences binary, features binary").toArrow().to_pylist()
     rows = [(r["label"], r["n"], np.frombuffer(r["sentences"], np.int32), np.frombuffer(r["features"], np.int32)) for r in got]
     w, bias = _fit(sorted(rows, key=lambda r: (r[0], r[1], r[3].tobytes(), r[2].tobytes())), len(kept))

@@ -1,5 +1,7 @@
 """Null ids, repeated rows and few labels in the training-data operators."""
 
+from flowrings.llm import toxicity
+
 COLUMNS = "doc_id long, text string, lang string, source string, n_chars long"
 
 
@@ -21,3 +23,16 @@ def test_stages_judge_rows(spark, tmp_path):
         docs = spark.read.parquet(f"{tmp_path}/stage{i}")
     got = sorted(((r.doc_id, r.text) for r in docs.collect() if r.doc_id is None or r.doc_id >= 400), key=str)
     assert got == sorted([(None, text(60)), (None, text(61)), (500, text(62)), (501, text(63)), (502, text(65)), (400, text(66))], key=str)
+
+
+def test_few_or_no_toxic_labels(spark, documents):
+    clean = [f"plain words number {i} here. nothing else to say" for i in range(60)]
+    toxic = [f"plain words number {i} here. zzqgrubvile hateful" for i in range(60, 66)]
+    long = "nothing else to say here. " * 500
+    docs = documents(clean + toxic + [long])
+    labels = lambda ids: spark.createDataFrame([(i, int(i >= 60)) for i in ids], "doc_id long, toxic int")
+    for ids, found in ((range(60), 0), (range(66), 1)):
+        model = toxicity.train(docs, labels(ids))
+        said = {r.doc_id: r.predicted for r in toxicity.score(docs, model).collect()}
+        assert said[66] == 0 and not any(said[i] for i in range(60))
+        assert all(said[i] == found for i in range(60, 66))
