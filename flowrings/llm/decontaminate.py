@@ -89,7 +89,8 @@ def decontaminate(
     A document is contaminated if it has a hit word and ``share`` times its hit words are at least
     its words.  Null and empty texts (of documents or items) have no words.  Repeated items count
     once per item_id; a null item_id shows as an empty string.  If the benchmark's texts exceed
-    ``broadcast_bytes`` in total, fingerprints are joined by a shuffle instead of being sent to the tasks.
+    ``broadcast_bytes`` in total, fingerprints are joined by a shuffle instead of being sent to the tasks.  Each row is judged by its
+    own text, also where its doc_id is null or repeated.
     """
     view = documents_view(docs, id_col, text_col)
     items = bench.select(F.coalesce(F.col(f"`{item_col}`").cast("string"), F.lit("")).alias("item_id"), F.coalesce(F.col(f"`{item_text}`"), F.lit("")).alias("item_text"))
@@ -120,8 +121,10 @@ def _by_shuffle(view: DataFrame, items: DataFrame, window: int, k: int, share: i
     """The same result where the benchmark is too large to send: fingerprints meet in a shuffle.
 
     Candidate pairs of document and item are verified one item at a time, so no task holds more than
-    one document and the marks on its words.
+    one document and the marks on its words.  Rows are numbered and meet by that number, as ids may be
+    null or repeated.
     """
+    view = materialize(view.withColumn("row", F.monotonically_increasing_id()), "numbered")
     lengths = items.mapInArrow(_length_rows(window), "length int").distinct()
     classes = sorted(r[0] for r in lengths.collect())  # at most ``window`` numbers
 
@@ -141,26 +144,26 @@ def _by_shuffle(view: DataFrame, items: DataFrame, window: int, k: int, share: i
         return run
 
     keyed = items.withColumn("item_key", F.xxhash64("item_id", "item_text").cast("string"))
-    left = view.mapInArrow(prints("doc_id", "text", False), "doc_id long, length int, h long")
+    left = view.select("row", "text").mapInArrow(prints("row", "text", False), "row long, length int, h long")
     right = keyed.select("item_key", "item_text").mapInArrow(prints("item_key", "item_text", True), "item_key string, length int, h long")
-    pairs = materialize(left.join(right, ["length", "h"]).select("doc_id", "item_key").distinct(), "candidates")
-    texts = pairs.join(keyed.select("item_key", "item_id", "item_text"), "item_key").join(view, "doc_id")
+    pairs = materialize(left.join(right, ["length", "h"]).select("row", "item_key").distinct(), "candidates")
+    texts = pairs.join(keyed.select("item_key", "item_id", "item_text"), "item_key").join(view, "row")
 
     def verify(batches):
         for batch in batches:
             out = []
-            for doc_id, item_id, item, raw in byte_rows(batch, ["doc_id", "item_id", "item_text", "text"]):
+            for row, item_id, item, raw in byte_rows(batch, ["row", "item_id", "item_text", "text"]):
                 one = Fingerprints([(item_id, item)], window, k)
                 a = word_hashes(raw or b"")
                 for length, table in one.windows.items():
                     spans = [s for s in range(len(a) - length + 1) if a[s : s + length].tobytes() in table]
                     if spans:
-                        out.append((doc_id, item_id.decode(), spans, length))
+                        out.append((row, item_id.decode(), spans, length))
             cols = list(zip(*out)) or [()] * 4
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.list_(pa.int32())), pa.array(cols[3], pa.int32())], ["doc_id", "item_id", "starts", "length"])
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.list_(pa.int32())), pa.array(cols[3], pa.int32())], ["row", "item_id", "starts", "length"])
 
-    hits = texts.mapInArrow(verify, "doc_id long, item_id string, starts array<int>, length int")
-    by_doc = hits.groupBy("doc_id").agg(F.collect_set("item_id").alias("items"), F.collect_list(F.struct("starts", "length")).alias("spans"))
+    hits = texts.mapInArrow(verify, "row long, item_id string, starts array<int>, length int")
+    by_row = hits.groupBy("row").agg(F.collect_set("item_id").alias("items"), F.collect_list(F.struct("starts", "length")).alias("spans"))
 
     def finish(batches):
         for batch in batches:
@@ -174,7 +177,7 @@ def _by_shuffle(view: DataFrame, items: DataFrame, window: int, k: int, share: i
                 out.append(_verdict(doc_id, len(a), int(hit.sum()), set(found or ()), share))
             yield _record(out)
 
-    return view.join(by_doc, "doc_id", "left").select("doc_id", "text", "items", "spans").mapInArrow(finish, _SCHEMA)
+    return view.join(by_row, "row", "left").select("doc_id", "text", "items", "spans").mapInArrow(finish, _SCHEMA)
 
 
 def _length_rows(window: int):

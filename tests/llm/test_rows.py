@@ -1,6 +1,6 @@
 """Null ids, repeated rows and few labels in the training-data operators."""
 
-from flowrings.llm import toxicity
+from flowrings.llm import decontaminate, toxicity
 
 COLUMNS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -36,3 +36,11 @@ def test_few_or_no_toxic_labels(spark, documents):
         said = {r.doc_id: r.predicted for r in toxicity.score(docs, model).collect()}
         assert said[66] == 0 and not any(said[i] for i in range(60))
         assert all(said[i] == found for i in range(60, 66))
+
+
+def test_decontaminate_paths_agree_on_null_and_repeated_ids(spark, documents):
+    bench = " ".join(f"bench{i}" for i in range(20))
+    docs = documents(["in " + bench, "clean", "a b c " * 9 + bench, "plain " * 30, None], [None, None, 7, 7, 8])
+    items = spark.createDataFrame([(0, bench)], "item_id long, text string")
+    by = [sorted(map(str, decontaminate.decontaminate(docs, items, **kw).collect())) for kw in ({}, {"broadcast_bytes": 0})]
+    assert by[0] == by[1] and sum("contaminated=True" in r for r in by[0]) == 2
