@@ -1,12 +1,14 @@
 """Shared scratch space: where loops cut their lineage.
 
 A cluster names one folder that every executor sees in ``spark.checkpoint.dir``; that setting is read
-from the session.  Only where it is unset (tests on one machine) a temporary folder is made.
+from the session.  Only on a single machine (master ``local[...]``) a temporary folder takes its place.
 """
 
 from __future__ import annotations
 
 import atexit
+import gc
+import re
 import shutil
 import tempfile
 import uuid
@@ -17,10 +19,12 @@ _OWN: list[str] = []
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder of the session, or one of our own where the session names none."""
+    """The shared folder of the session, or one of our own where a single machine names none."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", master := spark.conf.get("spark.master", "")):
+        raise RuntimeError(f"set spark.checkpoint.dir to a folder that all executors share: master is {master}")
     if not _OWN:
         _OWN.append(tempfile.mkdtemp(prefix="flowrings-"))
         atexit.register(shutil.rmtree, _OWN[0], ignore_errors=True)
@@ -40,11 +44,29 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch_path(spark, label)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.scratch_path = path
+    return out
+
+
+def release(*frames: DataFrame | None) -> None:
+    """Delete the files of materialised frames that nothing will read any more."""
+    for df in frames:
+        if path := getattr(df, "scratch_path", None):
+            _delete(df.sparkSession, path)
+
+
+def release_shuffles(spark: SparkSession) -> None:
+    """Let Spark remove the shuffle files of finished steps now: it does so once their frames are collected as garbage."""
+    gc.collect()
+    spark._jvm.System.gc()
 
 
 def drop_scratch(spark: SparkSession) -> None:
     """Delete everything this engine has left in the scratch folder of the session."""
-    root = f"{scratch_root(spark)}/flowrings"
-    path = spark._jvm.org.apache.hadoop.fs.Path(root)
+    _delete(spark, f"{scratch_root(spark)}/flowrings")
+
+
+def _delete(spark: SparkSession, where: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(where)
     path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
