@@ -23,12 +23,16 @@ class DigestIndex:
         self.spark, self.table = spark, table
         self.buckets = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
 
-    def exists(self) -> bool:
-        return self.spark.catalog.tableExists(self.table)
-
     def read(self) -> DataFrame:
         return self.spark.table(self.table)
 
+    def create(self) -> None:
+        """An empty index, if there is none yet."""
+        self.spark.sql(
+            f"CREATE TABLE IF NOT EXISTS {self.table} (digest BINARY, keep_id BIGINT) USING parquet "
+            f"CLUSTERED BY (digest) SORTED BY (digest) INTO {self.buckets} BUCKETS"
+        )
+
     def append(self, fresh: DataFrame) -> None:
         """Add rows (digest, keep_id): one sorted file per bucket and call."""
         (
@@ -37,6 +41,12 @@ class DigestIndex:
             .bucketBy(self.buckets, "digest").sortBy("digest").saveAsTable(self.table)
         )
 
+    def add(self, seen: DataFrame) -> None:
+        """Add the digests of a batch (doc_id, digest) that the index lacks; the largest doc_id of each stays."""
+        self.create()
+        groups = seen.groupBy("digest").agg(F.max("doc_id").alias("keep_id"))
+        self.append(groups.join(self.read().hint("merge"), "digest", "left_anti"))
+
     def drop(self) -> None:
         self.spark.sql(f"DROP TABLE IF EXISTS {self.table}")
 
@@ -57,15 +67,14 @@ def deduplicate(docs: DataFrame, index: DigestIndex, id_col: str = "doc_id", tex
     as it is.  Running the same batch again changes nothing.
     """
     seen = materialize(digests_of(docs, id_col, text_col), "digests")
-    groups = seen.groupBy("digest").agg(F.max("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
-    if index.exists():
-        known = index.read().hint("merge")
-        index.append(groups.join(known, "digest", "left_anti"))
-    else:
-        index.append(groups)
-    owners = materialize(
-        groups.select("digest", "group_size").join(index.read().hint("merge"), "digest"), "owners"
-    )
+    index.add(seen)
+    return _judged(seen, index)
+
+
+def _judged(seen: DataFrame, index: DigestIndex) -> DataFrame:
+    """Each row of ``seen`` (doc_id, digest) with the owner that the index names and the rows of its group in ``seen``."""
+    sizes = seen.groupBy("digest").agg(F.count(F.lit(1)).alias("group_size"))
+    owners = materialize(sizes.join(index.read().hint("merge"), "digest"), "owners")
     return seen.join(owners, "digest").select(
         "doc_id", "keep_id", "group_size",
         F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"),
@@ -73,11 +82,28 @@ def deduplicate(docs: DataFrame, index: DigestIndex, id_col: str = "doc_id", tex
     )
 
 
-def deduplicate_once(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``deduplicate`` against a fresh index that is dropped afterwards."""
+def deduplicate_in_batches(docs: DataFrame, index: DigestIndex, batches: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``deduplicate`` of a whole corpus, as if it had come in ``batches`` batches of descending doc_id.
+
+    The first batch that has a text holds the largest doc_id with it, so an index that grows batch by batch
+    names that document; rows with a null doc_id come last.  group_size counts all rows of the corpus.
+    Batches are cut at quantiles of doc_id, rows of one id stay together.
+    """
+    seen = materialize(digests_of(docs, id_col, text_col), "digests")
+    shares = [i / batches for i in range(1, batches)]
+    bounds = sorted({int(x) for x in (seen.approxQuantile("doc_id", shares, 0.01) if shares else [])}, reverse=True)
+    for low, high in zip([*bounds, None], [None, *bounds]):
+        above = F.lit(True) if low is None else F.col("doc_id") > low
+        index.add(seen.filter(above if high is None else above & (F.col("doc_id") <= high)))
+    index.add(seen.filter("doc_id IS NULL"))
+    return _judged(seen, index)
+
+
+def deduplicate_once(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", batches: int = 4) -> DataFrame:
+    """``deduplicate_in_batches`` with a fresh index that is dropped afterwards."""
     index = DigestIndex(docs.sparkSession, f"flowrings_digests_{uuid.uuid4().hex}")
     try:
-        return deduplicate(docs, index, id_col, text_col)
+        return deduplicate_in_batches(docs, index, batches, id_col, text_col)
     finally:
         index.drop()
 

@@ -5,8 +5,9 @@ windows have equal fingerprints and neighbouring windows mostly share one: the i
 smaller than the list of windows.  The index is a set of immutable runs; a run holds, slice by slice of
 the hash space, sorted postings (fingerprint, document).  A new batch is turned into sorted blocks, the
 blocks of a slice are merged with each other and with the runs, and fingerprints that meet in two
-documents mark their windows as suspects.  Suspect windows are then verified by their own 64-bit hash
-and a 16-bit check taken from other hashes; the batch becomes a run, and runs are compacted.
+documents mark their windows as suspects.  Suspect windows are then verified by 128-bit digests of their
+words (two independent 64-bit halves); the batch becomes a run, and runs are compacted by a streaming
+merge, which also deals them out to more slices as the index grows.
 
 Hot fingerprints: a task sends one posting per fingerprint (that of its smallest document) to the
 merge; the others are known to repeat already and travel in blocks dealt out evenly, so a slice gets
@@ -16,6 +17,7 @@ at most one posting per task for any fingerprint.
 from __future__ import annotations
 
 import hashlib
+import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -26,15 +28,19 @@ from pyspark.sql import functions as F
 
 from flowrings.llm.arrow import byte_rows, documents_view
 from flowrings.llm.rolling import grams, pack, sliding_min, unpack
-from flowrings.scratch import scratch_path
+from flowrings.scratch import materialize, release_shuffles, scratch_path
 
 _HEADS, _PAST, _TAILS = 0, 1, 2
 _BLOCKS = "slice int, kind int, block binary"
+#: A block of a run: its slice, its least fingerprint (``_ordered``) and its number of postings.
+_RUN = "slice int, least long, n long, block binary"
 _FLUSH, _CHUNK = 1_000_000, 10_000
+#: Postings that a slice holds on average before compaction doubles the number of slices.
+_SLICE_POSTINGS = 4_000_000
 
 
 class FingerprintIndex:
-    """Runs of postings under ``path``; the number of slices is fixed when the first run is written."""
+    """Runs of postings under ``path``; all runs have one number of slices, which compaction may double."""
 
     def __init__(self, spark: SparkSession, path: str, slices: int | None = None):
         self.spark, self.path = spark, path.rstrip("/")
@@ -49,59 +55,101 @@ class FingerprintIndex:
             return []
         return sorted(s.getPath().getName() for s in self._fs.listStatus(self._fs_path(self.path)) if s.getPath().getName().startswith("run-"))
 
-    def next_run(self) -> str:
+    def next_run(self, slices: int) -> str:
         names = self.runs()
-        return f"{self.path}/run-{int(names[-1].split('-')[1]) + 1 if names else 0:06d}-{self.slices}"
+        return f"{self.path}/run-{int(names[-1].split('-')[1]) + 1 if names else 0:06d}-{slices}"
 
     def read(self) -> DataFrame | None:
-        """(slice, block) of all runs."""
-        parts = [self.spark.read.schema("slice int, block binary").parquet(f"{self.path}/{n}") for n in self.runs()]
-        out = None
-        for p in parts:
-            out = p if out is None else out.unionByName(p)
-        return out
-
-    def commit(self, written: str) -> None:
+        """(slice, least, n, block) of all runs."""
+        names = self.runs()
+        return self.spark.read.schema(_RUN).parquet(*(f"{self.path}/{n}" for n in names)) if names else None
+
+    def commit(self, written: str, slices: int | None = None) -> None:
         """Turn a folder of blocks into the next run by renaming it; nothing happens if it does not exist."""
         if self._fs.exists(self._fs_path(written)):
             self._fs.mkdirs(self._fs_path(self.path))
-            self._fs.rename(self._fs_path(written), self._fs_path(self.next_run()))
+            self._fs.rename(self._fs_path(written), self._fs_path(self.next_run(slices or self.slices)))
 
     def compact(self) -> None:
-        """Merge all runs into one: one ascending sequence of blocks for each slice."""
+        """Merge all runs into one: one ascending sequence of blocks for each slice.
+
+        A task merges the runs of a slice block by block and holds only blocks whose ranges overlap.
+        """
         names = self.runs()
         if len(names) < 2:
             return
-        target = scratch_path(self.spark, "compacted-run")
-        merged = self.read().repartition("slice").sortWithinPartitions("slice").mapInArrow(_merged_blocks, "slice int, block binary")
+        total = self.read().agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        slices = self.slices
+        while slices * _SLICE_POSTINGS < total:
+            slices *= 2
+        target, kept = scratch_path(self.spark, "compacted-run"), self.read()
+        if slices != self.slices:
+            kept = kept.select("block").mapInArrow(lambda batches: _dealt_again(batches, slices), _RUN)
+        merged = kept.repartition("slice").sortWithinPartitions("slice", "least").mapInArrow(_merged_blocks, _RUN)
         merged.write.parquet(target)
-        self.commit(target)
+        self.commit(target, slices)
         for n in names:
             self._fs.delete(self._fs_path(f"{self.path}/{n}"), True)
+        self.slices = slices
 
 
-def _merged_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    def out(key, parts):
-        h, d = (np.concatenate(x) for x in zip(*parts))
-        order = np.lexsort((d, h))
-        cuts = range(0, len(order), _CHUNK)
-        return pa.RecordBatch.from_arrays([pa.array([key] * len(cuts), pa.int32()), pa.array([pack(h[order[i : i + _CHUNK]], d[order[i : i + _CHUNK]]) for i in cuts], pa.binary())], ["slice", "block"])
+def _ordered(h: np.ndarray) -> np.ndarray:
+    """Unsigned numbers as signed ones in the same order."""
+    return (h ^ np.uint64(1 << 63)).view(np.int64)
 
-    now, parts = None, []
+
+def _run_rows(rows: list[tuple[int, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+    """Blocks of a run from (slice, ascending fingerprints, documents)."""
+    cols = ([k for k, _, _ in rows], [int(_ordered(h[:1])[0]) for _, h, _ in rows], [len(h) for _, h, _ in rows], [pack(h, d) for _, h, d in rows])
+    types = (pa.int32(), pa.int64(), pa.int64(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], ["slice", "least", "n", "block"])
+
+
+def _by_slice(h: np.ndarray, d: np.ndarray, slices: int) -> list[tuple[int, np.ndarray, np.ndarray]]:
+    """Postings dealt out to their slices, in the order they have."""
+    home = (h % np.uint64(slices)).astype(np.int32)
+    order = np.argsort(home, kind="stable")
+    return [(int(home[p[0]]), h[p], d[p]) for p in np.split(order, np.flatnonzero(np.diff(home[order])) + 1) if len(p)]
+
+
+def _dealt_again(batches: Iterator[pa.RecordBatch], slices: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for key, block in byte_rows(batch, ["slice", "block"]):
-            if key != now and parts:
-                yield out(now, parts)
-                parts = []
-            now = key
-            parts.append(unpack(block, 2))
-    if parts:
-        yield out(now, parts)
+        for (block,) in byte_rows(batch, ["block"]):
+            yield _run_rows(_by_slice(*unpack(block, 2), slices))
+
+
+def _merged_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Blocks by (slice, least) as one ascending sequence a slice: what lies below the next block's least is final."""
 
+    def cut(key, h, d, all_of_it):
+        full = len(h) if all_of_it else len(h) // _CHUNK * _CHUNK
+        if full:
+            yield _run_rows([(key, h[i : min(i + _CHUNK, full)], d[i : min(i + _CHUNK, full)]) for i in range(0, full, _CHUNK)])
+        return h[full:], d[full:]
 
-def words_and_hashes(raw: bytes) -> tuple[list[bytes], np.ndarray]:
+    none = (np.empty(0, np.uint64), np.empty(0, np.int64))
+    now, ready, waiting = None, none, none
+    for batch in batches:
+        for key, least, block in byte_rows(batch, ["slice", "least", "block"]):
+            if key != now:
+                if now is not None:
+                    yield from cut(now, *(np.concatenate(x) for x in zip(ready, waiting)), True)
+                now, ready, waiting = key, none, none
+            split = int(_ordered(waiting[0]).searchsorted(least))
+            ready = tuple(np.concatenate([r, w[:split]]) for r, w in zip(ready, waiting))
+            h, d = (np.concatenate(x) for x in zip((w[split:] for w in waiting), unpack(block, 2)))
+            order = np.lexsort((d, h))
+            waiting = h[order], d[order]
+            ready = yield from cut(now, *ready, False)
+    if now is not None:
+        yield from cut(now, *(np.concatenate(x) for x in zip(ready, waiting)), True)
+
+
+def words_and_hashes(raw: bytes) -> tuple[list[bytes], np.ndarray, np.ndarray]:
+    """The words and both halves of their 128-bit hashes."""
     words = raw.split()
-    return words, np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words))
+    both = np.frombuffer(b"".join(map(xxhash.xxh3_128_digest, words)), np.uint64).reshape(-1, 2)
+    return words, both[:, 0], both[:, 1]
 
 
 def _blocks(keys: np.ndarray, heads: np.ndarray, columns: list[np.ndarray], slices: int, salt: int) -> pa.RecordBatch:
@@ -141,7 +189,7 @@ def _fingerprint_blocks(window: int, k: int, slices: int) -> Callable:
             for doc_id, raw in byte_rows(batch, ["doc_id", "text"]):
                 if doc_id is None or not raw:
                     continue
-                _, a = words_and_hashes(raw)
+                _, a, _ = words_and_hashes(raw)
                 u = np.unique(sliding_min(grams(a, k), window - k + 1))
                 if len(u):
                     hs.append(u)
@@ -156,18 +204,21 @@ def _fingerprint_blocks(window: int, k: int, slices: int) -> Callable:
     return run
 
 
-_MERGED = "part string, slice int, block binary, doc_id long, h long"
+_MERGED = f"part string, {_RUN}, doc_id long, h long"
 
 
 def _merge_fingerprints(batches: Iterator[pa.RecordBatch], slices: int) -> Iterator[pa.RecordBatch]:
     """Slice by slice: the run's blocks, and (doc_id, h) for fingerprints that two documents have."""
 
+    names = ["part", "slice", "least", "n", "block", "doc_id", "h"]
+
     def suspects(d, h):
-        n = len(d)
-        return pa.RecordBatch.from_arrays([pa.array(["suspect"] * n, pa.string()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), pa.array(d), pa.array(h.view(np.int64))], ["part", "slice", "block", "doc_id", "h"])
+        none = [pa.nulls(len(d), t) for t in (pa.int32(), pa.int64(), pa.int64(), pa.binary())]
+        return pa.RecordBatch.from_arrays([pa.array(["suspect"] * len(d), pa.string()), *none, pa.array(d), pa.array(h.view(np.int64))], names)
 
-    def posting(key, h, d):
-        return pa.RecordBatch.from_arrays([pa.array(["run"]), pa.array([key], pa.int32()), pa.array([pack(h, d)], pa.binary()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64())], ["part", "slice", "block", "doc_id", "h"])
+    def postings(rows):
+        n = len(rows)
+        return pa.RecordBatch.from_arrays([pa.array(["run"] * n, pa.string()), *_run_rows(rows).columns, pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64())], names)
 
     def merge(parts):
         h, d, several = (np.concatenate(x) for x in zip(*parts))
@@ -181,7 +232,7 @@ def _merge_fingerprints(batches: Iterator[pa.RecordBatch], slices: int) -> Itera
 
     def finish(key, state):
         h, d, group, _, again = state
-        yield posting(key, h, d)
+        yield postings([(key, h[i : i + _CHUNK], d[i : i + _CHUNK]) for i in range(0, len(h), _CHUNK)])
         own = again[group]
         yield suspects(d[own], h[own])
 
@@ -206,42 +257,35 @@ def _merge_fingerprints(batches: Iterator[pa.RecordBatch], slices: int) -> Itera
                     yield suspects(d[same], h[same])
             else:
                 h, d, _ = unpack(block, 3)
-                home = (h % np.uint64(slices)).astype(np.int32)
-                order = np.argsort(home, kind="stable")
-                for p in np.split(order, np.flatnonzero(np.diff(home[order])) + 1):
-                    yield posting(int(home[p[0]]), h[p], d[p])
+                yield postings(_by_slice(h, d, slices))
                 yield suspects(d, h)
     if parts or state:
         yield from finish(now, state or merge(parts))
 
 
 def _window_blocks(window: int, k: int, slices: int) -> Callable:
-    """Sorted entries (window hash, check and position, document) of suspect windows."""
+    """Sorted entries (both halves of the window's digest, position, document, 1 if already indexed) of suspect windows."""
 
     def flush(parts):
-        w, c, d, old = (np.concatenate(x) for x in zip(*parts))
-        order = np.lexsort((c & 0xFFFFFFFF, d, 1 - old, c >> 32, w))
-        w, c, d, old = w[order], c[order], d[order], old[order]
-        check = c >> 32
-        first = np.append(True, (w[1:] != w[:-1]) | (check[1:] != check[:-1]))
-        group = np.cumsum(first) - 1
+        w, c, at, d, old = (np.concatenate(x) for x in zip(*parts))
+        order = np.lexsort((at, d, 1 - old, c, w))
+        w, c, at, d, old = w[order], c[order], at[order], d[order], old[order]
+        group, first = _groups(w, c)
         heads = (d == d[first][group]) & (old == old[first][group])
         keep = heads | (old == 0)
-        return _blocks(w[keep], heads[keep], [c[keep], d[keep], old[keep]], slices, int(w[len(w) // 2] % np.uint64(slices)))
+        return _blocks(w[keep], heads[keep], [c[keep].view(np.int64), at[keep], d[keep], old[keep]], slices, int(w[len(w) // 2] % np.uint64(slices)))
 
     def run(batches):
         parts, n = [], 0
         for batch in batches:
             hs_col = batch.column(batch.schema.get_field_index("hs"))
             for i, (doc_id, raw, old) in enumerate(byte_rows(batch, ["doc_id", "text", "old"])):
-                _, a = words_and_hashes(raw or b"")
+                _, a, b = words_and_hashes(raw or b"")
                 hs = np.sort(hs_col[i].values.to_numpy().view(np.uint64))
                 least = sliding_min(grams(a, k), window - k + 1)
                 at = np.flatnonzero(hs[np.minimum(hs.searchsorted(least), len(hs) - 1)] == least)
                 if len(at):
-                    w = grams(a, window)[at]
-                    check = (least[at] ^ a[at] >> np.uint64(7) ^ a[at + window - 1] << np.uint64(9)) >> np.uint64(49)
-                    parts.append((w, (check.astype(np.int64) << 32) | at, np.full(len(at), doc_id, np.int64), np.full(len(at), int(old), np.int64)))
+                    parts.append((grams(a, window)[at], grams(b, window)[at], at, np.full(len(at), doc_id, np.int64), np.full(len(at), int(old), np.int64)))
                     n += len(at)
                 if n >= _FLUSH:
                     yield flush(parts)
@@ -252,6 +296,12 @@ def _window_blocks(window: int, k: int, slices: int) -> Callable:
     return run
 
 
+def _groups(w: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of sorted digests: the number of the group of each, and where each group starts."""
+    first = np.append(True, (w[1:] != w[:-1]) | (c[1:] != c[:-1]))
+    return np.cumsum(first) - 1, np.flatnonzero(first)
+
+
 def _merge_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(doc_id, start): windows whose words also start in an earlier document."""
 
@@ -259,14 +309,12 @@ def _merge_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         return pa.RecordBatch.from_arrays([pa.array(d), pa.array(at.astype(np.int32))], ["doc_id", "start"])
 
     def merge(parts):
-        w, c, d, old = (np.concatenate(x) for x in zip(*parts))
-        order = np.lexsort((d, 1 - old, c >> 32, w))
-        w, c, d, old = w[order], c[order], d[order], old[order]
-        check = c >> 32
-        first = np.append(True, (w[1:] != w[:-1]) | (check[1:] != check[:-1]))
-        group = np.cumsum(first) - 1
+        w, c, at, d, old = (np.concatenate(x) for x in zip(*parts))
+        order = np.lexsort((d, 1 - old, c, w))
+        w, c, at, d, old = w[order], c[order], at[order], d[order], old[order]
+        group, first = _groups(w, c)
         lost = (old == 0) & ((d != d[first][group]) | (old[first][group] == 1))
-        return rows(d[lost], c[lost] & 0xFFFFFFFF)
+        return rows(d[lost], at[lost])
 
     now, parts = None, []
     for batch in batches:
@@ -276,10 +324,10 @@ def _merge_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
                 parts = []
             now = key
             if kind == _HEADS:
-                parts.append(unpack(block, 4))
+                parts.append(unpack(block, 5))
             else:
-                _, c, d, _ = unpack(block, 4)
-                yield rows(d, c & 0xFFFFFFFF)
+                _, _, at, d, _ = unpack(block, 5)
+                yield rows(d, at)
     if parts:
         yield merge(parts)
 
@@ -288,47 +336,47 @@ def _to_slices(blocks: DataFrame) -> DataFrame:
     return blocks.repartition("slice").sortWithinPartitions("slice", "kind")
 
 
-def remove_repeats(
-    docs: DataFrame, index: FingerprintIndex, history: DataFrame | None = None, id_col: str = "doc_id", text_col: str = "text",
-    *, window: int = 13, k: int = 5, most_runs: int = 8,
-) -> DataFrame:
-    """One row per input row: doc_id, n_words, n_removed, kept_sha256, kept (the words that remain).
+def _named(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """Ids and texts under names of their own, so that all joins below plan the same shuffle of the texts and share it."""
+    return docs.select(F.col(f"`{id_col}`").alias("__id"), F.col(f"`{text_col}`").alias("__body")).filter("__id IS NOT NULL")
 
-    A word goes if a window that covers it has the word sequence of a window of a document with a
-    smaller doc_id, or of any document that ``index`` already holds; ``history`` then gives those
-    documents' ids and texts.  The batch becomes a run of the index, which is compacted beyond
-    ``most_runs`` runs.  Null, empty and blank texts have no words; texts shorter than a window lose
-    none.  Rows with a null doc_id keep everything and are not indexed; rows that repeat a doc_id are
-    one document and never remove each other's words.
+
+def _lost_windows(view: DataFrame, own: DataFrame, past: DataFrame | None, index: FingerprintIndex, window: int, k: int, most_runs: int) -> DataFrame:
+    """(doc_id, starts) of the windows that a batch loses; the batch becomes a run of the index.
+
+    ``view`` (doc_id, text) is scanned once; ``own`` and ``past`` (__id, __body) are the texts of the batch
+    and of what the index holds, joined with the documents that have suspects.
     """
-    whole = documents_view(docs, id_col, text_col)
-    view = whole.filter("doc_id IS NOT NULL")
-    # under other names, so that the two joins below plan the same shuffle of the texts and share it
-    shuffled = docs.select(F.col(f"`{id_col}`").alias("__id"), F.col(f"`{text_col}`").alias("__body")).filter("__id IS NOT NULL")
+    if index.runs() and past is None:
+        raise ValueError("the index holds documents already: give their texts as history, or repeats of them would stay")
     blocks = view.mapInArrow(_fingerprint_blocks(window, k, index.slices), _BLOCKS)
-    if (past := index.read()) is not None:
-        blocks = blocks.unionByName(past.select("slice", F.lit(_PAST).alias("kind"), "block"))
+    if (known := index.read()) is not None:
+        blocks = blocks.unionByName(known.select("slice", F.lit(_PAST).alias("kind"), "block"))
     run, slices = scratch_path(index.spark, "merged-fingerprints"), index.slices
     _to_slices(blocks).mapInArrow(lambda batches: _merge_fingerprints(batches, slices), _MERGED).write.partitionBy("part").parquet(run)
     index.commit(f"{run}/part=run")
     if len(index.runs()) > most_runs:
         index.compact()
     found = index.spark.read.schema(_MERGED).parquet(run).filter("part = 'suspect'").select("doc_id", "h")
-    suspects = found.groupBy("doc_id").agg(F.collect_set("h").alias("hs"))
-    named = [F.col("__id").alias("doc_id"), F.col("__body").alias("text")]
-    texts = shuffled.join(suspects.withColumnRenamed("doc_id", "__id"), "__id").select(*named, "hs", F.lit(0).alias("old"))
-    if history is not None:
-        before = documents_view(history, id_col, text_col).join(suspects, "doc_id").select("doc_id", "text", "hs", F.lit(1).alias("old"))
-        texts = texts.unionByName(before)
-    lost = (
-        _to_slices(texts.mapInArrow(_window_blocks(window, k, index.slices), _BLOCKS)).mapInArrow(_merge_windows, "doc_id long, start int")
-        .groupBy("doc_id").agg(F.collect_list("start").alias("starts"))
-    )
+    suspects = found.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set("h").alias("hs"))
+    named = [F.col("__id").alias("doc_id"), F.col("__body").alias("text"), "hs"]
+    texts = own.join(suspects, "__id").select(*named, F.lit(0).alias("old"))
+    if past is not None:
+        texts = texts.unionByName(past.join(suspects, "__id").select(*named, F.lit(1).alias("old")))
+    lost = _to_slices(texts.mapInArrow(_window_blocks(window, k, slices), _BLOCKS)).mapInArrow(_merge_windows, "doc_id long, start int")
+    return lost.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_list("start").alias("starts"))
+
+
+_KEPT = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string"
+
+
+def _without(rows: DataFrame, window: int, keep_text: bool) -> DataFrame:
+    """Rows of ``_KEPT`` from (__id, __body, starts); without ``keep_text`` the remaining words stay null."""
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out, starts = [], batch.column(batch.schema.get_field_index("starts"))
-            for i, (doc_id, raw) in enumerate(byte_rows(batch, ["doc_id", "text"])):
+            for i, (doc_id, raw) in enumerate(byte_rows(batch, ["__id", "__body"])):
                 words = (raw or b"").split()
                 n, kept = len(words), words
                 if starts[i].is_valid:
@@ -337,18 +385,75 @@ def remove_repeats(
                     depth = np.cumsum(np.bincount(at, minlength=n + 1) - np.bincount(at + window, minlength=n + 1))
                     kept = [words[j] for j in np.flatnonzero(depth[:n] == 0).tolist()]
                 text = b" ".join(kept)
-                out.append((doc_id, n, n - len(kept), hashlib.sha256(text).hexdigest(), text.decode()))
+                out.append((doc_id, n, n - len(kept), hashlib.sha256(text).hexdigest(), text.decode() if keep_text else None))
             cols = list(zip(*out)) or [()] * 5
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()))], ["doc_id", "n_words", "n_removed", "kept_sha256", "kept"])
 
-    nameless = whole.filter("doc_id IS NULL").withColumn("starts", F.lit(None).cast("array<int>"))
-    known = shuffled.join(lost.withColumnRenamed("doc_id", "__id"), "__id", "left").select(*named, "starts")
-    return known.unionByName(nameless).mapInArrow(finish, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
+    return rows.select("__id", "__body", "starts").mapInArrow(finish, _KEPT)
+
+
+def _nameless(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    view = documents_view(docs, id_col, text_col).filter("doc_id IS NULL")
+    return view.select(F.col("doc_id").alias("__id"), F.col("text").alias("__body"), F.lit(None).cast("array<int>").alias("starts"))
+
+
+def remove_repeats(
+    docs: DataFrame, index: FingerprintIndex, history: DataFrame | None = None, id_col: str = "doc_id", text_col: str = "text",
+    *, window: int = 13, k: int = 5, most_runs: int = 8,
+) -> DataFrame:
+    """One row per input row: doc_id, n_words, n_removed, kept_sha256, kept (the words that remain).
+
+    A word goes if a window that covers it has the word sequence of a window of a document with a
+    smaller doc_id, or of any document that ``index`` already holds; ``history`` then gives those
+    documents' ids and texts, and an index that holds any without it is an error.  The batch becomes a
+    run of the index, which is compacted beyond ``most_runs`` runs.  Null, empty and blank texts have no
+    words; texts shorter than a window lose none.  Rows with a null doc_id keep everything and are not
+    indexed; rows that repeat a doc_id are one document and never remove each other's words.
+    """
+    own = _named(docs, id_col, text_col)
+    past = None if history is None else _named(history, id_col, text_col)
+    lost = _lost_windows(documents_view(docs, id_col, text_col).filter("doc_id IS NOT NULL"), own, past, index, window, k, most_runs)
+    return _without(own.join(lost, "__id", "left").unionByName(_nameless(docs, id_col, text_col)), window, True)
+
+
+def remove_repeats_in_batches(
+    docs: DataFrame, index: FingerprintIndex, cuts: tuple[float, ...] = (0.6, 0.8), id_col: str = "doc_id", text_col: str = "text",
+    *, window: int = 13, k: int = 5, most_runs: int = 2, keep_text: bool = False,
+) -> DataFrame:
+    """``remove_repeats`` of a whole corpus by an index that grows: batches of ascending doc_id, cut at quantiles of it.
+
+    The result is that of one batch, as earlier batches have smaller ids.  The texts are shuffled once,
+    into a table bucketed by id that every batch and its history read; the index must be empty.  All rows
+    are written before this returns.  Without ``keep_text`` column kept is null.
+    """
+    spark = docs.sparkSession
+    if index.runs():
+        raise ValueError("the index must be empty: its documents may have larger ids than these")
+    table, buckets = f"flowrings_texts_{uuid.uuid4().hex}", int(spark.conf.get("spark.sql.shuffle.partitions"))
+    own = _named(docs, id_col, text_col)
+    bounds = [int(x) for x in own.approxQuantile("__id", list(cuts), 0.01)]
+    own.repartition(buckets, "__id").write.option("path", scratch_path(spark, "texts")).option("compression", "zstd").bucketBy(buckets, "__id").saveAsTable(table)
+    texts, parts = spark.table(table), [_without(_nameless(docs, id_col, text_col), window, keep_text)]
+    view = documents_view(docs, id_col, text_col).filter("doc_id IS NOT NULL")
+    for low, high in zip([None, *bounds], [*bounds, None]):
+        within = lambda c, low=low, high=high: (F.lit(True) if low is None else F.col(c) > low) & (F.lit(True) if high is None else F.col(c) <= high)
+        past = None if low is None else texts.filter(F.col("__id") <= low)
+        batch = texts.filter(within("__id"))
+        lost = _lost_windows(view.filter(within("doc_id")), batch, past, index, window, k, most_runs)
+        parts.append(materialize(_without(batch.join(lost, "__id", "left"), window, keep_text), "without-repeats"))
+        del lost, batch, past
+        release_shuffles(spark)
+    spark.sql(f"DROP TABLE {table}")
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.unionByName(x)
+    return out
 
 
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Three batches: the second and third meet the runs of those before, and the last compacts them."""
     index = FingerprintIndex(spark, scratch_path(spark, "fingerprint-index"))
-    return remove_repeats(spark.read.parquet(f"{sf_dir}/documents.parquet"), index).drop("kept")
+    return remove_repeats_in_batches(spark.read.parquet(f"{sf_dir}/documents.parquet"), index).drop("kept")
 
 
 ORACLE = r"""

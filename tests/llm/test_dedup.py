@@ -41,6 +41,21 @@ def test_exact_index_grows_and_remembers(spark, documents):
         index.drop()
 
 
+@pytest.mark.parametrize("batches", [1, 3, 7])
+def test_exact_in_batches_equals_one(spark, documents, prose, batches):
+    """Batches of descending ids through a growing index: the same rows, null ids and repeated ids included."""
+    texts, ids = [*prose, "same", "same", "same", "only null", None], [*range(len(prose)), 7, 7, None, None, None]
+    show = lambda df: sorted(map(str, df.select("doc_id", "keep_id", "group_size", "kept", "text_sha256").collect()))
+    want = show(exact_dedup.deduplicate_once(documents(texts, ids), batches=1))
+    index = exact_dedup.DigestIndex(spark, f"digests_batches_{batches}", 4)
+    index.drop()
+    try:
+        assert show(exact_dedup.deduplicate_in_batches(documents(texts, ids), index, batches)) == want
+        assert index.read().count() == len({t or "" for t in texts})
+    finally:
+        index.drop()
+
+
 def brute_fingerprint(text):
     words = re.findall(r"[^\x20\x09-\x0D]+", "".join(c.lower() if c.isascii() else c for c in text))
     if not words:
@@ -161,6 +176,45 @@ def test_substrings_in_batches(spark, documents, prose):
     assert all(kept[0] < 13 or kept[1] == kept[0] for kept in again.values())
 
 
+@pytest.mark.parametrize("cuts", [(0.6, 0.8), (0.1, 0.2, 0.5, 0.9)])
+def test_substrings_of_a_corpus_in_batches(spark, documents, prose, cuts, monkeypatch):
+    """An index that grows and is compacted, also into more slices and small blocks, gives what one batch gives."""
+    monkeypatch.setattr(substring_dedup, "_SLICE_POSTINGS", 100)
+    monkeypatch.setattr(substring_dedup, "_CHUNK", 7)
+    texts, ids = [*prose, prose[9], prose[9]], [*range(len(prose)), None, 3]
+    index = substring_dedup.FingerprintIndex(spark, scratch_path(spark, "t-index"), 2)
+    got = substring_dedup.remove_repeats_in_batches(documents(texts, ids), index, cuts)
+    one = substring_dedup.FingerprintIndex(spark, scratch_path(spark, "t-index"), 2)
+    want = substring_dedup.remove_repeats(documents(texts, ids), one)
+    columns = ["doc_id", "n_words", "n_removed", "kept_sha256"]
+    assert sorted(map(str, got.select(*columns).collect())) == sorted(map(str, want.select(*columns).collect()))
+    assert len(index.runs()) <= 2 and index.slices > 2
+    postings = lambda i: sorted((int(h), int(d)) for r in i.read().collect() for h, d in zip(*unpack(r.block, 2)))
+    assert postings(index) == postings(one) and all(r.n == len(unpack(r.block, 2)[0]) for r in index.read().collect())
+    with pytest.raises(ValueError, match="empty"):
+        substring_dedup.remove_repeats_in_batches(documents(texts, ids), index)
+
+
+def test_filled_index_needs_its_texts(spark, documents):
+    long = " ".join(f"w{i}" for i in range(30))
+    index = substring_dedup.FingerprintIndex(spark, scratch_path(spark, "t-index"), 3)
+    substring_dedup.remove_repeats(documents([long], [1]), index).collect()
+    with pytest.raises(ValueError, match="history"):
+        substring_dedup.remove_repeats(documents([long], [2]), index)
+    assert rows(substring_dedup.remove_repeats(documents([long], [2]), index, history=documents([long], [1])))[2][1] == 30
+
+
+def test_long_texts_and_repeated_rows(spark, documents):
+    """A text of 200,000 words, equal rows with one id, equal rows with two."""
+    huge = " ".join(f"{i:x}" for i in range(200_000))
+    docs = documents([huge, huge, huge + " tail", "short", "short"], [1, 1, 2, 3, 4])
+    index = substring_dedup.FingerprintIndex(spark, scratch_path(spark, "t-index"), 3)
+    got = sorted((r.doc_id, r.n_words, r.n_removed) for r in substring_dedup.remove_repeats_in_batches(docs, index).collect())
+    assert got == [(1, 200_000, 0), (1, 200_000, 0), (2, 200_001, 200_000), (3, 1, 0), (4, 1, 0)]
+    lines = line_dedup.drop_repeated_lines(documents(["a" * 300_000 + "\nx"] * 3 + [None], [1, 2, 3, 3])).collect()
+    assert sorted((r.doc_id, r.n_lines, r.n_dropped) for r in lines) == [(1, 2, 1), (2, 2, 1), (3, 1, 0), (3, 2, 0)]
+
+
 def test_flushes_do_not_matter(spark, documents, prose, monkeypatch):
     monkeypatch.setattr(substring_dedup, "_FLUSH", 50)
     monkeypatch.setattr(substring_dedup, "_CHUNK", 7)
