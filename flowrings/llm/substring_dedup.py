@@ -37,6 +37,8 @@ _RUN = "slice int, least long, n long, block binary"
 _FLUSH, _CHUNK = 1_000_000, 10_000
 #: Postings that a slice holds on average before compaction doubles the number of slices.
 _SLICE_POSTINGS = 4_000_000
+#: Suspect postings for each slice of the windows that are verified: some 100,000 windows, so that blocks stay large.
+_SLICE_SUSPECTS = 20_000
 
 
 class FingerprintIndex:
@@ -47,7 +49,7 @@ class FingerprintIndex:
         self._fs_path = spark._jvm.org.apache.hadoop.fs.Path
         self._fs = self._fs_path(self.path).getFileSystem(spark._jsc.hadoopConfiguration())
         names = self.runs()
-        self.slices = int(names[0].rsplit("-", 1)[1]) if names else slices or 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+        self.slices = int(names[0].rsplit("-", 1)[1]) if names else slices or int(spark.conf.get("spark.sql.shuffle.partitions"))
 
     def runs(self) -> list[str]:
         """Names of the runs, oldest first: run-<number>-<slices>."""
@@ -358,12 +360,13 @@ def _lost_windows(view: DataFrame, own: DataFrame, past: DataFrame | None, index
     if len(index.runs()) > most_runs:
         index.compact()
     found = index.spark.read.schema(_MERGED).parquet(run).filter("part = 'suspect'").select("doc_id", "h")
+    spread = min(2 * int(index.spark.conf.get("spark.sql.shuffle.partitions")), 1 + found.count() // _SLICE_SUSPECTS)
     suspects = found.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set("h").alias("hs"))
     named = [F.col("__id").alias("doc_id"), F.col("__body").alias("text"), "hs"]
     texts = own.join(suspects, "__id").select(*named, F.lit(0).alias("old"))
     if past is not None:
         texts = texts.unionByName(past.join(suspects, "__id").select(*named, F.lit(1).alias("old")))
-    lost = _to_slices(texts.mapInArrow(_window_blocks(window, k, slices), _BLOCKS)).mapInArrow(_merge_windows, "doc_id long, start int")
+    lost = _to_slices(texts.mapInArrow(_window_blocks(window, k, spread), _BLOCKS)).mapInArrow(_merge_windows, "doc_id long, start int")
     return lost.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_list("start").alias("starts"))
 
 
@@ -417,12 +420,13 @@ def remove_repeats(
 
 
 def remove_repeats_in_batches(
-    docs: DataFrame, index: FingerprintIndex, cuts: tuple[float, ...] = (0.6, 0.8), id_col: str = "doc_id", text_col: str = "text",
+    docs: DataFrame, index: FingerprintIndex, cuts: tuple[float, ...] = (0.8, 0.9), id_col: str = "doc_id", text_col: str = "text",
     *, window: int = 13, k: int = 5, most_runs: int = 2, keep_text: bool = False,
 ) -> DataFrame:
     """``remove_repeats`` of a whole corpus by an index that grows: batches of ascending doc_id, cut at quantiles of it.
 
-    The result is that of one batch, as earlier batches have smaller ids.  The texts are shuffled once,
+    By default the first batch is a corpus's initial load, and two increments follow.  The result is that
+    of one batch, as earlier batches have smaller ids.  The texts are shuffled once,
     into a table bucketed by id that every batch and its history read; the index must be empty.  All rows
     are written before this returns.  Without ``keep_text`` column kept is null.
     """

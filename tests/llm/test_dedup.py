@@ -108,6 +108,20 @@ def test_long_posting_lists_lose_no_link(spark, longest):
     assert [find(i) for i in range(len(fps))] == brute_components(fps)
 
 
+def test_tally_counts_shared_positional_bytes():
+    """Pairs from the posting lists are exactly those that share enough bytes, in small and large partitions."""
+    rng = np.random.default_rng(3)
+    for n in (2, 3, 40):
+        for common in (0, 4, 7):
+            table = rng.integers(0, 3, (n, 8), dtype=np.uint8)
+            table[:, :common] = 7
+            fps = np.unique(table.reshape(-1).view(np.uint64))
+            own = fps.view(np.uint8).reshape(-1, 8)
+            want = {(i, j) for i in range(len(fps)) for j in range(i + 1, len(fps)) if (own[i] == own[j]).sum() >= 5}
+            if len(fps) > 1:
+                assert set(zip(*(x.tolist() for x in simhash.tallied_pairs(fps, 5)))) == want
+
+
 def test_blocks_avoid_any_three_positions():
     for bad in [(a, b, c) for a in range(8) for b in range(a) for c in range(b)]:
         assert sum(not set(bad) & set(q) for q in simhash.blocks()) >= 1
@@ -176,7 +190,7 @@ def test_substrings_in_batches(spark, documents, prose):
     assert all(kept[0] < 13 or kept[1] == kept[0] for kept in again.values())
 
 
-@pytest.mark.parametrize("cuts", [(0.6, 0.8), (0.1, 0.2, 0.5, 0.9)])
+@pytest.mark.parametrize("cuts", [(0.8, 0.9), (0.1, 0.2, 0.5, 0.9)])
 def test_substrings_of_a_corpus_in_batches(spark, documents, prose, cuts, monkeypatch):
     """An index that grows and is compacted, also into more slices and small blocks, gives what one batch gives."""
     monkeypatch.setattr(substring_dedup, "_SLICE_POSTINGS", 100)
