@@ -31,13 +31,19 @@ def keys_of(url: Column) -> Column:
     return F.when(host == "", none).otherwise(F.array_distinct(F.concat(domains, F.coalesce(paths, none))))
 
 
+def key_of_entry(key: Column) -> Column:
+    """A list key in the form of ``keys_of``: the host part in lower case, the path as it is."""
+    host = F.substring_index(key, "/", 1)
+    return F.concat(F.lower(host), F.substr(key, F.length(host) + 1))
+
+
 def intervals(entries: DataFrame) -> DataFrame:
     """(list_name, key, verdict, since, until): half-open days; until is null while the entry stands.
 
     Entries with a null key or day count for nothing.  On one day the addition comes after the
     removal, so it stands; repeated entries count once.
     """
-    known = entries.filter("key IS NOT NULL AND day IS NOT NULL").select("list_name", F.lower("key").alias("key"), "verdict", "event", "day")
+    known = entries.filter("key IS NOT NULL AND day IS NOT NULL").select("list_name", key_of_entry(F.col("key")).alias("key"), "verdict", "event", "day")
     ordered = Window.partitionBy("list_name", "key").orderBy("day", F.col("event") == "add", "verdict")
     return (
         known.distinct().withColumn("until", F.lead("day").over(ordered)).filter("event = 'add' AND (until IS NULL OR until > day)")
@@ -45,22 +51,34 @@ def intervals(entries: DataFrame) -> DataFrame:
     )
 
 
+def timelines(entries: DataFrame) -> DataFrame:
+    """(key, spans): the intervals of each key over all lists, by their first day.
+
+    A list has at most one interval of a key for each day that it covers, which bounds an array.
+    """
+    span = F.struct("since", "until", "list_name", "verdict")
+    return intervals(entries).groupBy("key").agg(F.array_sort(F.collect_list(span)).alias("spans"))
+
+
 def judge(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", day_col: str = "fetched") -> DataFrame:
     """One row per capture: id, host, n_hits, matched (list:key pairs, sorted), blocked.
 
-    A null or relative URL has no host and no hits; a null fetch day meets no interval.  Captures that
-    repeat an id share their hits.  The join is on the key, so a hot host is split by adaptive
-    execution; only hits are grouped by capture.
+    A null or relative URL has no host and no hits; a null fetch day meets no interval.  A verdict belongs
+    to a URL and a day: captures that repeat an id are each judged by their own, captures that repeat all
+    three share theirs.  The as-of join meets each capture and key with one timeline, in which the spans
+    in force on the day are looked up, so revisions of a key multiply no rows; a hot host is split by
+    adaptive execution, and only hits are grouped.
     """
     own = captures.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{url_col}`").alias("url"), F.col(f"`{day_col}`").alias("fetched"))
-    asked = own.select("id", "fetched", F.explode(keys_of(F.col("url"))).alias("key"))
-    hits = asked.join(intervals(entries), "key").filter("fetched >= since AND (until IS NULL OR fetched < until)")
-    judged = hits.groupBy("id").agg(
+    asked = own.select("url", "fetched", F.explode(keys_of(F.col("url"))).alias("key"))
+    in_force = F.filter("spans", lambda x: (F.col("fetched") >= x["since"]) & (x["until"].isNull() | (F.col("fetched") < x["until"])))
+    hits = asked.join(timelines(entries), "key").select("url", "fetched", "key", F.explode(in_force).alias("span")).select("url", "fetched", "key", "span.list_name", "span.verdict")
+    judged = hits.groupBy(F.col("url").alias("hit_url"), F.col("fetched").alias("hit_day")).agg(
         F.countDistinct("list_name", "key").alias("n_hits"),
         F.array_join(F.array_sort(F.collect_set(F.concat_ws(":", "list_name", "key"))), ",").alias("matched"),
         F.max(F.struct(F.length("key").alias("n"), (F.col("verdict") == "block").alias("block")))["block"].alias("blocked"),
     )
-    return own.join(judged, "id", "left").select(
+    return own.join(judged, (F.col("url") == F.col("hit_url")) & (F.col("fetched") == F.col("hit_day")), "left").select(
         F.col("id").alias(id_col), host_of(F.col("url")).alias("host"), F.coalesce("n_hits", F.lit(0).cast("long")).alias("n_hits"),
         F.coalesce("matched", F.lit("")).alias("matched"), F.coalesce("blocked", F.lit(False)).alias("blocked"),
     )
