@@ -1,14 +1,16 @@
 """SimHash near-duplicates by an inverted index over byte positions, with count filtering.
 
 Two 64-bit fingerprints within 3 bits differ in at most 3 of their 8 bytes, so they share at least 5
-positional bytes.  A posting list of the index holds the fingerprints that agree in 4 given positions;
-the 14 blocks of the Steiner system S(3,4,8) are enough lists, since the complement of one of them
-avoids any 3 differing positions.  Within a list the shared positional bytes of each pair are tallied,
-pairs with fewer than 5 go, the rest is verified bit by bit.
-
-A list that is too long (many near-copies) is refined in the same way over the nibbles, then the
+positional bytes: the guaranteed minimum.  A list over one position alone would hold 1/256 of all
+fingerprints, so the index has two levels.  A partition of it holds the fingerprints that agree in 4 given
+positions, which count 4; the 14 blocks of the Steiner system S(3,4,8) are enough partitions, since the
+complement of one of them avoids any 3 differing positions.  Inside a partition each further position has
+a posting list for each byte, the counts of a pair are added up over these lists, and only pairs that
+reach the minimum exist at all; those are verified bit by bit.
+
+A partition that is too large (many near-copies) is refined in the same way over the nibbles, then the
 2-bit pieces, then the bits that are left, so no task ever compares more than ``longest`` fingerprints
-and no pair is lost.  A list yields a spanning forest of its links instead of all of them.
+and no pair is lost.  A partition yields a spanning forest of its links instead of all of them.
 """
 
 from __future__ import annotations
@@ -77,12 +79,36 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
+def tallied_pairs(fps: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs (i < j) of distinct fingerprints that meet in at least ``least`` posting lists of (position, byte).
+
+    A position in which all agree counts for every pair and needs no list.
+    """
+    n, table = len(fps), fps.view(np.uint8).reshape(-1, 8)
+    if n == 2:  # most partitions: the lists of one pair are the positions in which it agrees
+        met = np.zeros(int((table[0] == table[1]).sum() >= least), np.int64)
+        return met, met + 1
+    free = np.flatnonzero((table != table[0]).any(axis=0))
+    least -= 8 - len(free)
+    if least <= 0:
+        return np.triu_indices(n, 1)
+    met = []
+    for p in free.tolist():
+        order = np.argsort(table[:, p], kind="stable")
+        for group in np.split(order, np.flatnonzero(np.diff(table[order, p])) + 1):
+            if len(group) > 1:
+                i, j = np.triu_indices(len(group), 1)
+                met.append(group[i] * n + group[j])
+    if not met:
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    pair, count = np.unique(np.concatenate(met), return_counts=True)
+    return np.divmod(pair[count >= least], n)
+
+
 def spanning_links(fps: np.ndarray, most_bits: int, min_shared: int) -> list[tuple[int, int]]:
     """A spanning forest of the links among distinct fingerprints (unsigned), as signed pairs."""
-    differ = fps[:, None] ^ fps[None, :]
-    shared = (differ.view(np.uint8).reshape(len(fps), len(fps), 8) == 0).sum(axis=2)
-    a, b = np.nonzero(np.triu(shared >= min_shared, 1))
-    near = np.bitwise_count(differ[a, b]) <= most_bits
+    a, b = tallied_pairs(fps, min_shared)
+    near = np.bitwise_count(fps[a] ^ fps[b]) <= most_bits
     parent = list(range(len(fps)))
 
     def root(x: int) -> int:
@@ -100,7 +126,10 @@ def spanning_links(fps: np.ndarray, most_bits: int, min_shared: int) -> list[tup
 
 
 def near_links(fps: DataFrame, most_bits: int = 3, longest: int = 256) -> DataFrame:
-    """(a, b): links between distinct fingerprints (column fp) that connect all that lie within ``most_bits``."""
+    """(a, b): links between distinct fingerprints (column fp) that connect all that lie within ``most_bits``.
+
+    ``longest`` bounds the fingerprints that one task tallies at once; larger partitions are refined.
+    """
     spark = fps.sparkSession
     if most_bits > 3:
         raise ValueError("the index covers at most 3 differing bits")
