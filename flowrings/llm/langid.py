@@ -1,12 +1,13 @@
 """Language identification: sparse multinomial logistic regression on TF-IDF character n-grams.
 
-Document frequencies are counted over all training documents.  Weights are fitted on a bounded,
-documented sample by follow-the-regularised-leader steps with elastic-net penalties, and one
-temperature is fitted on a part of the sample that the weights have not seen.
+Document frequencies and languages are counted over all training documents.  Weights are fitted on a
+bounded, documented sample, dealt out by language, by follow-the-regularised-leader steps with
+elastic-net penalties, and one temperature is fitted on a part of the sample that the weights have not seen.
 """
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,7 +16,6 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from flowrings.llm.arrow import byte_rows, documents_view, held_out
-from flowrings.llm.sample import sample_ids
 
 BITS = 16
 
@@ -111,59 +111,82 @@ def fit_temperature(logits: np.ndarray, y: np.ndarray) -> float:
     return float(np.exp((lo + hi) / 2))
 
 
-def train(docs: DataFrame, sample: int = 4_000, calibrate: float = 0.2) -> LanguageModel:
-    """Learn from documents with a language that are not held out; weights from at most ``sample`` of them.
+def quotas(counts: dict[str, int], sample: int, least: int) -> dict[str, int]:
+    """Documents to take of each language: its share of ``sample``, ``least`` where that is less, never more than it has."""
+    total = max(1, sum(counts.values()))
+    return {k: min(n, max(least, round(sample * n / total))) for k, n in counts.items()}
 
-    Null texts are left out.  Without any such document every prediction is ``und``.
+
+def train(
+    docs: DataFrame, sample: int = 4_000, calibrate: float = 0.2, least: int = 40, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang"
+) -> LanguageModel:
+    """Learn from documents with a language that are not held out; weights from about ``sample`` of them.
+
+    Every language of the training documents is a class.  The sample takes each language's share of
+    ``sample``, at least ``least`` documents (all of a language that has fewer), the first by a hash of the
+    id; of each language the part ``calibrate`` is set aside for the temperature.  Null texts, null
+    languages and null ids are left out; repeated rows enter the sample once.  Without any training document
+    every prediction is ``und``.
     """
-    known = docs.select("doc_id", "text", "lang").filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out())
+    known = docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{text_col}`").alias("text"), F.col(f"`{lang_col}`").alias("lang"))
+    known = known.filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out())
 
     def frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        df, n = np.zeros(1 << BITS, np.int64), 0
+        df, of = np.zeros(1 << BITS, np.int64), Counter()
         for batch in batches:
-            for (raw,) in byte_rows(batch, ["text"]):
-                df[ngram_counts(raw.decode())[0]] += 1
-                n += 1
+            for raw, lang in byte_rows(batch, ["text", "lang"]):
+                at = ngram_counts(raw.decode())[0]
+                df[at] += 1
+                of[lang.decode()] += len(at) > 0
         at = np.flatnonzero(df)
-        yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1)), pa.array(np.append(df[at], n))], ["feature", "n"])
+        yield pa.RecordBatch.from_arrays([pa.array([*at.tolist(), *[-1] * len(of)], pa.int64()), pa.array([*[None] * len(at), *of], pa.string()), pa.array([*df[at].tolist(), *of.values()], pa.int64())], ["feature", "lang", "n"])
 
-    counted = known.select("text").mapInArrow(frequencies, "feature long, n long").groupBy("feature").agg(F.sum("n").alias("n")).toArrow()
+    counted = known.select("text", "lang").mapInArrow(frequencies, "feature long, lang string, n long").groupBy("feature", "lang").agg(F.sum("n").alias("n")).toArrow()
     feature, n = counted.column("feature").to_numpy(), counted.column("n").to_numpy()
-    total = int(n[feature == -1].sum())
+    of = {k: int(x) for k, x in zip(counted.column("lang").to_pylist(), n.tolist()) if k is not None and x > 0}
     df = np.zeros(1 << BITS)
     df[feature[feature >= 0]] = n[feature >= 0]
-    idf = np.log((1 + total) / (1 + df)) + 1
-
-    chosen = docs.sparkSession.createDataFrame([(r[0],) for r in sample_ids(known.filter(F.col("doc_id").isNotNull()).select("doc_id"), sample).collect()], "doc_id long")
+    idf = np.log((1 + sum(of.values())) / (1 + df)) + 1
+    classes = sorted(of)
+    model = LanguageModel(idf, np.zeros((1 << BITS, len(classes))), np.zeros(len(classes)), classes)
+    if not classes:
+        return model
 
     def vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out = []
-            for doc_id, raw, lang in byte_rows(batch, ["doc_id", "text", "lang"]):
+            for doc_id, order, raw, lang in byte_rows(batch, ["doc_id", "order", "text", "lang"]):
                 at, counts = ngram_counts(raw.decode())
                 if len(at):
-                    out.append((doc_id, lang.decode(), at.astype(np.int32).tobytes(), counts.astype(np.int32).tobytes()))
-            cols = list(zip(*out)) or [()] * 4
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.string(), pa.binary(), pa.binary()))], ["doc_id", "lang", "at", "counts"])
-
-    got = known.join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "lang").mapInArrow(vectors, "doc_id long, lang string, at binary, counts binary")
-    got = got.withColumn("__order", F.xxhash64("doc_id")).toArrow().sort_by([("__order", "ascending"), ("doc_id", "ascending"), ("lang", "ascending")]).to_pylist()
-    classes = sorted({r["lang"] for r in got})
-    model = LanguageModel(idf, np.zeros((1 << BITS, len(classes))), np.zeros(len(classes)), classes)
-    rows = []
-    for r in got:
-        at = np.frombuffer(r["at"], np.int32).astype(np.int64)
-        rows.append((at, model.vector(at, np.frombuffer(r["counts"], np.int32)), classes.index(r["lang"])))
-    kept = max(1, round(len(rows) * (1 - calibrate)))
-    model.weights, model.bias = ftrl(rows[:kept], len(classes)) if rows else (model.weights, model.bias)
-    rest = rows[kept:]
+                    out.append((doc_id, order, lang.decode(), at.astype(np.int32).tobytes(), counts.astype(np.int32).tobytes()))
+            cols = list(zip(*out)) or [()] * 5
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.string(), pa.binary(), pa.binary()))], ["doc_id", "order", "lang", "at", "counts"])
+
+    # a hash limit by language that lets a little more than its quota through: one scan, no sort of the corpus
+    wanted = quotas(of, sample, least)
+    limit = {k: min(1.0, (q + 6 * q**0.5 + 20) / of[k]) for k, q in wanted.items()}
+    limits = docs.sparkSession.createDataFrame([(k, min(int(x * (1 << 63)), (1 << 63) - 1)) for k, x in limit.items()], "lang string, below long")
+    drawn = known.withColumn("order", F.shiftrightunsigned(F.xxhash64("doc_id", "text", "lang"), 1)).join(F.broadcast(limits), "lang").filter("order <= below")
+    got = drawn.dropDuplicates(["order"]).select("doc_id", "order", "text", "lang").mapInArrow(vectors, "doc_id long, order long, lang string, at binary, counts binary").toArrow()
+    rows, rest, taken = [], [], Counter()
+    for r in got.sort_by([(c, "ascending") for c in ("order", "doc_id", "lang", "at", "counts")]).to_pylist():
+        k = r["lang"]
+        if taken[k] < wanted[k]:
+            at = np.frombuffer(r["at"], np.int32).astype(np.int64)
+            held = int((taken[k] + 1) * calibrate) > int(taken[k] * calibrate)  # every fifth of a language at 0.2
+            (rest if held else rows).append((at, model.vector(at, np.frombuffer(r["counts"], np.int32)), classes.index(k)))
+            taken[k] += 1
+    model.weights, model.bias = ftrl(rows, len(classes)) if rows else (model.weights, model.bias)
     logits = np.array([x @ model.weights[at] + model.bias for at, x, _ in rest])
     model.temperature = fit_temperature(logits, np.array([y for _, _, y in rest], np.int64))
     return model
 
 
 def predict(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per input row: doc_id, lang_pred, score.  ``und`` with score 0 for null texts and texts without letters."""
+    """One row per input row: doc_id, lang_pred, score.  ``und`` with score 0 for null texts and texts without letters.
+
+    Equal scores go to the first class by name.  Rows are judged by their own text, whatever their ids.
+    """
     known = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
