@@ -1,20 +1,22 @@
 """Personal data in texts: patterns propose spans, checksums confirm them, context words adjust a score.
 
 Base kinds (email, ip, card, phone) are kept whenever pattern and check hold.  Further kinds (iban,
-routing, ssn) start from a prior that their checksum raises and that words nearby raise or lower; a
-span is kept from ``threshold`` on.  All offsets count code points, ends exclusive.
+routing, ssn, secret) start from a prior that their check raises and that words nearby raise or lower; a
+span is kept from ``threshold`` on.  A secret is a key or token: its check is the entropy of its characters.  All offsets count code points, ends exclusive.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
+from collections import Counter
+from math import log2
 
 from pyspark.sql import DataFrame, SparkSession
 
 from flowrings.llm.arrow import documents_view, map_rows
 
-KINDS = ("email", "ip", "card", "phone", "iban", "routing", "ssn")
+KINDS = ("email", "ip", "card", "phone", "iban", "routing", "ssn", "secret")
 BASE = KINDS[:4]
 
 # The patterns. Runs are matched possessively or from their first character only, which
@@ -28,14 +30,16 @@ _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]{4}){2,7}(?:\x20?[A-Z0-9]{1,3})?(?![A-Za-z0-9])")
 _ROUTING = re.compile(r"(?<![0-9A-Za-z.-])[0-9]{9}(?![0-9A-Za-z-])")
 _SSN = re.compile(r"(?<![0-9-])(?!000|666|9)[0-9]{3}-(?!00)[0-9]{2}-(?!0000)[0-9]{4}(?![0-9-])")
+_SECRET = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{20,200}={0,2}(?![A-Za-z0-9+/_=-])")
 _NOT_DIGIT = re.compile(r"[^0-9]")
 # Context words, by kind; prior, gain of a passed checksum, gain or loss by a word nearby.
 _CONTEXT = {
     "iban": (re.compile(r"iban|account|konto|compte|cuenta|bank", re.I), re.compile(r"example|sample|dummy", re.I)),
     "routing": (re.compile(r"routing|aba|transit|bank", re.I), re.compile(r"order|ticket|invoice|serial", re.I)),
     "ssn": (re.compile(r"ssn|social security|tax", re.I), re.compile(r"order|ticket|part no|serial", re.I)),
+    "secret": (re.compile(r"token|secret|passw|credential|bearer|(?:api|access|private|auth)[ _-]?key", re.I), re.compile(r"sha-?[0-9]|md5|commit|checksum|digest|uuid", re.I)),
 }
-_PRIOR = {"iban": 0.3, "routing": 0.1, "ssn": 0.35}
+_PRIOR = {"iban": 0.3, "routing": 0.1, "ssn": 0.35, "secret": 0.1}
 _CHECKED, _NEAR, _AGAINST = 0.4, 0.3, 0.3
 
 
@@ -59,6 +63,13 @@ def aba(digits: str) -> bool:
     return digits != "000000000" and sum(w * int(c) for w, c in zip((3, 7, 1) * 3, digits)) % 10 == 0
 
 
+def random_looking(text: str, bits: float = 3.0) -> bool:
+    """Letters and digits both, and at least ``bits`` of entropy a character."""
+    if text.isalpha() or not any(c.isalpha() for c in text):
+        return False
+    return -sum(n / len(text) * log2(n / len(text)) for n in Counter(text).values()) >= bits
+
+
 def emails(text: str) -> list[tuple[int, int]]:
     """Leftmost non-overlapping matches, found from their domains: the local part is the run before the @."""
     found, last = [], 0
@@ -89,10 +100,10 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
 def scored_spans(text: str, near: int = 40) -> list[tuple[str, int, int, float]]:
     """Spans of the further kinds with their scores (0 to 1)."""
     out = []
-    for kind, pattern in (("iban", _IBAN), ("routing", _ROUTING), ("ssn", _SSN)):
+    for kind, pattern in (("iban", _IBAN), ("routing", _ROUTING), ("ssn", _SSN), ("secret", _SECRET)):
         for m in pattern.finditer(text):
             score = _PRIOR[kind]
-            if kind == "iban" and mod97(m[0].replace(" ", "")) or kind == "routing" and aba(m[0]):
+            if kind == "iban" and mod97(m[0].replace(" ", "")) or kind == "routing" and aba(m[0]) or kind == "secret" and random_looking(m[0]):
                 score += _CHECKED
             elif kind != "ssn":
                 continue
@@ -125,9 +136,10 @@ def _show(spans) -> str:
 
 
 def detect(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.6, near: int = 40) -> DataFrame:
-    """One row per input row: doc_id, counts by base kind, base_sha256, spans, masked (the text with its spans masked).
+    """One row per input row: doc_id, counts by base kind, base_sha256, spans, n_secret, masked (the text with its spans masked).
 
-    Null and empty texts have no spans.  Nothing is shuffled; a batch holds a bounded number of bytes.
+    Null and empty texts have no spans.  Rows are judged by their own text, whatever their ids.  Nothing is
+    shuffled; a batch holds a bounded number of bytes.
     """
 
     def row(doc_id, raw):
@@ -135,9 +147,9 @@ def detect(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", thre
         spans = find_spans(text, threshold, near)
         base = [x for x in spans if x[0] in BASE]
         counts = [sum(x[0] == k for x in base) for k in BASE]
-        return doc_id, *counts, hashlib.sha256(_show(base).encode()).hexdigest(), _show(spans), mask(text, spans)
+        return doc_id, *counts, hashlib.sha256(_show(base).encode()).hexdigest(), _show(spans), sum(x[0] == "secret" for x in spans), mask(text, spans)
 
-    schema = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, masked string"
+    schema = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_secret long, masked string"
     return map_rows(documents_view(docs, id_col, text_col), row, schema, ["doc_id", "text"])
 
 
