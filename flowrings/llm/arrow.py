@@ -28,6 +28,16 @@ def map_rows(df: DataFrame, row: Callable, schema: str, columns: list[str]) -> D
     return df.select(*columns).mapInArrow(run, schema)
 
 
+def keep_rows(df: DataFrame, test: Callable[[bytes | None], bool], text_col: str = "text") -> DataFrame:
+    """The rows, with all their columns, whose text (as UTF-8 bytes) passes; nothing is shuffled."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array([test(raw) for (raw,) in byte_rows(batch, [text_col])], pa.bool_()))
+
+    return df.mapInArrow(run, df.schema)
+
+
 def byte_rows(batch: pa.RecordBatch, columns: list[str]) -> Iterator[tuple]:
     """Rows of a batch, one at a time, with strings as UTF-8 bytes."""
     arrays = []

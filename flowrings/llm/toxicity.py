@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from flowrings.llm.arrow import byte_rows, documents_view, held_out
+from flowrings.llm.arrow import byte_rows, documents_view, held_out, keep_rows
 from flowrings.llm.sample import sample_ids
 
 BITS = 20
@@ -181,6 +181,12 @@ def score(docs: DataFrame, model: MilModel, id_col: str = "doc_id", text_col: st
     return documents_view(docs, id_col, text_col).mapInArrow(run, "doc_id long, score double, predicted int, n_flagged int, worst string")
 
 
+def keep_harmless(docs: DataFrame, model: MilModel, text_col: str = "text", threshold: float = 0.3) -> DataFrame:
+    """The rows of ``docs``, with all columns, that score below ``threshold``; each row is judged by its own text."""
+    known = docs.sparkSession.sparkContext.broadcast(model)
+    return keep_rows(docs, lambda raw: known.value.score((raw or b"").decode()) < threshold, text_col)
+
+
 def sentences(text: str) -> list[str]:
     """The sentences of a text in the order in which ``features`` numbers them."""
     out, last = [], 0

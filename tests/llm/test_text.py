@@ -1,10 +1,14 @@
 """PII, URL lists, language, tokens, toxicity, decontamination, pipeline."""
 
+import hashlib
 import random
 import re
 
+import numpy as np
 import pytest
 
+from pyspark.sql import functions as F
+
 from flowrings.llm import bpe, decontaminate, langid, pii, toxicity, url_filter
 
 EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
@@ -38,6 +42,28 @@ def test_checksums_and_context():
     assert pii.mask("mail a@b.co now", pii.find_spans("mail a@b.co now")) == "mail <email> now"
 
 
+def test_secrets_need_entropy_and_context():
+    kinds = lambda t: [x[0] for x in pii.find_spans(t)]
+    key = "04dbebab91ab85687d33eeaaf9ac699e1188f962"
+    assert kinds(f'token = "{key}"') == ["secret"] and kinds(f"commit {key}") == [] and kinds(f"see {key}") == []
+    assert kinds("password: " + "a" * 40) == [] and kinds("api_key=") == [] and kinds("secret " + "x1" * 20_000) == []
+    assert pii.mask(f"key token {key} end", pii.find_spans(f"key token {key} end")) == "key token <secret> end"
+
+
+def test_pii_digest_and_counts(documents, prose):
+    """base_sha256 and the counts against plain patterns, on rows with null, repeated and very long texts."""
+    order = ("email", "ip", "card", "phone")
+    texts = [*prose[:20], "a@b.co é 10.0.0.1 4111 1111 1111 1111 call +44 20 7946 0958, 300.1.1.1", "a@b.co " * 9000, None, "", "1.2.3.4.5.6.7.8 x@y.z@q.r"]
+    ids = [*range(len(texts) - 1), 3]
+    got = sorted((r.doc_id, r.n_email, r.n_ip, r.n_card, r.n_phone, r.base_sha256) for r in pii.detect(documents(texts, ids)).collect())
+    want = []
+    for i, t in zip(ids, texts):
+        spans = sorted(plain_spans(t or ""), key=lambda x: (x[1], order.index(x[0])))
+        want.append((i, *(sum(x[0] == k for x in spans) for k in order), hashlib.sha256(",".join(f"{k}:{s}:{e}" for k, s, e in spans).encode()).hexdigest()))
+    assert got == sorted(want)
+    assert pii.detect(documents(["x"]).limit(0)).count() == 0
+
+
 def test_pii_rows(documents):
     got = {r.doc_id: r for r in pii.detect(documents([None, "", "ß a@b.co +1 555 123 4567", "9" * 5000])).collect()}
     assert got[0].spans == got[1].spans == got[3].spans == ""
@@ -55,6 +81,22 @@ def test_url_list_follows_time(spark):
     assert url_filter.judge(caps.limit(0), entries).count() == 0 and url_filter.judge(caps, entries.limit(0)).filter("n_hits > 0").count() == 0
 
 
+def test_url_paths_keep_their_case_and_captures_their_day(spark):
+    entries = spark.sql("""SELECT list_name, key, verdict, event, CAST(day AS DATE) AS day FROM VALUES
+        ('a', 'Ex.COM/Path', 'block', 'add', '2024-02-01'), ('b', 'ex.com', 'allow', 'add', '2024-01-01'), ('b', 'ex.com', 'allow', 'remove', '2024-06-01'),
+        ('b', 'ex.com', 'allow', 'add', '2024-08-01'), ('b', 'ex.com', 'allow', 'add', '2024-08-01') AS t(list_name, key, verdict, event, day)""")
+    rows = [(1, "http://EX.com/Path/x", "2024-03-01"), (1, "http://ex.com/path", "2024-03-01"), (1, "http://ex.com/Path", "2024-01-15"), (1, "http://ex.com/Path", "2024-07-01"),
+            (None, "http://ex.com/Path", "2024-09-01"), (2, "http://ex.com/Path", "2024-09-01"), (2, "http://ex.com/Path", "2024-09-01"), (3, "", None), (4, "http://" + "a." * 50 + "ex.com/" + "p/" * 2000, "2024-03-01")]
+    caps = spark.createDataFrame(rows, "page_id long, url string, fetched string").selectExpr("page_id", "url", "cast(fetched as date) fetched", "1 spans", "'q' hit_url")
+    got = sorted(((r.page_id or 0), r.n_hits, r.matched, r.blocked) for r in url_filter.judge(caps, entries).collect())
+    both, b = (2, "a:ex.com/Path,b:ex.com", True), (1, "b:ex.com", False)
+    assert got == sorted([(1, *both), (1, *b), (1, *b), (1, 1, "a:ex.com/Path", True), (0, *both), (2, *both), (2, *both), (3, 0, "", False), (4, *b)])
+    changes = [("a", "hot.com", "block", ("add", "remove")[i % 2], f"2024-{1 + i // 28:02d}-{1 + i % 28:02d}") for i in range(200)]
+    many = spark.createDataFrame(changes, "list_name string, key string, verdict string, event string, day string").withColumn("day", F.col("day").cast("date"))
+    asked = spark.range(200).selectExpr("id AS page_id", "'http://hot.com/' AS url", "make_date(2024, cast(1 + id div 28 as int), cast(1 + id % 28 as int)) AS fetched")
+    assert {r.page_id: r.n_hits for r in url_filter.judge(asked, many).collect()} == {i: 1 - i % 2 for i in range(200)}
+
+
 def test_tokens_equal_the_library(documents):
     from tokenizers import Tokenizer
 
@@ -119,6 +161,118 @@ def test_language(spark, documents):
     assert langid.predict(docs, langid.train(docs.limit(0))).first().lang_pred == "und"
 
 
+def test_language_sample_is_dealt_by_language(spark):
+    """A language of one document in 500 is learned, repeated rows do not flood the sample, columns may be named otherwise."""
+    rng = random.Random(3)
+    parts = {"en": ["the", "ing", "tion"], "xx": ["qzq", "vvk", "zzk"]}
+    say = lambda k: " ".join("".join(rng.choice(parts[k]) for _ in range(3)) for _ in range(8))
+    rows = [(i, say("xx" if i % 250 == 0 else "en"), "xx" if i % 250 == 0 else "en") for i in range(2500)] + [(9, "the the the", "en")] * 2000 + [(None, "x", "yy")]
+    docs = spark.createDataFrame(rows, "key long, body string, said string").selectExpr("key", "body", "said", "'z' AS lang", "1 AS doc_id", "'t' AS text")
+    model = langid.train(docs, sample=200, least=5, id_col="key", text_col="body", lang_col="said")
+    assert model.classes == ["en", "xx"]
+    got = langid.predict(docs, model, "key", "body").join(docs.selectExpr("key AS doc_id", "said").distinct(), "doc_id").filter("said = 'xx'").collect()
+    assert len(got) == 10 and all(r.lang_pred == "xx" for r in got)
+    assert langid.quotas({"a": 10_000, "b": 7, "c": 300}, 1000, 40) == {"a": 970, "b": 7, "c": 40}
+    tie = langid.LanguageModel(model.idf, np.zeros((1 << langid.BITS, 2)), np.zeros(2), ["a", "b"])
+    assert tie.predict("text") == ("a", 0.5)
+
+
+def plain_ftrl(rows, n_classes, epochs, alpha, beta, l1, l2):
+    """The same steps with dictionaries, one coordinate at a time."""
+    z, n = {}, {}
+
+    def weight(j, c):
+        x = z.get((j, c), 0.0)
+        keep = abs(x) if j == "bias" else max(abs(x) - l1, 0.0)
+        return -(keep if x > 0 else -keep) / ((beta + n.get((j, c), 0.0) ** 0.5) / alpha + l2)
+
+    for _ in range(epochs):
+        for at, x, y in rows:
+            feats = [*zip(at.tolist(), x.tolist()), ("bias", 1.0)]
+            w = {(j, c): weight(j, c) for j, _ in feats for c in range(n_classes)}
+            s = [sum(v * w[j, c] for j, v in feats) for c in range(n_classes)]
+            e = [np.exp(t - max(s)) for t in s]
+            for j, v in feats:
+                for c in range(n_classes):
+                    g = v * (e[c] / sum(e) - (c == y))
+                    old = n.get((j, c), 0.0)
+                    n[j, c] = old + g * g
+                    z[j, c] = z.get((j, c), 0.0) + g - (n[j, c] ** 0.5 - old**0.5) / alpha * w[j, c]
+    return weight
+
+
+def test_ftrl_equals_plain_loops():
+    rng = np.random.default_rng(2)
+    rows = [(np.sort(rng.choice(30, 6, replace=False)), rng.uniform(0.1, 1, 6), int(rng.integers(3))) for _ in range(50)]
+    w, bias = langid.ftrl(rows, 3, epochs=2, alpha=0.5, beta=1.0, l1=0.3, l2=0.01)
+    weight = plain_ftrl(rows, 3, 2, 0.5, 1.0, 0.3, 0.01)
+    assert w[:30] == pytest.approx(np.array([[weight(j, c) for c in range(3)] for j in range(30)]))
+    assert bias == pytest.approx([weight("bias", c) for c in range(3)])
+    assert (w[30:] == 0).all() and (w[:30] == 0).any() and (w[:30] != 0).any()
+
+
+def test_temperature_is_the_best_of_a_grid():
+    rng = np.random.default_rng(4)
+    y = rng.integers(0, 3, 400)
+    logits = rng.normal(0, 1, (400, 3)) * 6
+    logits[np.arange(400), y] += 4
+
+    def loss(t):
+        z = logits / t
+        return float((np.log(np.exp(z - z.max(axis=1, keepdims=True)).sum(axis=1)) + z.max(axis=1) - z[np.arange(400), y]).mean())
+
+    best = langid.fit_temperature(logits, y)
+    assert best > 1.2 and all(loss(best) <= loss(t) + 1e-9 for t in np.exp(np.linspace(-2.9, 2.9, 200)))
+    assert langid.fit_temperature(np.empty((0, 3)), np.empty(0, int)) == 1.0
+
+
+def noisy_or_loss(bags, w, bias, l2):
+    """Negative log likelihood of the labels a document, sentence by sentence, and the penalty."""
+    total = 0.0
+    for label, n, where, f in bags:
+        z = [bias + sum(w[k] for i, k in zip(where, f) if i == s) for s in range(n)]
+        none = np.prod([1 - 1 / (1 + np.exp(-t)) for t in z])
+        total -= np.log(1 - none) if label else np.log(none)
+    return total / len(bags) + l2 * (w**2).sum() / 2 / len(bags)
+
+
+def test_noisy_or_fit_is_a_minimum():
+    """Dense and one-class documents: no small step from the fitted weights lowers the loss by much."""
+    rng = np.random.default_rng(7)
+    bags = []
+    for i in range(60):
+        n, m = int(rng.integers(1, 5)), 6
+        where, f = np.sort(rng.integers(0, n, m)).astype(np.int32), rng.integers(1, 5, m).astype(np.int32)
+        if label := int(i % 3 == 0):
+            f[0] = 0
+        bags.append((label, n, where, f))
+    w, bias = toxicity._fit(bags, 5, l2=0.5, steps=3000, rate=0.02)
+    loss = lambda w, b: noisy_or_loss(bags, w, b, 0.5)
+    at, step = loss(w, bias), 1e-4
+    slopes = [(loss(w + step * e, bias) - loss(w - step * e, bias)) / (2 * step) for e in np.eye(5)] + [(loss(w, bias + step) - loss(w, bias - step)) / (2 * step)]
+    assert max(map(abs, slopes)) < 1e-3 and at < loss(np.zeros(5), -2.0) and w[0] > 2 > max(w[1:])
+    p = np.array([0.1, 0.5, 0.2])
+    assert toxicity.noisy_or(p) == pytest.approx(1 - np.prod(1 - p)) and toxicity.noisy_or(np.empty(0)) == 0.0
+
+
+def test_empty_tables_and_repeated_rows(spark, documents):
+    """Row by row operators give a row for each input row, whatever its id, and none for an empty table."""
+    docs, labels = labelled(spark, 80)
+    lang = documents(["the thing", "the other"], [1, 2]).withColumn("lang", F.lit("en"))
+    bench = spark.createDataFrame([("q", "one two three")], "item_id string, text string")
+    odd = documents(["one two three", None, "one two three", "x " * 60_000], [None, 5, 5, 5])
+    tox, words = toxicity.train(docs, labels), langid.train(lang)
+    for run in (lambda d: langid.predict(d, words), lambda d: toxicity.score(d, tox), lambda d: bpe.encode_documents(d, bpe.default_vocabulary()), lambda d: decontaminate.decontaminate(d, bench)):
+        assert run(odd.limit(0)).count() == 0
+        got = run(odd).collect()
+        assert sorted(str(r.doc_id) for r in got) == ["5", "5", "5", "None"]
+        assert len({str(r.asDict() | {"doc_id": 0}) for r in got}) <= 3  # equal texts, equal results
+    assert toxicity.train(docs.limit(0), labels).bias == toxicity.NO_EVIDENCE and langid.train(lang.limit(0)).classes == []
+    columns = docs.withColumn("keep", F.lit(1)).withColumn("score", F.lit("a")).columns
+    kept = toxicity.keep_harmless(docs.withColumn("keep", F.lit(1)).withColumn("score", F.lit("a")), tox)
+    assert kept.columns == columns and 40 < kept.count() < 80
+
+
 def words_of(text):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
     return re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
@@ -145,8 +299,10 @@ def test_decontamination(spark, documents, prose, limit):
     items = [("q1", prose[0]), ("q2", "x y"), ("q3", None), ("q4", " ".join(prose[9].split()[2:30])), ("q5", "an er th on ing"), ("q6", prose[50]), ("q7", "!!"), ("q8", "x")]
     texts = prose + ["X, y!", "Ä x y z", prose[0].upper() + " more words " * 200, "--"]
     bench = spark.createDataFrame(items, "item_id string, text string")
-    got = {r.doc_id: (r.n_words, r.n_hit, r.n_items, r.contaminated) for r in decontaminate.decontaminate(documents(texts), bench, broadcast_bytes=limit).collect()}
-    assert got == brute_hits(texts, items)
+    judged = decontaminate.decontaminate(documents(texts), bench, broadcast_bytes=limit).collect()
+    assert {r.doc_id: (r.n_words, r.n_hit, r.n_items, r.contaminated) for r in judged} == brute_hits(texts, items)
+    clean = decontaminate.keep_clean(documents(texts), bench, broadcast_bytes=limit)
+    assert clean.columns == documents(texts).columns and sorted(r.doc_id for r in clean.collect()) == sorted(r.doc_id for r in judged if not r.contaminated)
     assert decontaminate.decontaminate(documents(texts), bench.limit(0), broadcast_bytes=limit).filter("n_hit > 0").count() == 0
     assert decontaminate.decontaminate(documents(texts).limit(0), bench, broadcast_bytes=limit).count() == 0
 
