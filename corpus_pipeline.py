@@ -21,47 +21,47 @@ def _keyed(docs: DataFrame) -> DataFrame:
     return materialize(docs.withColumn(KEY, F.monotonically_increasing_id()), "keyed")
 
 
-def _keep(keyed: DataFrame, rows: DataFrame) -> DataFrame:
-    """The rows of ``keyed`` whose number is in ``rows``, without it."""
-    return keyed.join(rows.select(KEY), KEY, "left_semi").drop(KEY)
-
-
 def _one_of_each(keyed: DataFrame, groups: DataFrame, first: Column) -> DataFrame:
-    """Of each group (KEY, group) the row that ``first``, an aggregate with field KEY, names."""
-    named = keyed.select(KEY, "doc_id").join(groups, KEY)
-    return named.groupBy("group").agg(first.alias("first")).select(F.col("first")[KEY].alias(KEY))
+    """``keyed`` with one row of each group (KEY, group), which ``first``, an aggregate over (doc_id, KEY), names.
+
+    Only the numbers of rows that go are looked up: a small table is sent to the tasks by the planner's own
+    size limit, and the texts are shuffled beyond it only.
+    """
+    several = groups.groupBy("group").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("group")
+    members = materialize(groups.join(several, "group").join(keyed.select(KEY, "doc_id"), KEY), "members")
+    stays = members.groupBy("group").agg(first.alias("first")).select(F.col("first")[KEY].alias(KEY))
+    goes = materialize(members.select(KEY).join(stays, KEY, "left_anti"), "copies")
+    return keyed.join(goes, KEY, "left_anti").drop(KEY)
 
 
 def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rows whose toxicity score stays below the threshold, judged by a model of the labels.
 
-    Each row is judged by its own text, also where its doc_id is null or repeated.
+    Each row is judged by its own text, also where its doc_id is null or repeated; a null text stays.
     """
-    keyed = _keyed(docs)
-    model = toxicity.train(keyed, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    judged = toxicity.score(keyed, model, id_col=KEY).filter("predicted = 0")
-    return _keep(keyed, judged.select(F.col("doc_id").alias(KEY)))
+    return toxicity.keep_harmless(docs, toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts one row, with the largest doc_id; a null id only where no row has another."""
+    """Of equal texts one row, with the largest doc_id; a null id only where no row has another.
+
+    Null and empty texts are equal to each other.
+    """
     keyed = _keyed(docs)
     groups = exact_dedup.deduplicate_once(keyed, id_col=KEY).select(F.col("doc_id").alias(KEY), F.col("keep_id").alias("group"))
-    return _keep(keyed, _one_of_each(keyed, groups, F.max(F.struct("doc_id", KEY))))
+    return _one_of_each(keyed, groups, F.max(F.struct("doc_id", KEY)))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies one row, with the smallest doc_id; a null id only where no row has another."""
     keyed = _keyed(docs)
     groups = simhash.near_components(keyed, id_col=KEY).select(F.col("doc_id").alias(KEY), F.col("component_id").alias("group"))
-    return _keep(keyed, _one_of_each(keyed, groups, F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", KEY))))
+    return _one_of_each(keyed, groups, F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", KEY)))
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows without a contaminating share of benchmark passages, each judged by its own text."""
-    keyed = _keyed(docs)
-    judged = decontaminate.decontaminate(keyed, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), id_col=KEY)
-    return _keep(keyed, judged.filter(~F.col("contaminated")).select(F.col("doc_id").alias(KEY)))
+    """Rows without a contaminating share of benchmark passages, each judged by its own text; a null text stays."""
+    return decontaminate.keep_clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
