@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from flowrings.scratch import materialize
+from flowrings.scratch import materialize, release
 
 
 def star_components(edges: DataFrame, a: str = "src", b: str = "dst", max_rounds: int = 60, local_edges: int = 0) -> DataFrame:
@@ -33,7 +33,8 @@ def star_components(edges: DataFrame, a: str = "src", b: str = "dst", max_rounds
         return found.unionByName(alone).groupBy("v").agg(F.min("root").alias("root"))
     mark = None
     for _ in range(max_rounds):
-        now = materialize(_small_star(_large_star(now)), "star")
+        before, now = now, materialize(_small_star(_large_star(now)), "star")
+        release(before)
         seen = now.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(20,0)")), F.lit(0).cast("decimal(30,0)"))).first()
         if tuple(seen) == mark:
             break

@@ -159,31 +159,42 @@ def edge_betweenness(edges: DataFrame) -> DataFrame:
     return edges.select("mcs", "src", "dst").groupBy("mcs").applyInPandas(search, "v bigint, comm bigint")
 
 
+def cliques(pairs: DataFrame, k: int) -> DataFrame:
+    """(c): every k-clique of distinct pairs (a < b) as a sorted array.
+
+    Pairs point from the end of smaller degree, so no vertex heads more than sqrt(2 E) of them.  A clique of
+    one vertex more is two that agree in all but the last vertex, if those two are linked.
+    """
+    degree = pairs.select(F.explode(F.array("a", "b")).alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("deg"))
+    wide = pairs.join(degree.select(F.col("v").alias("a"), F.col("deg").alias("da")), "a").join(degree.select(F.col("v").alias("b"), F.col("deg").alias("db")), "b")
+    first = (F.col("da") < F.col("db")) | ((F.col("da") == F.col("db")) & (F.col("a") < F.col("b")))
+    now = wide.select(F.array(F.when(first, F.col("a")).otherwise(F.col("b"))).alias("head"), F.when(first, F.col("b")).otherwise(F.col("a")).alias("y"))
+    for _ in range(k - 2):
+        now = materialize(now, "cliques")
+        joined = now.join(now.withColumnRenamed("y", "z"), "head").filter("y < z")
+        linked = joined.join(pairs.select(F.col("a").alias("y"), F.col("b").alias("z")), ["y", "z"], "left_semi")
+        now = linked.select(F.concat("head", F.array("y")).alias("head"), F.col("z").alias("y"))
+    return now.select(F.array_sort(F.concat("head", F.array("y"))).alias("c"))
+
+
 def clique_percolation(edges: DataFrame, k: int = 3) -> DataFrame:
-    """(v, comm): overlapping groups of triangles that share edges (k = 3), or edges that share ends (k = 2).
+    """(v, comm, group): overlapping groups of k-cliques, each of which shares k - 1 vertices with another of its group.
 
-    Triangles come from joining edges directed from the end of smaller degree, which bounds the pairs
-    at a hub.  Vertices in no clique belong to no group.
+    k = 2 gives the components.  Vertices in no clique belong to no group; a group is named by its least vertex.
     """
+    if k < 2:
+        raise ValueError("k is at least 2")
     pairs = edges.filter("src <> dst").select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).distinct()
     pairs = materialize(pairs, "pairs")
     if k == 2:
-        return star_components(pairs, "a", "b", local_edges=200_000).withColumnRenamed("root", "comm")
-    if k != 3:
-        raise ValueError("k is 2 or 3")
-    degree = pairs.select(F.explode(F.array("a", "b")).alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("deg"))
-    with_deg = pairs.join(degree.select(F.col("v").alias("a"), F.col("deg").alias("da")), "a").join(degree.select(F.col("v").alias("b"), F.col("deg").alias("db")), "b")
-    first = (F.col("da") < F.col("db")) | ((F.col("da") == F.col("db")) & (F.col("a") < F.col("b")))
-    out = with_deg.select(F.when(first, F.col("a")).otherwise(F.col("b")).alias("x"), F.when(first, F.col("b")).otherwise(F.col("a")).alias("y"))
-    wedges = out.join(out.withColumnRenamed("y", "z"), "x").filter("y < z")
-    closed = wedges.join(pairs, (F.col("y") == F.col("a")) & (F.col("z") == F.col("b")))
-    nodes = F.array_sort(F.array("x", "y", "z"))
-    triangles = materialize(closed.select(nodes.alias("t")).distinct().select("t", F.xxhash64("t").alias("id")), "triangles")
-    sides = triangles.select("id", F.explode(F.array(*(F.xxhash64(F.col("t")[i], F.col("t")[j]) for i, j in ((0, 1), (0, 2), (1, 2))))).alias("side"))
+        return star_components(pairs, "a", "b", local_edges=200_000).select("v", F.col("root").alias("comm"), F.col("root").alias("group"))
+    found = materialize(cliques(pairs, k).select("c", F.xxhash64("c").alias("id")), "k-cliques")
+    without = F.array(*(F.xxhash64(F.concat(F.slice("c", 1, i), F.slice("c", i + 2, k))) for i in range(k)))
+    sides = found.select("id", F.explode(without).alias("side"))
     least = sides.groupBy("side").agg(F.min("id").alias("root"))
     joined = star_components(sides.join(least, "side").select("id", "root"), "id", "root", local_edges=200_000)
-    members = triangles.join(joined.withColumnRenamed("v", "id"), "id").select("root", F.explode("t").alias("v")).distinct()
-    names = members.groupBy("root").agg(F.min("v").alias("comm"), F.count(F.lit(1)).alias("size"))
+    members = found.join(joined.withColumnRenamed("v", "id"), "id").select("root", F.explode("c").alias("v")).distinct()
+    names = members.groupBy("root").agg(F.min("v").alias("comm"))
     return members.join(names, "root").select("v", "comm", F.col("root").alias("group"))
 
 

@@ -36,6 +36,19 @@ def risk_rollup(levels: DataFrame, members: DataFrame, accounts: DataFrame, plac
     return wide.rollup("region", "nation", "level").agg(F.countDistinct("comm").alias("communities"), F.countDistinct("v").alias("accounts"))
 
 
+def volume_cube(edges: DataFrame, accounts: DataFrame, places: DataFrame) -> DataFrame:
+    """(payer, payee, edges, money): money between regions, by payer, by payee and in all (a cube)."""
+    side = lambda key, name: accounts.join(F.broadcast(places), "nation_key").select(F.col("v").alias(key), F.col("region").alias(name))
+    wide = edges.join(side("src", "payer"), "src").join(side("dst", "payee"), "dst")
+    return wide.cube("payer", "payee").agg(F.count(F.lit(1)).alias("edges"), F.sum("money").cast("decimal(28,2)").alias("money"))
+
+
+def level_sets(levels: DataFrame) -> DataFrame:
+    """(mcs, level, communities, top_psi): grouping sets by component and by level, without their combinations."""
+    count, top = F.count(F.lit(1)).alias("communities"), F.max("psi").alias("top_psi")
+    return levels.groupingSets([["mcs"], ["level"]], "mcs", "level").agg(count, top)
+
+
 def counterparties(edges: DataFrame, approximate: bool = False) -> DataFrame:
     """(v, n): distinct accounts that an account has dealt with, exact or by sketch."""
     both = edges.select(F.explode(F.array(F.struct(F.col("src").alias("v"), F.col("dst").alias("u")), F.struct(F.col("dst").alias("v"), F.col("src").alias("u")))).alias("x")).select("x.*")

@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from flowrings.components import star_components
@@ -21,6 +21,29 @@ def timed(make: Callable[[], DataFrame]) -> tuple[DataFrame, float]:
     return df, time.perf_counter() - start
 
 
+def throughput(spark: SparkSession, edges: int, make: Callable[[], DataFrame]) -> dict[str, float]:
+    """Seconds, edges a second and shuffled bytes of building a frame and running it to a sink that keeps nothing."""
+    def shuffled() -> int:
+        seen = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+        return sum(seen.apply(i).totalShuffleWrite() for i in range(seen.size()))
+
+    before = shuffled()
+    _, seconds = timed(make)
+    return {"seconds": seconds, "edges_a_second": edges / seconds, "shuffled_bytes": shuffled() - before}
+
+
+def label_changes(a: DataFrame, b: DataFrame) -> DataFrame:
+    """(v, comm, side): labels that only one of two partitions has, and those that both have."""
+    a, b = (x.select("v", "comm") for x in (a, b))
+    parts = [x.withColumn("side", F.lit(n)) for n, x in (("both", a.intersect(b)), ("first", a.exceptAll(b)), ("second", b.exceptAll(a)))]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+def dropped_edges(before: DataFrame, after: DataFrame) -> DataFrame:
+    """The audit of a filter: edges of ``before`` that ``after`` lacks."""
+    return before.join(after.select("src", "dst"), ["src", "dst"], "left_anti").select(before.columns)
+
+
 def retention(before: DataFrame, after: DataFrame) -> DataFrame:
     """One row: edges and vertices before and after a filter, and the shares kept."""
     def size(df: DataFrame, p: str) -> DataFrame:

@@ -7,6 +7,15 @@ import numpy as np
 EPS = 1e-12
 
 
+def tie_digits(n_edges: int) -> int:
+    """Decimals to which gains are compared: 12 up to a million edges, one more for each further power of ten.
+
+    The gain of one vertex is of the order of its share of the total weight, so fixed decimals would make
+    all moves of a very large graph ties.
+    """
+    return 12 + max(0, len(str(max(1, n_edges) - 1)) - 6)
+
+
 def vertex_numbers(src: np.ndarray, dst: np.ndarray, w: np.ndarray, n: int, kind: str) -> tuple[np.ndarray, np.ndarray]:
     k_in, k_out = np.bincount(dst, w, n), np.bincount(src, w, n)
     k = k_in + k_out
@@ -27,11 +36,11 @@ def _adjacency(src, dst, w, n):
     return near
 
 
-def local_moving(near: list[dict], x: list, y: list, two_m: float, *, gain: str = "exact", resolution: float = 1.0, max_rounds: int = 50) -> tuple[list[int], int]:
+def local_moving(near: list[dict], x: list, y: list, two_m: float, *, gain: str = "exact", resolution: float = 1.0, max_rounds: int = 50, digits: int = 12) -> tuple[list[int], int]:
     """Visit vertices in order of id, move each to the best neighbouring community, until none moves."""
     n = len(near)
     comm, x_of, y_of = list(range(n)), list(x), list(y)
-    factor, scale = 2.0 if gain == "exact" else 1.0, resolution / two_m**2
+    factor, scale, eps = 2.0 if gain == "exact" else 1.0, resolution / two_m**2, 10.0**-digits
     for rounds in range(1, max_rounds + 1):
         moved = False
         for i in range(n):
@@ -42,8 +51,8 @@ def local_moving(near: list[dict], x: list, y: list, two_m: float, *, gain: str
             x_of[own] -= xi
             y_of[own] -= yi
             score = {c: factor * k / two_m - scale * (xi * y_of[c] + yi * x_of[c]) for c, k in links.items()}
-            best = min(score, key=lambda c: (-round(score[c], 12), c))
-            if score[best] <= score[own] + EPS:
+            best = min(score, key=lambda c: (-round(score[c], digits), c))
+            if score[best] <= score[own] + eps:
                 best = own
             x_of[best] += xi
             y_of[best] += yi
@@ -63,7 +72,7 @@ def quality(src, dst, w, comm: np.ndarray, x, y, two_m: float, resolution: float
 
 def serial_louvain(
     src: np.ndarray, dst: np.ndarray, w: np.ndarray, *, kind: str = "flow", two_m: float | None = None, gain: str = "exact", resolution: float = 1.0,
-    delta_mode: str = "carried", max_rounds: int = 50, max_levels: int = 20,
+    delta_mode: str = "carried", max_rounds: int = 50, max_levels: int = 20, digits: int | None = None,
 ) -> tuple[np.ndarray, list[np.ndarray]]:
     """Vertex ids in ascending order, and for each level the community of each (its least member's id)."""
     ids, ends = np.unique(np.concatenate([src, dst]), return_inverse=True)
@@ -71,13 +80,14 @@ def serial_louvain(
     n = len(ids)
     if two_m is None:
         two_m = 2 * float(w.sum())
+    digits = tie_digits(len(w)) if digits is None else digits
     place, levels = np.arange(n), []
     if n == 0 or two_m <= 0:
         return ids, [ids.copy()]
     x, y = vertex_numbers(s, d, w, n, kind)
     best = -np.inf
     for _ in range(max_levels):
-        comm, _ = local_moving(_adjacency(s, d, w, n), x.tolist(), y.tolist(), two_m, gain=gain, resolution=resolution, max_rounds=max_rounds)
+        comm, _ = local_moving(_adjacency(s, d, w, n), x.tolist(), y.tolist(), two_m, gain=gain, resolution=resolution, max_rounds=max_rounds, digits=digits)
         names, comm = np.unique(np.array(comm), return_inverse=True)
         q = quality(s, d, w, comm, x, y, two_m, resolution)
         if q <= best + 1e-9 and levels:
@@ -112,7 +122,7 @@ def follow_owners(owners: dict[int, int]) -> dict[int, int]:
     return end
 
 
-def synchronous_moves(v, u, a, comm, x, y, two_m: float, gain: str, resolution: float) -> tuple[np.ndarray, np.ndarray]:
+def synchronous_moves(v, u, a, comm, x, y, two_m: float, gain: str, resolution: float, digits: int = 12) -> tuple[np.ndarray, np.ndarray]:
     """Vertices that move and their new communities, decided from the labels ``comm``; ties go to the least label."""
     n = len(comm)
     key, inverse = np.unique(np.concatenate([v * n + comm[u], np.arange(n) * n + comm]), return_inverse=True)
@@ -121,17 +131,18 @@ def synchronous_moves(v, u, a, comm, x, y, two_m: float, gain: str, resolution:
     own = comm[i] == c
     big_x, big_y = np.bincount(comm, x, n)[c] - np.where(own, x[i], 0.0), np.bincount(comm, y, n)[c] - np.where(own, y[i], 0.0)
     factor = 2.0 if gain == "exact" else 1.0
-    score = np.round(factor * k / two_m - resolution * (x[i] * big_y + y[i] * big_x) / two_m**2, 12)
+    score = np.round(factor * k / two_m - resolution * (x[i] * big_y + y[i] * big_x) / two_m**2, digits)
     order = np.lexsort((c, -score, i))
     best = order[np.unique(i[order], return_index=True)[1]]
     stay = score[own]  # by vertex, as i ascends
-    go = (score[best] > stay + EPS) & (c[best] != comm)
+    go = (score[best] > stay + 10.0**-digits) & (c[best] != comm)
     return np.flatnonzero(go), c[best][go]
 
 
 def synchronous_louvain(
     src: np.ndarray, dst: np.ndarray, w: np.ndarray, *, kind: str = "flow", two_m: float | None = None, gain: str = "exact", resolution: float = 1.0,
-    delta_mode: str = "carried", lag_hops: int | str = "closure", stale_rounds: int = 3, max_rounds: int = 20, max_levels: int = 20,
+    delta_mode: str = "carried", swap_rule: str = "smaller", lag_hops: int | str = "closure", stale_rounds: int = 3, max_rounds: int = 20, max_levels: int = 20,
+    digits: int | None = None,
 ) -> tuple[np.ndarray, list[np.ndarray], list[tuple]]:
     """The synchronous search of a graph that fits into one task: the same rounds as the distributed one.
 
@@ -140,6 +151,7 @@ def synchronous_louvain(
     ids, ends = np.unique(np.concatenate([src, dst]), return_inverse=True)
     s, d, w = ends[: len(src)], ends[len(src) :], np.asarray(w, float)
     n, place, names = len(ids), np.arange(len(ids)), np.arange(len(ids))
+    digits = tie_digits(len(w)) if digits is None else digits
     if two_m is None:
         two_m = 2 * float(w.sum())
     levels: list[np.ndarray] = []
@@ -155,14 +167,14 @@ def synchronous_louvain(
         comm = np.arange(n)
         best, best_q, stale = comm, quality(s, d, w, comm, x, y, two_m, resolution), 0
         for number in range(max_rounds):
-            who, new = synchronous_moves(v, u, a, comm, x, y, two_m, gain, resolution)
+            who, new = synchronous_moves(v, u, a, comm, x, y, two_m, gain, resolution, digits)
             old = comm[who]
             crossed = np.isin(old * n + new, new * n + old)
             moved, swaps = len(who), int(crossed.sum())
             if moved == 0:
                 log.append((level, number, 0, 0, 0, best_q, "settled"))
                 break
-            kept = ~crossed if moved > swaps else new < old
+            kept = ~crossed | (new < old) if swap_rule == "smaller" else ~crossed
             who, old, new = who[kept], old[kept], new[kept]
             leaves = who == old
             owners = dict(zip(old[leaves].tolist(), new[leaves].tolist()))

@@ -15,7 +15,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from flowrings.scratch import materialize
+from flowrings.scratch import materialize, materialize_observed, release
 
 KINDS = ("plain", "flow", "inout")
 
@@ -44,24 +44,32 @@ def flow_skew(edges: DataFrame, weight: str) -> DataFrame:
 
 @dataclass
 class Prepared:
-    """What a search needs: links (v, u, a) in both directions, state (v, x, y), twice the total weight."""
+    """What a search needs: links (v, u, a, x, y of v) in both directions, state (v, x, y), the weight of self
+    edges, twice the total weight, the numbers of edges and vertices."""
 
     links: DataFrame
     state: DataFrame
-    loops: DataFrame
+    loops: float
     two_m: float
+    n_edges: int
+    n_vertices: int
 
 
 def prepare(edges: DataFrame, weight: str, kind: str, carried: DataFrame | None = None) -> Prepared:
     """Links and vertex numbers; ``carried`` (v, x, y) takes the place of numbers computed from the edges."""
-    own = materialize(edges.select("src", "dst", F.col(weight).cast("double").alias("w")).filter("w > 0"), "weighted")
-    both = own.filter("src <> dst").select(F.explode(F.array(F.struct(F.col("src").alias("v"), F.col("dst").alias("u")), F.struct(F.col("dst").alias("v"), F.col("src").alias("u")))).alias("x"), "w")
-    links = both.groupBy("x.v", "x.u").agg(F.sum("w").alias("a"))
+    w, same = F.col("w"), F.col("src") == F.col("dst")
+    own, seen = materialize_observed(
+        edges.select("src", "dst", F.col(weight).cast("double").alias("w")).filter("w > 0"), "weighted",
+        total=F.coalesce(F.sum("w"), F.lit(0.0)), loops=F.coalesce(F.sum(F.when(same, w)), F.lit(0.0)), n=F.count(F.lit(1)),
+    )
     x, y = penalty(kind)
     state = carried if carried is not None else flow_skew(own, "w").select("v", x.alias("x"), y.alias("y"))
-    total = own.agg(F.coalesce(F.sum("w"), F.lit(0.0))).first()[0]
-    loops = own.filter("src = dst").select(F.col("src").alias("v"), "w")
-    return Prepared(materialize(links, "links"), materialize(state, "vertex-sums"), loops, 2 * total)
+    state, sums = materialize_observed(state, "vertex-sums", n=F.count(F.lit(1)))
+    both = own.filter("src <> dst").select(F.explode(F.array(F.struct(F.col("src").alias("v"), F.col("dst").alias("u")), F.struct(F.col("dst").alias("v"), F.col("src").alias("u")))).alias("e"), "w")
+    links = both.groupBy("e.v", "e.u").agg(F.sum("w").alias("a")).join(state, "v")
+    links = materialize(links, "links")
+    release(own)
+    return Prepared(links, state, seen.get("loops", 0.0), 2 * seen.get("total", 0.0), seen.get("n", 0), sums.get("n", 0))
 
 
 def modularity(edges: DataFrame, labels: DataFrame, kind: str = "plain", weight: str = "w_b", resolution: float = 1.0) -> DataFrame:

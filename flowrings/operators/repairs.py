@@ -23,9 +23,26 @@ def undo_swaps(moves: DataFrame) -> DataFrame:
 
 
 def mark_crossed(moves: DataFrame) -> DataFrame:
-    """Moves with column crossed: whether their target community sent a vertex back."""
-    back = moves.select(F.col("new").alias("old"), F.col("old").alias("new"), F.lit(True).alias("crossed")).distinct()
-    return moves.join(back, ["old", "new"], "left").select("v", "old", "new", F.coalesce("crossed", F.lit(False)).alias("crossed"))
+    """Moves with column crossed: whether their target community sent a vertex back.
+
+    Pairs of communities are reduced to one row before they meet the moves, however many vertices they exchange.
+    """
+    low, high = F.least("old", "new").alias("low"), F.greatest("old", "new").alias("high")
+    pairs = moves.groupBy(low, high).agg(F.max(F.col("old") < F.col("new")).alias("up"), F.max(F.col("old") > F.col("new")).alias("down"))
+    pairs = pairs.select("low", "high", (F.col("up") & F.col("down")).alias("crossed"))
+    return moves.select("*", low, high).join(pairs, ["low", "high"]).drop("low", "high")
+
+
+def without_swaps(moves: DataFrame, rule: str) -> DataFrame:
+    """Moves with column stands: what is left of crossed ones.
+
+    ``'undo'`` sends both sides back, as published; they may choose the same again in every later round.
+    ``'smaller'`` lets the move to the smaller label stand, so the two communities meet at once.
+    """
+    if rule not in ("undo", "smaller"):
+        raise ValueError("swap_rule is 'undo' or 'smaller'")
+    stands = ~F.col("crossed") if rule == "undo" else ~F.col("crossed") | (F.col("new") < F.col("old"))
+    return mark_crossed(moves).withColumn("stands", stands)
 
 
 def follow_moves(moves: DataFrame, hops: int | str = "closure", at_most: int | None = None) -> DataFrame:

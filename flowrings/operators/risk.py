@@ -5,9 +5,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from flowrings.functions.stats import share_sum, standardise
+from flowrings.functions.stats import scaled_exp, share_bound, share_sum, standardise
 from flowrings.operators.graph import vertex_profile
 from flowrings.params import RiskParams
+from flowrings.scratch import materialize
+
+#: Communities that one task ranks; beyond it they are ranked range by range, with the same result.
+ONE_TASK = 1_000_000
 
 
 def inside(rows: DataFrame, labels: DataFrame) -> DataFrame:
@@ -57,8 +61,9 @@ def community_features(edges: DataFrame, labels: DataFrame, degree_scope: str =
 
 def risk_scores(features: DataFrame, params: RiskParams = RiskParams()) -> DataFrame:
     """Add psi = exp of the share-weighted standardised v, e, m, d, h.  ``entropy_sign=-1`` rewards low entropy."""
-    z = standardise(features, ["v", "e", "m", "d", "h"]).withColumn("z_h", F.col("z_h") * params.entropy_sign)
-    return z.withColumn("psi", F.exp(share_sum(params.shares.of))).drop("z_v", "z_e", "z_m", "z_d", "z_h")
+    names = ["v", "e", "m", "d", "h"]
+    z = standardise(features, names, tops=True).withColumn("z_h", F.col("z_h") * params.entropy_sign)
+    return z.withColumn("psi", scaled_exp(share_sum(params.shares.of), share_bound(params.shares.of))).drop(*(f"{p}_{c}" for p in ("z", "top") for c in names))
 
 
 def community_risk(transfers: DataFrame, edges: DataFrame, labels: DataFrame, seconds: float, params: RiskParams = RiskParams()) -> DataFrame:
@@ -68,22 +73,50 @@ def community_risk(transfers: DataFrame, edges: DataFrame, labels: DataFrame, se
     return risk_scores(f, params)
 
 
-def risk_curve(scores: DataFrame) -> DataFrame:
-    """Add rank (1 = riskiest, ties by community id) and slope, the forward difference of psi by rank.
+def _by_range(scores: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Rows with __part, ranges in descending order of psi, and __n, the place in the range; and a row for each range.
 
-    One row per community: a few thousand after screening, so the window has one partition.
+    Ranges have (__part, before, first, n_first, following): rows before it, its largest psi and how often,
+    the largest psi of the next one.
     """
-    w = Window.orderBy(F.desc("psi"), "comm")
-    return scores.select("*", F.row_number().over(w).cast("bigint").alias("rank"), (F.lead("psi").over(w) - F.col("psi")).alias("slope"))
-
-
-def risk_levels(scores: DataFrame, cuts: tuple[float, float, float] = (0.95, 0.90, 0.80), exact: bool = True) -> DataFrame:
-    """Add pct (percentile rank of psi) and level: 1, 2, 3 from the cuts down, else 0.
-
-    ``exact=False`` compares with approximate percentiles instead of ranking all rows in one task; pct is then null.
+    parts = int(scores.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    cut = materialize(scores.repartitionByRange(parts, F.desc("psi"), F.asc("comm")).withColumn("__part", F.spark_partition_id()), "ranges")
+    rows = cut.withColumn("__n", F.row_number().over(Window.partitionBy("__part").orderBy(F.desc("psi"), "comm")).cast("bigint"))
+    sizes = cut.groupBy("__part", "psi").agg(F.count(F.lit(1)).alias("n")).groupBy("__part").agg(F.sum("n").alias("n"), F.max(F.struct("psi", "n")).alias("first"))
+    w = Window.orderBy("__part")
+    before = F.coalesce(F.sum("n").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return rows, sizes.select("__part", before.alias("before"), F.col("first.psi").alias("first"), F.col("first.n").alias("n_first"), F.lead("first.psi").over(w).alias("following"))
+
+
+def risk_curve(scores: DataFrame, one_task: int = ONE_TASK) -> DataFrame:
+    """Add rank (1 = riskiest, ties by community id) and slope, the forward difference of psi by rank."""
+    scores = materialize(scores, "scores")
+    if scores.count() <= one_task:
+        w = Window.orderBy(F.desc("psi"), "comm")
+        return scores.select("*", F.row_number().over(w).cast("bigint").alias("rank"), (F.lead("psi").over(w) - F.col("psi")).alias("slope"))
+    rows, ranges = _by_range(scores)
+    ahead = F.lead("psi").over(Window.partitionBy("__part").orderBy("__n"))
+    wide = rows.withColumn("__ahead", ahead).join(F.broadcast(ranges), "__part")
+    return wide.select(*scores.columns, (F.col("before") + F.col("__n")).alias("rank"), (F.coalesce("__ahead", "following") - F.col("psi")).alias("slope"))
+
+
+def risk_levels(scores: DataFrame, cuts: tuple[float, float, float] = (0.95, 0.90, 0.80), exact: bool = True, one_task: int = ONE_TASK) -> DataFrame:
+    """Add pct (percentile rank of psi, equal for ties) and level: 1, 2, 3 from the cuts down, else 0.
+
+    ``exact=False`` compares with approximate percentiles instead of ranking all rows; pct is then null.
     """
     if exact:
-        ranked = scores.withColumn("pct", F.percent_rank().over(Window.orderBy("psi")))
+        scores = materialize(scores, "scores")
+        n = scores.count()
+        if n <= one_task:
+            ranked = scores.withColumn("pct", F.percent_rank().over(Window.orderBy("psi")))
+        else:
+            rows, ranges = _by_range(scores)
+            # the last place of a tie: here, or in a later range that begins with it
+            here = rows.withColumn("__last", F.max("__n").over(Window.partitionBy("__part", "psi"))).join(F.broadcast(ranges.select("__part", "before")), "__part")
+            later = ranges.groupBy(F.col("first").alias("psi")).agg(F.max(F.col("before") + F.col("n_first")).alias("__later"))
+            last = F.greatest(F.col("before") + F.col("__last"), F.col("__later"))
+            ranked = here.join(F.broadcast(later), "psi", "left").select(*scores.columns, ((F.lit(n) - last) / F.lit(max(1, n - 1))).alias("pct"))
         at = [F.col("pct") >= c for c in cuts]
         return ranked.withColumn("level", F.when(at[0], 1).when(at[1], 2).when(at[2], 3).otherwise(0))
     bounds = scores.agg(F.percentile_approx("psi", [float(c) for c in cuts], 100_000).alias("__b"))
@@ -93,11 +126,13 @@ def risk_levels(scores: DataFrame, cuts: tuple[float, float, float] = (0.95, 0.9
 
 
 def turning_point(curve: DataFrame, tol: float = 0.05) -> int | None:
-    """The first rank from which no slope exceeds ``tol`` of the steepest one."""
-    w = Window.orderBy("rank").rowsBetween(0, Window.unboundedFollowing)
-    top = curve.agg(F.max(F.abs("slope")).alias("top"))
-    row = curve.crossJoin(F.broadcast(top)).withColumn("ahead", F.max(F.abs("slope")).over(w)).filter(F.col("ahead") <= tol * F.col("top")).agg(F.min("rank")).first()
-    return None if row[0] is None else int(row[0])
+    """The first rank from which no slope exceeds ``tol`` of the steepest one: the one after the last that does."""
+    known = curve.filter("slope IS NOT NULL")
+    top = known.agg(F.max(F.abs("slope")).alias("top"))
+    steep = F.when(F.abs("slope") > tol * F.col("top"), F.col("rank"))
+    first, last, steepest = known.crossJoin(F.broadcast(top)).agg(F.min("rank"), F.max("rank"), F.max(steep)).first()
+    point = first if steepest is None else steepest + 1
+    return None if point is None or point > last else int(point)
 
 
 def suspicious_components(levels: DataFrame, min_count: int = 2, level: int = 2) -> DataFrame:

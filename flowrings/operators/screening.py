@@ -1,7 +1,9 @@
 """Which components are worth a search, and where to put the thresholds.
 
-Sweeps run over histograms (distinct sizes or degrees), never over vertices, so their windows without
-partitions see a few thousand rows at most.
+A curve over all integer thresholds only changes at the distinct sizes (or degrees, or hub counts).  Sweeps
+so keep the thresholds next to those alone; between two of them the curve is flat.  N vertices have at most
+sqrt(2 N) distinct sizes or degrees, which bounds the rows that the windows without partitions see (some
+45,000 for 10**9 vertices), whatever the largest size is.  ``every_threshold`` fills the gaps for plots.
 """
 
 from __future__ import annotations
@@ -29,14 +31,23 @@ def apply_screen(edges: DataFrame, labels: DataFrame, kept: DataFrame) -> DataFr
 
 
 def _tail(histogram: DataFrame, value: str, sums: dict[str, str]) -> DataFrame:
-    """For every integer threshold from 0 to the largest value: sums over values above it."""
-    top = histogram.agg(F.coalesce(F.max(value), F.lit(0)).alias("top"))
-    grid = top.select(F.explode(F.sequence(F.lit(0).cast("long"), F.col("top").cast("long"))).alias("threshold"))
+    """For threshold 0 and the integers next to each value, up to the largest: sums over values above it."""
+    top = histogram.agg(F.coalesce(F.max(value), F.lit(0)).cast("long").alias("top"))
+    near = histogram.select(F.explode(F.array(*(F.col(value).cast("long") + i for i in (-1, 0, 1)))).alias("threshold"))
+    grid = top.select(F.lit(0).cast("long").alias("threshold")).union(near).distinct().crossJoin(F.broadcast(top)).filter("threshold between 0 and top").drop("top")
     above = Window.orderBy(F.desc("threshold")).rowsBetween(Window.unboundedPreceding, -1)
     wide = grid.join(histogram, F.col("threshold") == F.col(value), "left")
     return wide.select("threshold", *(F.coalesce(F.sum(c).over(above), F.lit(0)).alias(n) for n, c in sums.items()))
 
 
+def every_threshold(curve: DataFrame) -> DataFrame:
+    """A curve with a row for every integer threshold: flat, and without differences, between the rows it has."""
+    upto = F.coalesce(F.lead("threshold").over(Window.orderBy("threshold")) - 1, F.col("threshold"))
+    wide = curve.withColumn("__all", F.sequence("threshold", upto)).select("*", F.posexplode("__all").alias("__at", "__threshold"))
+    flat = lambda c: F.when(F.col("__at") > 0, F.lit(0.0)).otherwise(F.col(c)) if c in ("d1", "d2") else F.col(c)
+    return wide.select(F.col("__threshold").alias("threshold"), *(flat(c).alias(c) for c in curve.columns if c != "threshold"))
+
+
 def sweep_sizes(mcs: DataFrame) -> DataFrame:
     """(threshold, v_remain, m_remain, v_avg): what is left of components larger than the threshold."""
     sizes = mcs.groupBy("n_vertices").agg(F.count(F.lit(1)).alias("m")).withColumn("total", F.col("m") * F.col("n_vertices"))
@@ -55,18 +66,27 @@ def sweep_hub_counts(mcs: DataFrame) -> DataFrame:
 
 
 def second_difference(curve: DataFrame, y: str) -> DataFrame:
-    """Add d1 (forward difference) and d2 (second difference) of a column over unit steps; null at the ends."""
-    w = Window.orderBy("threshold")
-    ahead, behind = F.lead(y).over(w), F.lag(y).over(w)
+    """Add d1 (forward difference) and d2 (second difference) of a column over unit steps; null at the ends.
+
+    Where the curve has no row for the next integer, or the one before, it is flat there.
+    """
+    w, t = Window.orderBy("threshold"), F.col("threshold")
+    side = lambda f, step: F.when(f("threshold").over(w) == t + step, f(y).over(w)).when(f("threshold").over(w).isNotNull(), F.col(y))
+    ahead, behind = side(F.lead, 1), side(F.lag, -1)
     return curve.select("*", (ahead - F.col(y)).cast("double").alias("d1"), (ahead - 2 * F.col(y) + behind).cast("double").alias("d2"))
 
 
 def settling_point(curve: DataFrame, tol: float = 0.01, run: int = 5) -> int | None:
-    """The first threshold from which |d2|, relative to its largest value, stays within ``tol`` for ``run`` steps."""
-    w = Window.orderBy("threshold").rowsBetween(0, run - 1)
-    top = curve.agg(F.max(F.abs("d2")).alias("top"))
-    calm = curve.crossJoin(F.broadcast(top)).withColumn("worst", F.max(F.abs("d2")).over(w))
-    row = calm.filter("d2 IS NOT NULL").filter(F.col("worst") <= tol * F.col("top")).agg(F.min("threshold")).first()
+    """The first threshold from which |d2|, relative to its largest value, stays within ``tol`` for ``run`` steps.
+
+    It is the first with a d2, or follows one that is too large; the next too large one must be ``run`` steps away.
+    """
+    ends = curve.agg((F.min("threshold") + 1).alias("low"), (F.max("threshold") - 1).alias("high"), F.max(F.abs("d2")).alias("top")).filter("low <= high")
+    large = curve.crossJoin(F.broadcast(ends)).filter(F.abs("d2") > tol * F.col("top")).select("threshold")
+    stops = large.unionByName(ends.select((F.col("high") + run + 1).alias("threshold")))
+    calm = stops.withColumn("before", F.lag("threshold").over(Window.orderBy("threshold"))).crossJoin(F.broadcast(ends))
+    start = F.coalesce(F.col("before") + 1, F.col("low"))
+    row = calm.filter((F.col("threshold") >= start + run) & (start <= F.col("high"))).agg(F.min(start)).first()
     return None if row[0] is None else int(row[0])
 
 

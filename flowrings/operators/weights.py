@@ -1,7 +1,9 @@
 """Edge weights: volume, importance of the ends, order of money coming in and going out.
 
-Weights are products of exponentials, so their logarithms are added up and kept (log_w_*); both
-modularities are invariant to scaling all weights, so the exponential may subtract the maximum first.
+Weights are products of exponentials, so their logarithms are added up and kept (log_w_*).  Both
+modularities are invariant to scaling all weights, so where logarithms could exceed ``LARGEST_LOG`` (a
+standardised value reaches the square root of the number of rows) all weights of a column are divided by
+one constant before they overflow; below it they are the plain exponentials.
 """
 
 from __future__ import annotations
@@ -9,21 +11,22 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from flowrings.functions.stats import share_sum, standardise
+from flowrings.functions.stats import scaled_exp, share_bound, share_sum, standardise
 from flowrings.operators.graph import triplets
 from flowrings.params import WeightParams
 
 
 def base_weight(edges: DataFrame, params: WeightParams = WeightParams()) -> DataFrame:
     """Add w_b = exp of the share-weighted standardised money and times, and log_w_b."""
-    z = standardise(edges, ["money", "times"], cap=params.z_cap)
-    return z.withColumn("log_w_b", share_sum(params.edge_shares.of)).withColumn("w_b", F.exp("log_w_b")).drop("z_money", "z_times")
+    z = standardise(edges, ["money", "times"], cap=params.z_cap, tops=True).withColumn("log_w_b", share_sum(params.edge_shares.of))
+    return z.withColumn("w_b", scaled_exp(F.col("log_w_b"), share_bound(params.edge_shares.of))).drop("z_money", "z_times", "top_money", "top_times")
 
 
 def node_factor(vertices: DataFrame, params: WeightParams = WeightParams()) -> DataFrame:
-    """Add sigma = exp of the share-weighted standardised money, times and degree, and log_sigma."""
-    z = standardise(vertices, ["money", "times", "deg"], cap=params.z_cap)
-    return z.withColumn("log_sigma", share_sum(params.node_shares.of)).withColumn("sigma", F.exp("log_sigma")).drop("z_money", "z_times", "z_deg")
+    """Add sigma = exp of the share-weighted standardised money, times and degree, log_sigma and its bound top_sigma."""
+    z = standardise(vertices, ["money", "times", "deg"], cap=params.z_cap, tops=True).withColumn("log_sigma", share_sum(params.node_shares.of))
+    z = z.withColumn("top_sigma", share_bound(params.node_shares.of))
+    return z.withColumn("sigma", scaled_exp(F.col("log_sigma"), F.col("top_sigma"))).drop(*(f"{p}_{c}" for p in ("z", "top") for c in ("money", "times", "deg")))
 
 
 def imbalance(vertices: DataFrame) -> DataFrame:
@@ -56,12 +59,17 @@ def final_weight(edges: DataFrame, vertices: DataFrame, seconds: float, params:
     profile of the graph that node values are standardised over.
     """
     nodes = imbalance(node_factor(vertices, params))
-    t = triplets(edges, nodes, ["log_sigma", "beta", "t_in", "t_out"])
+    t = triplets(edges, nodes, ["log_sigma", "beta", "t_in", "t_out", "top_sigma"])
     t = t.withColumn("log_w_n", F.col("log_w_b") + F.col("s_log_sigma") + F.col("d_log_sigma"))
     t = t.withColumn("x_src", source_factor(seconds, params.tau_cap)).withColumn("x_dst", target_factor(seconds, params.tau_cap))
     t = t.withColumn("log_w_e", F.col("log_w_n") + F.col("x_src") + F.col("x_dst"))
-    t = t.withColumn("pattern", pattern_label())
-    return t.select(*edges.columns, "log_w_n", F.exp("log_w_n").alias("w_n"), "x_src", "x_dst", "log_w_e", F.exp("log_w_e").alias("w_e"), "pattern")
+    t = t.withColumn("pattern", pattern_label()).crossJoin(F.broadcast(edges.agg(F.max("log_w_b").alias("__top_b"))))
+    top_n = F.col("__top_b") + 2 * F.col("s_top_sigma")
+    if params.tau_cap is None:  # literal time factors have no bound but their own maximum
+        t = t.crossJoin(F.broadcast(t.agg(F.max(F.col("x_src") + F.col("x_dst")).alias("__top_x"))))
+    top_x = F.col("__top_x") if params.tau_cap is None else F.lit(2.0 * params.tau_cap)
+    w_n, w_e = scaled_exp(F.col("log_w_n"), top_n), scaled_exp(F.col("log_w_e"), top_n + top_x)
+    return t.select(*edges.columns, "log_w_n", w_n.alias("w_n"), "x_src", "x_dst", "log_w_e", w_e.alias("w_e"), "pattern")
 
 
 def pattern_label() -> Column:
@@ -80,12 +88,6 @@ def pattern_census(edges: DataFrame, by: str = "mcs") -> DataFrame:
     return counted.select(by, *(F.coalesce(F.col(k), F.lit(0)).alias(k) for k in kinds))
 
 
-def safe_exp(edges: DataFrame, log_col: str, out: str) -> DataFrame:
-    """exp(log - max log): the same partition optima without overflow."""
-    top = edges.agg(F.max(log_col).alias("__top"))
-    return edges.crossJoin(F.broadcast(top)).withColumn(out, F.exp(F.col(log_col) - F.col("__top"))).drop("__top")
-
-
 def pagerank(edges: DataFrame, rounds: int = 10, damping: float = 0.85) -> DataFrame:
     """(v, rank): the importance that node correction was inspired by, for comparison."""
     from flowrings.operators.graph import vertices_of

@@ -66,6 +66,7 @@ class LouvainParams:
     strategy: str = "auto"
     local_edges: int = 200_000
     repair: str = "round"
+    swap_rule: str = "smaller"  # of two moves that cross, the one to the smaller label stands; 'undo': both go back
     lag_hops: str = "closure"
     delta_mode: str = "carried"
     max_rounds: int = 20

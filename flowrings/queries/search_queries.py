@@ -6,13 +6,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from flowrings.operators import baselines, evaluate
-from flowrings.operators.louvain import RoundLog, detect_communities, detect_levels, parallel_round, singletons, unfold
+from flowrings.operators.louvain import RoundLog, detect_communities, detect_levels, parallel_round, rounds, singletons, unfold
 from flowrings.operators.modularity import prepare
 from flowrings.operators.repairs import follow_moves, undo_swaps
 from flowrings.params import LouvainParams, Period
 from flowrings.plans.pipeline import detect_rings
-from flowrings.queries.common import SMALL, TO_FINAL, relay_screened
+from flowrings.queries.common import SMALL, SPREAD, TO_FINAL, TRADE, TRADE_TO_FINAL, relay_screened, trade_screened
 from flowrings.scratch import materialize
+from flowrings.sources import ledger
 from flowrings.sources.planted import planted, planted_truth
 
 
@@ -33,17 +34,22 @@ def _repair(spark, sf_dir) -> DataFrame:
     return follow_moves(materialize(undo_swaps(moves), "moves"), "closure").select("v", "new")
 
 
-def _search(**changes):
-    return lambda s, d: detect_communities(relay_screened(s, d), LouvainParams().but(**changes))
+def _two_rounds(load, kind: str, weight: str):
+    """Labels after two synchronous rounds with both repairs."""
+    return lambda s, d: rounds(prepare(load(s, d), weight, kind), LouvainParams(objective=kind, weight=weight), 2)
+
+
+def _search(load=relay_screened, **changes):
+    return lambda s, d: detect_communities(load(s, d), LouvainParams().but(**changes))
 
 
 def _dendrogram(s, d):
     return unfold(detect_levels(relay_screened(s, d), LouvainParams(strategy="local"))).select("v", "path", "comm")
 
 
-def _round_log(s, d):
+def _round_log(s, d, load=relay_screened, **changes):
     log = RoundLog()
-    detect_communities(relay_screened(s, d), LouvainParams(**SYNC), log)
+    detect_communities(load(s, d), LouvainParams(**SYNC).but(**changes), log)
     return s.createDataFrame(log.rows, "level int, round int, moves bigint, swaps bigint, followed bigint, q double, stop string")
 
 
@@ -63,9 +69,9 @@ def _stack(frames: list[DataFrame], label: str) -> DataFrame:
     return out
 
 
-def _grid(s, d):
+def _grid(s, d, load=relay_screened):
     """Communities and all four modularities of each search: the published comparison and the rest of its grid."""
-    edges = relay_screened(s, d)
+    edges = load(s, d)
 
     def one(name: str, changes: dict) -> DataFrame:
         labels = materialize(detect_communities(edges, LouvainParams().but(**changes)), "labels")
@@ -74,9 +80,9 @@ def _grid(s, d):
     return _stack([one(*x) for x in _grid_runs().items()], "grid")
 
 
-def _agreement(s, d):
+def _agreement(s, d, load=relay_screened):
     """The serial search against the synchronous one, and against the serial one by component (equal by construction)."""
-    edges = relay_screened(s, d)
+    edges = load(s, d)
     a = materialize(baselines.serial_plain(edges), "labels")
 
     def one(name: str) -> DataFrame:
@@ -86,9 +92,9 @@ def _agreement(s, d):
     return _stack([one(name) for name in ("sync", "local")], "agreement")
 
 
-def _case_study(s, d):
+def _case_study(s, d, load=relay_screened):
     """The largest screened component: where each plain community went in the direction-aware search, by strategy."""
-    edges = relay_screened(s, d)
+    edges = load(s, d)
     top = edges.groupBy("mcs").count().orderBy(F.desc("count"), "mcs").limit(1).select("mcs")
     part = materialize(edges.join(F.broadcast(top), "mcs", "left_semi"), "case")
 
@@ -100,8 +106,8 @@ def _case_study(s, d):
     return _stack([one(name) for name in ("sync", "local")], "case-study")
 
 
-def _coherence(s, d):
-    edges = relay_screened(s, d)
+def _coherence(s, d, load=relay_screened):
+    edges = load(s, d)
 
     def one(name: str, objective: str) -> DataFrame:
         search = baselines.parallel_plain if objective == "plain" else baselines.flow_and_time
@@ -111,6 +117,11 @@ def _coherence(s, d):
     return _stack([one(name, objective) for name in ("sync", "local") for objective in ("plain", "flow")], "coherence")
 
 
+def _on_trade(run):
+    """A comparison on a graph whose weights are spread over its edges."""
+    return lambda s, d: run(s, d, trade_screened)
+
+
 PLANTED = Period("2024-01-01", "2024-01-08")
 
 
@@ -123,6 +134,10 @@ def _planted(s, d):
     return evaluate.precision_recall(risky, truth.select("v")).crossJoin(rings)
 
 
+def _found_trade(s, d):
+    return detect_rings(ledger.trade(s, d, TRADE), TRADE, SPREAD)
+
+
 QUERIES = {
     "plain_round_relay": lambda s, d: _round(s, d, "plain", "w_b"),
     "ftl_round_relay": lambda s, d: _round(s, d, "flow", "w_e"),
@@ -142,6 +157,20 @@ QUERIES = {
     "case_study_relay": _case_study,
     "coherence_relay": _coherence,
     "planted_accuracy": _planted,
+    "two_rounds_relay": _two_rounds(relay_screened, "flow", "w_e"),
+    "two_rounds_trade": _two_rounds(trade_screened, "flow", "w_e"),
+    "two_rounds_plain_trade": _two_rounds(trade_screened, "plain", "w_b"),
+    "ftl_undo_relay": _search(swap_rule="undo", **SYNC),
+    "louvain_plain_trade": _search(trade_screened, objective="plain", weight="w_b", **SYNC),
+    "ftl_trade": _search(trade_screened, **SYNC),
+    "round_log_trade": lambda s, d: _round_log(s, d, trade_screened),
+    "round_log_undo_trade": lambda s, d: _round_log(s, d, trade_screened, swap_rule="undo"),
+    "ablation_trade": _on_trade(_grid),
+    "agreement_trade": _on_trade(_agreement),
+    "case_study_trade": _on_trade(_case_study),
+    "coherence_trade": _on_trade(_coherence),
+    "risk_ftl_trade": lambda s, d: _found_trade(s, d).risk,
+    "suspicious_ftl_trade": lambda s, d: _found_trade(s, d).suspicious,
 }
 
 
@@ -157,7 +186,31 @@ def _round_sql(kind: str, w: str) -> str:
     mv AS (SELECT v, u AS new, round(score, 9) AS gain FROM rk WHERE r = 1 AND score > 1e-12)"""
 
 
+def _further_sql(n: int, before: str) -> str:
+    """CTE lb{n} (v, c): labels after one more round from the labels ``before``, both repairs done."""
+    return f"""
+    tt{n} AS (SELECT c, sum(x) AS all_x, sum(y) AS all_y FROM st JOIN {before} USING (v) GROUP BY 1),
+    cd{n} AS (SELECT v, c, sum(a) AS k, bool_or(own) AS own FROM (SELECT ln.v, l.c, a, false AS own FROM ln JOIN {before} l ON l.v = u UNION ALL SELECT v, c, 0, true FROM {before}) GROUP BY 1, 2),
+    sc{n} AS (SELECT cd.v, cd.c, own, round(2 * k / m2 - (x * (all_y - CASE WHEN own THEN y ELSE 0 END) + y * (all_x - CASE WHEN own THEN x ELSE 0 END)) / (m2 * m2), 12) AS score
+              FROM cd{n} cd JOIN st USING (v) JOIN tt{n} USING (c), m),
+    rk{n} AS (SELECT *, row_number() OVER (PARTITION BY v ORDER BY score DESC, c) AS r, max(score) FILTER (own) OVER (PARTITION BY v) AS stay, max(c) FILTER (own) OVER (PARTITION BY v) AS old FROM sc{n}),
+    mv{n} AS (SELECT v, old, c AS new FROM rk{n} WHERE r = 1 AND score - stay > 1e-12 AND c <> old),
+    ok{n} AS (SELECT * FROM mv{n} a WHERE a.new < a.old OR NOT EXISTS (SELECT 1 FROM mv{n} b WHERE b.old = a.new AND b.new = a.old)),
+    ow{n} AS (SELECT old AS label, new AS target FROM ok{n} WHERE v = old),
+    wy{n} AS (SELECT label, target AS stop FROM ow{n} UNION SELECT wy{n}.label, ow{n}.target FROM wy{n} JOIN ow{n} ON ow{n}.label = wy{n}.stop),
+    lp{n} AS (SELECT label FROM wy{n} WHERE label = stop),
+    en{n} AS (SELECT label, coalesce(min(stop) FILTER (stop NOT IN (SELECT label FROM ow{n})), min(stop) FILTER (stop IN (SELECT label FROM lp{n}))) AS target FROM wy{n} GROUP BY 1),
+    lb{n} AS (SELECT l.v, coalesce(en{n}.target, ok{n}.new, l.c) AS c FROM {before} l LEFT JOIN ok{n} ON ok{n}.v = l.v LEFT JOIN en{n} ON en{n}.label = ok{n}.new)"""
+
+
+def _two_rounds_sql(to_final: str, kind: str, w: str) -> str:
+    return f"WITH RECURSIVE {to_final}, {_round_sql(kind, w)}, lb0 AS (SELECT v, v AS c FROM st), {_further_sql(1, 'lb0')}, {_further_sql(2, 'lb1')} SELECT v, c AS comm FROM lb2"
+
+
 ORACLES = {
+    "two_rounds_relay": _two_rounds_sql(TO_FINAL, "flow", "w_e"),
+    "two_rounds_trade": _two_rounds_sql(TRADE_TO_FINAL, "flow", "w_e"),
+    "two_rounds_plain_trade": _two_rounds_sql(TRADE_TO_FINAL, "plain", "w_b"),
     "plain_round_relay": f"WITH RECURSIVE {TO_FINAL}, {_round_sql('plain', 'w_b')} SELECT v, new, gain FROM mv",
     "ftl_round_relay": f"WITH RECURSIVE {TO_FINAL}, {_round_sql('flow', 'w_e')} SELECT v, new, gain FROM mv",
     "repair_round_relay": f"""WITH RECURSIVE {TO_FINAL}, {_round_sql('flow', 'w_e')},

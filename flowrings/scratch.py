@@ -13,7 +13,7 @@ import shutil
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 _OWN: list[str] = []
 
@@ -49,6 +49,17 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     return out
 
 
+def materialize_observed(df: DataFrame, label: str, **measures: Column) -> tuple[DataFrame, dict]:
+    """``materialize`` and aggregates over the rows written, from the same job.
+
+    The rows are counted where they are written, in the job's last stage, whose tasks count once however
+    often they were tried.
+    """
+    seen = Observation()
+    out = materialize(df.observe(seen, *(c.alias(n) for n, c in measures.items())), label)
+    return out, seen.get
+
+
 def release(*frames: DataFrame | None) -> None:
     """Delete the files of materialised frames that nothing will read any more."""
     for df in frames:

@@ -1,16 +1,19 @@
 """Modularity, gains, searches, repairs, compression."""
 
+import contextlib
 import random
 from math import exp
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from flowrings.operators import modularity as M
 from flowrings.operators.compress import compress
-from flowrings.operators.kernel import quality, serial_louvain, vertex_numbers
-from flowrings.operators.louvain import RoundLog, detect_communities, detect_levels
-from flowrings.operators.repairs import follow_moves, undo_swaps
+from flowrings.operators.kernel import quality, serial_louvain, tie_digits, vertex_numbers
+from flowrings.operators.louvain import RoundLog, detect_communities, detect_levels, neighbour_info, rounds, scores
+from flowrings.operators.modularity import prepare
+from flowrings.operators.repairs import follow_moves, owner_targets, undo_swaps, without_swaps
 from flowrings.params import LouvainParams
 
 BRIDGED = [(1, 2), (2, 3), (3, 1), (4, 5), (5, 6), (6, 4), (3, 4)]
@@ -95,6 +98,139 @@ def test_searches_find_blocks(spark, kind):
             best = q
 
 
+def plain_rounds(pairs, kind, rule, hops, most=50, gain="exact"):
+    """Synchronous rounds of one level with dictionaries: labels of the best round, and (moves, swaps, followed) of each."""
+    w, k_in, k_out, near = {}, {}, {}, {}
+    for a, b, x in pairs:
+        w[a, b] = w.get((a, b), 0.0) + x
+        k_out[a], k_in[b] = k_out.get(a, 0.0) + x, k_in.get(b, 0.0) + x
+        if a != b:
+            for p, q in ((a, b), (b, a)):
+                near.setdefault(p, {})[q] = near.get(p, {}).get(q, 0.0) + x
+    nodes = sorted(set(k_in) | set(k_out))
+    two_m, k = 2 * sum(w.values()), {v: k_in.get(v, 0) + k_out.get(v, 0) for v in nodes}
+    skew = {v: (k_in.get(v, 0) - k_out.get(v, 0)) / k[v] if kind == "flow" else 0.0 for v in nodes}
+    penal = lambda i, j: exp(skew[i] - skew[j]) * k[i] * k[j]
+
+    def q(comm):
+        inner = sum(2 * x for (a, b), x in w.items() if comm[a] == comm[b])
+        return inner / two_m - sum(penal(i, j) for i in nodes for j in nodes if comm[i] == comm[j]) / two_m**2
+
+    def score(v, c, comm):
+        others = [j for j in nodes if comm[j] == c and j != v]
+        pull = sum(x for j, x in near.get(v, {}).items() if comm[j] == c)
+        return round((2 if gain == "exact" else 1) * pull / two_m - sum(penal(v, j) + penal(j, v) for j in others) / two_m**2, 12)
+
+    comm, log = {v: v for v in nodes}, []
+    best, best_q, stale = dict(comm), q(comm), 0
+    for _ in range(most):
+        moves = {}
+        for v in nodes:
+            cands = {comm[j] for j in near.get(v, {})} | {comm[v]}
+            at = {c: score(v, c, comm) for c in cands}
+            top = min(cands, key=lambda c: (-at[c], c))
+            if at[top] > at[comm[v]] + 1e-12:
+                moves[v] = (comm[v], top)
+        if not moves:
+            break
+        crossed = {v for v, (a, b) in moves.items() if (b, a) in moves.values()}
+        kept = {v: m for v, m in moves.items() if v not in crossed or rule == "smaller" and m[1] < m[0]}
+        owner = {a: b for v, (a, b) in kept.items() if v == a}
+        to, followed = {}, 0
+        for v, (_, c) in kept.items():
+            seen, now = [], c
+            while now in owner and now not in seen:
+                seen.append(now)
+                now = owner[now]
+                if hops == 1:
+                    break
+            to[v] = min(seen[seen.index(now) :]) if now in seen and hops != 1 else now
+            followed += to[v] != c
+        changed = sum(to[v] != moves[v][0] for v in kept)
+        comm = comm | to
+        log.append((len(moves), len(crossed), followed))
+        if (now := q(comm)) > best_q + 1e-12:
+            best, best_q, stale = dict(comm), now, 0
+        else:
+            stale += 1
+        if not changed or stale >= 3:
+            break
+    return best, log, best_q
+
+
+@pytest.mark.parametrize("kind, rule, hops", [("flow", "smaller", "closure"), ("plain", "smaller", "closure"), ("flow", "undo", 1), ("plain", "undo", "closure"), ("flow", "smaller", 1)])
+@pytest.mark.parametrize("local_edges", [0, 10_000])
+def test_synchronous_rounds_equal_plain_loops(spark, kind, rule, hops, local_edges):
+    """One level by Spark jobs and by the one task against a plain search: the same labels, moves, swaps, followers."""
+    rng = random.Random(21)
+    pairs = [(a, b, 1.0 + (a * 5 + b) % 7 / 3) for a in range(24) for b in range(24) if a != b and rng.random() < (0.5 if a // 6 == b // 6 else 0.06)]
+    labels, rounds, q = plain_rounds(pairs, kind, rule, hops)
+    log = RoundLog()
+    p = LouvainParams(objective=kind, weight="w", strategy="sync", swap_rule=rule, lag_hops=hops, max_levels=1, local_edges=local_edges)
+    with pytest.warns(UserWarning, match="level bound") if len(set(labels.values())) < 24 else contextlib.nullcontext():
+        got = {r.v: r.comm for r in detect_communities(spark.createDataFrame(pairs, "src long, dst long, w double"), p, log).collect()}
+    name = {c: min(v for v in labels if labels[v] == c) for c in labels.values()}
+    assert got == {v: name[c] for v, c in labels.items()}
+    did = [r for r in log.rows if r[1] is not None and r[2]]
+    assert [(r[2], r[3], r[4]) for r in did] == rounds and max(r[5] for r in did) == pytest.approx(q)
+
+
+def test_literal_swap_rule_sends_both_back(spark):
+    """Two vertices that choose each other stay apart for ever under 'undo' and meet under 'smaller'."""
+    pair = spark.createDataFrame([(1, 2, 1.0), (2, 1, 1.0), (3, 4, 1.0), (4, 3, 1.0)], "src long, dst long, w double")
+    for local_edges in (0, 100):
+        p = LouvainParams(weight="w", objective="plain", strategy="sync", local_edges=local_edges)
+        comm = {rule: {r.v: r.comm for r in detect_communities(pair, p.but(swap_rule=rule)).collect()} for rule in ("undo", "smaller")}
+        assert comm["undo"] == {1: 1, 2: 2, 3: 3, 4: 4} and comm["smaller"] == {1: 1, 2: 1, 3: 3, 4: 3}
+    moves_ = spark.createDataFrame([(1, 1, 2), (2, 2, 1), (5, 2, 1), (3, 3, 2)], "v long, old long, new long")
+    assert {(r.v, r.crossed, r.stands) for r in without_swaps(moves_, "smaller").collect()} == {(1, True, False), (2, True, True), (5, True, True), (3, False, True)}
+    with pytest.raises(ValueError):
+        without_swaps(moves_, "other")
+
+
+@pytest.mark.parametrize("change", [dict(repair="stage"), dict(damping=True), dict(gain="printed"), dict(delta_mode="recomputed"), dict(objective="inout"), dict(resolution=2.0)])
+def test_search_variants_partition_all_vertices(spark, change):
+    pairs, truth = blocks(3, 3, 6)
+    log = RoundLog()
+    p = LouvainParams(weight="w", strategy="sync", local_edges=0, max_rounds=100).but(**change)
+    got = {r.v: r.comm for r in detect_communities(frame(spark, pairs), p, log).collect()}
+    assert set(got) == set(truth) and all(got[c] == c for c in got.values()) and 1 < len(set(got.values())) < len(truth)
+    assert log.rows
+
+
+def test_damping_holds_back_half_of_the_vertices(spark):
+    pairs, _ = blocks(3, 3, 6)
+    p = prepare(frame(spark, pairs), "w", "flow")
+    still, half = (rounds(p, LouvainParams(weight="w", damping=d), 1).filter("v <> comm").count() for d in (False, True))
+    assert 0 < half < still
+
+
+def test_neighbour_records_and_neighbour_penalties(spark):
+    """The literal gather has a record for each neighbour; penalties over neighbours only equal the full ones where all know each other."""
+    pairs = [(a, b) for a in range(5) for b in range(5) if a < b] + [(10, 11), (11, 12)]
+    p = prepare(frame(spark, pairs), "w", "flow")
+    sums = M.flow_skew(frame(spark, pairs), "w")
+    state = sums.select("v", "k", "k_in", "k_out", F.col("v").alias("comm"))
+    info = {r.v: r.info for r in neighbour_info(frame(spark, pairs), state).collect()}
+    assert {v: [x.u for x in xs] for v, xs in info.items()}[11] == [10, 12] and len(info[0]) == 4
+    rec = info[11][0]
+    assert (rec.k_i, rec.k_in_i, rec.k_out_i, rec.comm_i, rec.k_j, rec.k_in_j, rec.k_out_j, rec.comm_j) == (2, 1, 1, 11, 1, 0, 1, 10)
+    one = p.state.withColumn("comm", F.when(F.col("v") < 5, F.lit(0)).otherwise(F.lit(10)).cast("long"))
+    by = [{(r.v, r.cand): r.score for r in scores(p, one, LouvainParams(), scope).collect()} for scope in ("community", "neighbours")]
+    assert all(by[0][v, 0] == pytest.approx(by[1][v, 0]) for v in range(5)) and by[0][10, 10] < by[1][10, 10]
+
+
+def test_ties_have_more_digits_on_large_graphs():
+    assert [tie_digits(n) for n in (0, 1, 10**6, 10**6 + 1, 10**9, 10**12)] == [12, 12, 12, 13, 15, 18]
+
+
+def test_large_owner_chains_by_pointer_doubling(spark):
+    chain = [(i, i + 1) for i in range(40)] + [(100, 101), (101, 102), (102, 100), (99, 100)]
+    owners = spark.createDataFrame(chain, "label long, target long")
+    by = [{r.label: r.target for r in owner_targets(owners, local_rows=n).collect()} for n in (0, 1000)]
+    assert by[0] == by[1] and by[0][0] == 40 and by[0][99] == by[0][102] == 100
+
+
 def test_local_equals_serial_on_several_components(spark):
     a, _ = blocks(1, 3, 6)
     b, _ = blocks(2, 3, 6)
