@@ -81,7 +81,6 @@ def detect_rings(transfers: DataFrame, period: Period, settings: Settings = Sett
     labels = materialize(detect_communities(edges, settings.louvain, log), "communities")
     of = edges.select(F.explode(F.array("src", "dst")).alias("v"), "mcs").distinct().join(labels, "v").groupBy("comm").agg(F.min("mcs").alias("mcs"))
     scored = risk.community_risk(transfers, edges, labels, period.seconds, settings.risk).join(of, "comm")
-    ranked = risk.risk_levels(risk.risk_curve(scored), settings.risk.cuts)
-    ranked = materialize(ranked, "ranked")
+    ranked = materialize(risk.risk_levels(risk.risk_curve(scored), settings.risk.cuts), "ranked")
     suspicious = risk.suspicious_components(ranked, settings.risk.min_count)
     return RingReport(edges, kept, labels, ranked, suspicious, log)

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from flowrings.operators import graph, weights
-from flowrings.params import SMALL_DATA, Period
+from flowrings.params import SMALL_DATA, Period, WeightParams
 from flowrings.plans.pipeline import Settings, weighted_graph
 from flowrings.sources import ledger
 
@@ -16,6 +16,8 @@ TRADE_YEAR = Period("1998-01-01", "1999-01-01")
 EVENT_HOURS = Period("2024-01-08", "2024-01-08 06:00:00")
 EVENT_WEEK = Period("2024-01-08", "2024-01-15")
 SMALL = Settings(screen=SMALL_DATA)
+#: Published thresholds; standardised values are clipped, so that no single edge holds most of the weight.
+SPREAD = Settings(weight=WeightParams(z_cap=3.0))
 
 
 def relay(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -36,6 +38,11 @@ def relay_screened(spark: SparkSession, sf_dir: str) -> DataFrame:
     return weighted_graph(relay(spark, sf_dir), RELAY, SMALL)[0]
 
 
+def trade_screened(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ninety days of trade, screened by the published thresholds, with clipped weights."""
+    return weighted_graph(ledger.trade(spark, sf_dir, TRADE), TRADE, SPREAD)[0]
+
+
 def nations(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(v, comm): the account's nation, a partition that SQL can name."""
     return spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.col("c_custkey").alias("v"), F.col("c_nationkey").cast("bigint").alias("comm"))
@@ -79,14 +86,19 @@ tr AS (SELECT * FROM raw WHERE src <> dst AND dst IS NOT NULL AND amount IS NOT
 MERGE = "e AS (SELECT src, dst, sum(amount) AS money, count(*) AS times, avg(t_sec) AS t FROM tr GROUP BY 1, 2)"
 
 
-def z_sql(col: str, table: str) -> str:
+def z_sql(col: str, table: str, cap: float | None = None) -> str:
     """A standardised column as an expression over one table."""
     x = f"CAST({col} AS DOUBLE)"
-    return f"coalesce(({x} - (SELECT avg({x}) FROM {table})) / nullif((SELECT stddev_pop({x}) FROM {table}), 0), 0)"
+    z = f"coalesce(({x} - (SELECT avg({x}) FROM {table})) / nullif((SELECT stddev_pop({x}) FROM {table}), 0), 0)"
+    return z if cap is None else f"greatest(-{cap}, least({cap}, {z}))"
+
+
+def base_sql(cap: float | None = None) -> str:
+    return f"""
+ew AS (SELECT *, exp(lw) AS w_b FROM (SELECT *, 0.5 * {z_sql('money', 'e', cap)} + 0.5 * {z_sql('times', 'e', cap)} AS lw FROM e))"""
 
 
-BASE = f"""
-ew AS (SELECT *, exp(lw) AS w_b FROM (SELECT *, 0.5 * {z_sql('money', 'e')} + 0.5 * {z_sql('times', 'e')} AS lw FROM e))"""
+BASE = base_sql()
 
 ISOLATION = """
 ends AS (SELECT src AS v FROM ew UNION ALL SELECT dst FROM ew),
@@ -114,17 +126,19 @@ def nodes_sql(table: str, name: str = "nd") -> str:
        FROM (SELECT src AS v, 0 AS i, * FROM {table} UNION ALL SELECT dst, 1, * FROM {table}) GROUP BY 1)"""
 
 
-FINAL = (
-    nodes_sql("se")
-    + f""",
-nf AS (SELECT *, {z_sql('money', 'nd')} / 3 + {z_sql('times', 'nd')} / 3 + {z_sql('deg', 'nd')} / 3 AS ls, (deg_in - deg_out) / CAST(deg_in + deg_out AS DOUBLE) AS beta FROM nd),
+def final_sql(seconds: float, cap: float | None = None) -> str:
+    """From screened edges se: nd, nf (nodes), fw (edges with all weights)."""
+    return nodes_sql("se") + f""",
+nf AS (SELECT *, {z_sql('money', 'nd', cap)} / 3 + {z_sql('times', 'nd', cap)} / 3 + {z_sql('deg', 'nd', cap)} / 3 AS ls, (deg_in - deg_out) / CAST(deg_in + deg_out AS DOUBLE) AS beta FROM nd),
 tp AS (SELECT se.*, lw + s.ls + d.ls AS lwn, s.beta AS sb, d.beta AS db,
-       CASE WHEN s.beta > 0 AND t <> s.t_in THEN s.beta * greatest(-10, least(10, {RELAY.seconds} / nullif(t - s.t_in, 0))) ELSE 0 END AS xs,
-       CASE WHEN d.beta < 0 AND t <> d.t_out THEN d.beta * greatest(-10, least(10, {RELAY.seconds} / nullif(t - d.t_out, 0))) ELSE 0 END AS xd
+       CASE WHEN s.beta > 0 AND t <> s.t_in THEN s.beta * greatest(-10, least(10, {seconds} / nullif(t - s.t_in, 0))) ELSE 0 END AS xs,
+       CASE WHEN d.beta < 0 AND t <> d.t_out THEN d.beta * greatest(-10, least(10, {seconds} / nullif(t - d.t_out, 0))) ELSE 0 END AS xd
        FROM se JOIN nf s ON s.v = src JOIN nf d ON d.v = dst),
 fw AS (SELECT *, exp(lwn) AS w_n, exp(lwn + xs + xd) AS w_e,
        CASE WHEN sb > 0 AND db < 0 THEN 'both' WHEN sb > 0 THEN 'gather_then_send' WHEN db < 0 THEN 'gather_before_scatter' ELSE 'none' END AS kind FROM tp)"""
-)
+
 
 TO_SCREENED = ", ".join((relay_sql(), BASE, ISOLATION, COMPONENTS, PROFILE))
-TO_FINAL = f"{TO_SCREENED}, {FINAL}"
+TO_FINAL = f"{TO_SCREENED}, {final_sql(RELAY.seconds)}"
+TRADE_PROFILE = PROFILE.replace("deg > 3", "deg > 20").replace("n_hubs > 0", "n_hubs > 7")
+TRADE_TO_FINAL = ", ".join((trade_sql(), base_sql(3.0), ISOLATION, COMPONENTS, TRADE_PROFILE, final_sql(TRADE.seconds, 3.0)))

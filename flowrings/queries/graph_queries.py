@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from flowrings.operators import baselines, evaluate, graph, modularity, screening, weights
+from flowrings.operators import baselines, drilldown, evaluate, graph, modularity, screening, weights
 from flowrings.operators.compress import compress
 from flowrings.params import SMALL_DATA, LouvainParams, ScreenParams
 from flowrings.plans.pipeline import screened_graph
 from flowrings.queries.common import (
-    BASE, COMPONENTS, EVENT_HOURS, ISOLATION, PROFILE, SMALL, TO_FINAL, TO_SCREENED, TRADE, event_sql, nations, nodes_sql, relay, relay_base,
-    relay_connected, relay_screened, relay_sql, shown, trade_sql, z_sql,
+    BASE, COMPONENTS, EVENT_HOURS, EVENT_WEEK, ISOLATION, PROFILE, SMALL, TO_FINAL, TO_SCREENED, TRADE, event_sql, nations, nodes_sql, relay, relay_base,
+    relay_connected, relay_screened, relay_sql, shown, trade_screened, trade_sql, z_sql, TRADE_TO_FINAL,
 )
 from flowrings.scratch import materialize
 from flowrings.sources import ledger
@@ -53,12 +55,34 @@ def _q(kind):
     return lambda s, d: shown(modularity.modularity(relay_base(s, d), nations(s, d), kind, "w_b"), 9)
 
 
+def _curve(curve: DataFrame, y: str) -> DataFrame:
+    """A curve with its differences at every integer threshold."""
+    return shown(screening.every_threshold(screening.second_difference(curve, y)))
+
+
+def _regions(s, d) -> tuple[DataFrame, DataFrame]:
+    """(v, nation_key) and (nation_key, region)."""
+    nation, region = s.read.parquet(f"{d}/nation.parquet"), s.read.parquet(f"{d}/region.parquet")
+    places = nation.join(region, nation.n_regionkey == region.r_regionkey).select(F.col("n_nationkey").alias("nation_key"), F.col("r_name").alias("region"))
+    return s.read.parquet(f"{d}/customer.parquet").select(F.col("c_custkey").alias("v"), F.col("c_nationkey").alias("nation_key")), places
+
+
+def _changes(s, d):
+    """Components with isolated pairs and without: labels that both partitions have, and those of one only."""
+    merged = graph.merge_transfers(ledger.event(s, d, EVENT_HOURS))
+    both = [graph.connected_components(materialize(e, "edges")).select("v", F.col("mcs").alias("comm")) for e in (graph.drop_isolated_edges(merged), graph.drop_isolated_edges(merged, "pair"))]
+    return evaluate.label_changes(*(materialize(x, "labels") for x in both))
+
+
 def _thresholds(s, d):
     edges, labels = _components(relay_connected(s, d))
     p = screening.choose_thresholds(edges, labels)
     return s.createDataFrame([(p.v_lo, p.v_hi, p.hub_degree, p.n_hubs)], "v_lo int, v_hi int, hub_degree int, n_hubs int")
 
 
+#: Thresholds of the rule-based screen that flag some edges of the given tables.
+RULE_AMOUNT = 90_000.0
+
 QUERIES = {
     "base_weight_relay": lambda s, d: shown(relay_base(s, d).select("src", "dst", "w_b"), 3),
     "isolation_relay": lambda s, d: relay_connected(s, d).select("src", "dst"),
@@ -68,10 +92,10 @@ QUERIES = {
     "components_event": lambda s, d: _components(_event_edges(s, d))[1],
     "components_minlabel_event": lambda s, d: graph.connected_components(_event_edges(s, d), "minlabel"),
     "component_profile_relay": lambda s, d: _profile(relay_connected(s, d)),
-    "sweep_sizes_relay": lambda s, d: shown(screening.second_difference(screening.sweep_sizes(_profile(relay_connected(s, d))), "v_remain")),
-    "sweep_mean_size_relay": lambda s, d: shown(screening.second_difference(screening.sweep_sizes(_profile(relay_connected(s, d))), "v_avg")),
-    "sweep_degrees_trade": lambda s, d: shown(screening.second_difference(screening.sweep_degrees(graph.vertex_profile(_trade_edges(s, d))), "v_remain")),
-    "sweep_hubs_relay": lambda s, d: shown(screening.second_difference(screening.sweep_hub_counts(_profile(relay_connected(s, d))), "m_remain")),
+    "sweep_sizes_relay": lambda s, d: _curve(screening.sweep_sizes(_profile(relay_connected(s, d))), "v_remain"),
+    "sweep_mean_size_relay": lambda s, d: _curve(screening.sweep_sizes(_profile(relay_connected(s, d))), "v_avg"),
+    "sweep_degrees_trade": lambda s, d: _curve(screening.sweep_degrees(graph.vertex_profile(_trade_edges(s, d))), "v_remain"),
+    "sweep_hubs_relay": lambda s, d: _curve(screening.sweep_hub_counts(_profile(relay_connected(s, d))), "m_remain"),
     "choose_thresholds_relay": _thresholds,
     "hubs_trade": lambda s, d: screening.hubs(graph.vertex_profile(_trade_edges(s, d)), 20).select("v", "deg"),
     "screen_relay": lambda s, d: screened_graph(relay(s, d), SMALL)[0].select("mcs", "src", "dst"),
@@ -87,9 +111,15 @@ QUERIES = {
     "q_inout_relay": _q("inout"),
     "flow_skew_relay": lambda s, d: shown(modularity.flow_skew(relay_base(s, d), "w_b"), 3),
     "compress_relay": _compress,
-    "rules_trade": lambda s, d: shown(baselines.rules(_trade_edges(s, d))),
+    "rules_trade": lambda s, d: shown(baselines.rules(_trade_edges(s, d), RULE_AMOUNT, 2)),
     "outliers_trade": lambda s, d: shown(baselines.account_outliers(graph.vertex_profile(_trade_edges(s, d)))),
     "cliques_relay": lambda s, d: baselines.clique_percolation(materialize(relay_connected(s, d), "edges")).select("v", "comm"),
+    "cliques_event": lambda s, d: baselines.clique_percolation(materialize(graph.merge_transfers(ledger.event(s, d, EVENT_WEEK)), "edges")).select("v", "comm"),
+    "cliques4_event": lambda s, d: baselines.clique_percolation(materialize(graph.merge_transfers(ledger.event(s, d, EVENT_WEEK)), "edges"), 4).select("v", "comm"),
+    "final_weight_trade": lambda s, d: shown(trade_screened(s, d).select("src", "dst", "x_src", "x_dst", "log_w_b", "log_w_n", "log_w_e")),
+    "dropped_edges_relay": lambda s, d: evaluate.dropped_edges(relay_base(s, d), relay_connected(s, d)).select("src", "dst"),
+    "label_changes_event": _changes,
+    "volume_cube_relay": lambda s, d: shown(drilldown.volume_cube(graph.merge_transfers(relay(s, d)), *_regions(s, d))),
 }
 
 _COMP = "SELECT v, mcs FROM comp"
@@ -150,9 +180,61 @@ ORACLES = {
     "q_inout_relay": _q_sql("inout"),
     "flow_skew_relay": f"WITH {relay_sql()}, {BASE}, {_SKEW} SELECT v, round(k_in, 3) AS k_in, round(k_out, 3) AS k_out, round(k, 3) AS k, round(delta, 3) AS delta FROM sk",
     "compress_relay": f"WITH {relay_sql()}, {BASE} SELECT CAST(a.c_nationkey AS BIGINT) AS src, CAST(b.c_nationkey AS BIGINT) AS dst, round(sum(w_b), 3) AS w FROM ew JOIN customer a ON a.c_custkey = src JOIN customer b ON b.c_custkey = dst GROUP BY 1, 2",
-    "rules_trade": f"""WITH {trade_sql()} SELECT src, dst, CAST(money AS DOUBLE) AS money, times, concat_ws(',', CASE WHEN money >= 300000 THEN 'amount' END, CASE WHEN times >= 3 THEN 'times' END) AS rule
-        FROM e WHERE money >= 300000 OR times >= 3""",
+    "rules_trade": f"""WITH {trade_sql()} SELECT src, dst, CAST(money AS DOUBLE) AS money, times, concat_ws(',', CASE WHEN money >= {RULE_AMOUNT} THEN 'amount' END, CASE WHEN times >= 2 THEN 'times' END) AS rule
+        FROM e WHERE money >= {RULE_AMOUNT} OR times >= 2""",
     "outliers_trade": f"""WITH {trade_sql()}, {nodes_sql('e')} SELECT * FROM (SELECT v, deg, CAST(money AS DOUBLE) AS money, times,
         round(greatest({z_sql('money', 'nd')}, {z_sql('times', 'nd')}, {z_sql('deg', 'nd')}), 6) AS worst FROM nd) WHERE worst > 3""",
 }
+
+
+def _settled(name: str, histogram: str, sums: str, y: str, extra: str = "") -> str:
+    """CTEs ending in ``name`` (x): the first threshold from which the second difference stays small, null if none."""
+    curve = _sweep(histogram, sums, y, extra)
+    for part in ("h", "grid", "c", "c2"):
+        curve = re.sub(rf"\b{part}\b", f"{name}_{part}", curve)
+    ctes, _, last = curve.rpartition("\n")
+    return f"""{ctes.strip()},
+    {name}_d AS ({last.strip()}),
+    {name}_w AS (SELECT *, max(abs(d2)) OVER (ORDER BY threshold ROWS BETWEEN CURRENT ROW AND 4 FOLLOWING) AS worst FROM {name}_d),
+    {name} AS (SELECT min(threshold) AS x FROM {name}_w WHERE d2 IS NOT NULL AND worst <= 0.01 * (SELECT max(abs(d2)) FROM {name}_d))"""
+
+
+_HUBS = "SELECT n_hubs AS x, count(*) AS n FROM (SELECT mcs, count(*) FILTER (deg > (SELECT coalesce(x, 20) FROM deg_at)) AS n_hubs FROM comp JOIN d1 USING (v) GROUP BY 1) GROUP BY 1"
+_COUNT = lambda n: f"CAST(coalesce(sum(n), 0) AS BIGINT) AS {n}"
+ORACLES["choose_thresholds_relay"] = f"""{_TO_PROFILE}, {_settled('lo', *_SIZES, 'v_remain')}, {_settled('hi', *_SIZES, 'v_avg', _AVG_RAW)},
+    {_settled('deg_at', 'SELECT deg AS x, count(*) AS n FROM d1 GROUP BY 1', _COUNT('v_remain'), 'v_remain')}, {_settled('hubs_at', _HUBS, _COUNT('m_remain'), 'm_remain')}
+    SELECT CAST(coalesce(lo.x, 10) AS INTEGER) AS v_lo, CAST(greatest(coalesce(hi.x, 2000), coalesce(lo.x, 10) + 2) AS INTEGER) AS v_hi,
+           CAST(coalesce(deg_at.x, 20) AS INTEGER) AS hub_degree, CAST(coalesce(hubs_at.x, 7) AS INTEGER) AS n_hubs FROM lo, hi, deg_at, hubs_at"""
+
+
+def _cliques_sql(edges: str, k: int) -> str:
+    """Groups of k-cliques linked by k - 1 shared vertices."""
+    names = [f"p{i}" for i in range(k)]
+    joins = " ".join(f"JOIN pr q{i}_{j} ON q{i}_{j}.a = {'q0_1.a' if i == 0 else f'q0_{i}.b'} AND q{i}_{j}.b = q0_{j}.b" for i in range(1, k) for j in range(i + 1, k))
+    heads = "pr q0_1 " + " ".join(f"JOIN pr q0_{j} ON q0_{j}.a = q0_1.a" for j in range(2, k))
+    cols = ", ".join(f"{'q0_1.a' if i == 0 else f'q0_{i}.b'} AS {n}" for i, n in enumerate(names))
+    return f"""{edges}, pr AS (SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b FROM ke WHERE src <> dst),
+    cl AS (SELECT row_number() OVER (ORDER BY {', '.join(names)}) AS id, {', '.join(names)} FROM (SELECT {cols} FROM {heads} {joins})),
+    mem AS (SELECT id, unnest([{', '.join(names)}]) AS v FROM cl),
+    nb AS (SELECT x.id AS a, y.id AS b FROM mem x JOIN mem y ON x.v = y.v GROUP BY 1, 2 HAVING count(*) >= {k - 1}),
+    cr AS (SELECT DISTINCT a AS id, a AS r FROM nb UNION SELECT nb.b, cr.r FROM cr JOIN nb ON nb.a = cr.id WHERE cr.r < nb.b),
+    rt AS (SELECT id, min(r) AS r FROM cr GROUP BY 1), gr AS (SELECT DISTINCT r, v FROM mem JOIN rt USING (id)), nm AS (SELECT r, min(v) AS comm FROM gr GROUP BY 1)
+    SELECT v, comm FROM gr JOIN nm USING (r)"""
+
+
+_RELAY_K = f"WITH RECURSIVE {relay_sql()}, {BASE}, {ISOLATION}, ke AS (SELECT * FROM k)"
+_EVENT_K = f"WITH RECURSIVE {event_sql(EVENT_WEEK)}, ke AS (SELECT * FROM e)"
+_PAIRED = "l AS (SELECT src AS v, dst AS u FROM e UNION SELECT dst, src FROM e), s1 AS (SELECT v FROM l GROUP BY 1 HAVING count(*) = 1)"
+ORACLES |= {
+    "cliques_relay": _cliques_sql(_RELAY_K, 3),
+    "cliques_event": _cliques_sql(_EVENT_K, 3),
+    "cliques4_event": _cliques_sql(_EVENT_K, 4),
+    "final_weight_trade": f"WITH RECURSIVE {TRADE_TO_FINAL} SELECT src, dst, round(xs, 6) AS x_src, round(xd, 6) AS x_dst, round(lw, 6) AS log_w_b, round(lwn, 6) AS log_w_n, round(lwn + xs + xd, 6) AS log_w_e FROM fw",
+    "dropped_edges_relay": f"WITH {relay_sql()}, {BASE}, {ISOLATION} SELECT src, dst FROM ew EXCEPT ALL SELECT src, dst FROM k",
+    "label_changes_event": f"""WITH RECURSIVE {event_sql(EVENT_HOURS)}, {BASE}, {ISOLATION}, {COMPONENTS}, {_PAIRED},
+        fewer AS (SELECT src, dst FROM e WHERE NOT (src IN (SELECT v FROM s1) AND dst IN (SELECT v FROM s1))), kept_v AS (SELECT src AS v FROM fewer UNION SELECT dst FROM fewer)
+        SELECT v, mcs AS comm, CASE WHEN v IN (SELECT v FROM kept_v) THEN 'both' ELSE 'first' END AS side FROM comp""",
+    "volume_cube_relay": f"""WITH {relay_sql()}, r AS (SELECT c_custkey AS v, r_name AS region FROM customer JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey)
+        SELECT a.region AS payer, b.region AS payee, count(*) AS edges, CAST(sum(money) AS DOUBLE) AS money FROM e JOIN r a ON a.v = src JOIN r b ON b.v = dst GROUP BY CUBE (a.region, b.region)""",
+}
 ORACLES["components_minlabel_event"] = ORACLES["components_event"]

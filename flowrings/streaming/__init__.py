@@ -17,6 +17,17 @@ def read_stream(spark: SparkSession, path: str, fmt: str = "parquet", files_per_
     return (reader.option("maxFilesPerTrigger", files_per_batch) if files_per_batch else reader).load(path)
 
 
+def rate_stream(spark: SparkSession, rows_per_batch: int = 1000, accounts: int = 1000, seed: int = 1) -> DataFrame:
+    """Generated transfers between hashed accounts, a fixed number of rows a batch: for tests and load trials."""
+    rows = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows_per_batch).option("startTimestamp", 0).load()
+    pick = lambda salt: F.pmod(F.xxhash64("value", F.lit(seed), F.lit(salt)), F.lit(accounts))
+    ts = F.col("timestamp")
+    return rows.select(
+        pick("src").alias("src"), pick("dst").alias("dst"), (F.lit(1) + pick("amount")).cast("decimal(18,2)").alias("amount"), (F.unix_micros(ts) / 1e6).alias("t_sec"),
+        ts.alias("ts"), F.to_date(ts).alias("day"), F.col("value").alias("tx_id"),
+    )
+
+
 def windowed_edges(stream: DataFrame, period: str = "7 days", step: str | None = None, lateness: str = "1 day") -> DataFrame:
     """Merged edges per tumbling window, or per sliding one with ``step``; rows later than ``lateness`` are dropped.
 
@@ -53,23 +64,31 @@ def hops(incoming: DataFrame, outgoing: DataFrame, within: str = "1 hour", laten
     return got.join(sent, band).select("account", "in_tx", "out_tx", "got_at", "sent_at")
 
 
-def running_profiles(stream: DataFrame) -> DataFrame:
-    """(v, n_in, n_out, money_in, money_out, last_t): each account's totals so far, updated with every batch."""
-    ends = stream.select(F.explode(F.array(F.struct(F.col("dst").alias("v"), F.lit(1).alias("into")), F.struct(F.col("src").alias("v"), F.lit(0).alias("into")))).alias("x"), "amount", "t_sec")
-    ends = ends.select("x.v", "x.into", F.col("amount").cast("double").alias("amount"), "t_sec")
+def running_profiles(stream: DataFrame, lateness: str = "1 day", idle_seconds: int = 30 * 86_400) -> DataFrame:
+    """(v, n_in, n_out, money_in, money_out, last_t): each account's totals so far, updated with every batch.
+
+    The totals of an account are dropped once the watermark is ``idle_seconds`` past its last transfer, so the
+    state holds the accounts of that time only; an account that comes back starts anew.
+    """
+    ends = stream.withWatermark("ts", lateness).select(F.explode(F.array(F.struct(F.col("dst").alias("v"), F.lit(1).alias("into")), F.struct(F.col("src").alias("v"), F.lit(0).alias("into")))).alias("x"), "amount", "t_sec", "ts")
+    ends = ends.select("x.v", "x.into", F.col("amount").cast("double").alias("amount"), "t_sec", "ts", F.unix_millis("ts").alias("ms"))
 
     def update(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        n_in, n_out, m_in, m_out, last = state.get if state.exists else (0, 0, 0.0, 0.0, 0.0)
+        if state.hasTimedOut:
+            state.remove()
+            return
+        n_in, n_out, m_in, m_out, last, ms = state.get if state.exists else (0, 0, 0.0, 0.0, 0.0, 0)
         for part in parts:
             into = part["into"] == 1
             n_in, n_out = n_in + int(into.sum()), n_out + int((~into).sum())
             m_in, m_out = m_in + float(part.amount[into].sum()), m_out + float(part.amount[~into].sum())
-            last = max(last, float(part.t_sec.max()))
-        state.update((n_in, n_out, m_in, m_out, last))
+            last, ms = max(last, float(part.t_sec.max())), max(ms, int(part.ms.max()))
+        state.update((n_in, n_out, m_in, m_out, last, ms))
+        state.setTimeoutTimestamp(max(ms + idle_seconds * 1000, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame({"v": [key[0]], "n_in": [n_in], "n_out": [n_out], "money_in": [m_in], "money_out": [m_out], "last_t": [last]})
 
     fields = "n_in bigint, n_out bigint, money_in double, money_out double, last_t double"
-    return ends.groupBy("v").applyInPandasWithState(update, f"v bigint, {fields}", fields, "update", GroupStateTimeout.NoTimeout)
+    return ends.groupBy("v").applyInPandasWithState(update, f"v bigint, {fields}", f"{fields}, ms bigint", "update", GroupStateTimeout.EventTimeTimeout)
 
 
 def detect_on_close(edges: DataFrame, detect: Callable[[DataFrame, int], None], checkpoint: str):

@@ -1,5 +1,7 @@
 """Entropy, scores, levels, measures, baselines, planted rings."""
 
+import random
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -40,6 +42,62 @@ def test_curve_and_turning_point(spark):
     assert risk.turning_point(curve) == 3
 
 
+def test_ranks_by_range_equal_one_window(spark):
+    """Ties that span ranges, a tie of half of all communities, one community, none."""
+    rng = random.Random(6)
+    cases = [[rng.choice([1.0, 2.0, 5.0, rng.random()]) for _ in range(300)], [3.0] * 150 + [float(i) for i in range(150)], [4.0], [2.0, 2.0], [float(i % 3) for i in range(50)]]
+    for psi in cases:
+        s = spark.createDataFrame([(i * 7 % 1009, x) for i, x in enumerate(psi)], "comm long, psi double")
+        show = lambda df, *cols: sorted((r.comm, *(None if r[c] is None else round(r[c], 12) for c in cols)) for r in df.collect())
+        assert show(risk.risk_curve(s, 0), "psi", "rank", "slope") == show(risk.risk_curve(s), "psi", "rank", "slope")
+        assert show(risk.risk_levels(s, one_task=0), "pct", "level") == show(risk.risk_levels(s), "pct", "level")
+    assert risk.risk_curve(s.limit(0), 0).count() == 0 and risk.risk_levels(s.limit(0), one_task=0).count() == 0
+
+
+def test_scores_of_many_communities_stay_finite(spark):
+    f = spark.range(400_000).select(F.col("id").alias("comm"), *(F.when(F.col("id") == 3, 1e9).otherwise(1.0).alias(c) for c in "vemdh"))
+    row = risk.risk_scores(f).agg(F.max("psi").alias("top"), F.max_by("comm", "psi").alias("comm"), F.count_if(F.isnan("psi")).alias("nan")).first()
+    assert 1e100 < row.top < 1e150 and row.comm == 3 and row.nan == 0
+
+
+def test_degrees_of_the_whole_graph(spark):
+    e = spark.createDataFrame([(1, 2, 5.0, 1, 0.0), (2, 3, 5.0, 1, 0.0), (3, 1, 5.0, 1, 0.0)], "src long, dst long, money double, times long, t double")
+    labels = spark.createDataFrame([(1, 1), (2, 1), (3, 3)], "v long, comm long")
+    d = lambda scope: {r.comm: r.d for r in risk.community_features(e, labels, scope).collect()}
+    assert d("inside") == {1: 1.0, 3: 0.0} and d("graph") == {1: 2.0, 3: 2.0}
+
+
+def test_coherence_and_comparison_by_hand(spark):
+    """Two triangles whose edges differ in time; one partition follows them, one cuts across."""
+    rows = [(1, 2, 1.0, 0.0), (2, 3, 1.0, 0.0), (3, 1, 1.0, 0.0), (4, 5, 1.0, 10.0), (5, 6, 1.0, 10.0), (6, 4, 1.0, 10.0), (3, 4, 2.0, 5.0)]
+    e = spark.createDataFrame(rows, "src long, dst long, w_b double, t double")
+    part = lambda xs: spark.createDataFrame(list(zip(range(1, 7), xs)), "v long, comm long")
+    good, cross = part([1, 1, 1, 4, 4, 4]), part([1, 1, 3, 3, 5, 1])
+    t = evaluate.time_coherence(e, good).first()
+    assert (t.within, t.total, t.edges, t.ratio) == (0.0, 25.0, 6, 0.0)
+    s = evaluate.structure_coherence(e, good).first()
+    assert (s.communities, s.connected, s.inner_share) == (2, 2, 0.75)
+    s = evaluate.structure_coherence(e, cross).first()
+    assert (s.communities, s.connected) == (3, 2) and s.inner_share == pytest.approx(3 / 8)  # 6 touches neither 1 nor 2
+    got = {(r.a, r.b): (r.n, round(r.share, 6), r.splits) for r in evaluate.compare_partitions(good, cross).collect()}
+    assert got == {(1, 1): (2, 0.666667, 2), (1, 3): (1, 0.333333, 2), (4, 3): (1, 0.333333, 3), (4, 5): (1, 0.333333, 3), (4, 1): (1, 0.333333, 3)}
+
+
+def test_throughput_counts_shuffled_bytes(spark):
+    seen = evaluate.throughput(spark, 1000, lambda: spark.range(100_000).groupBy((F.col("id") % 1000).alias("k")).count())
+    assert seen["seconds"] > 0 and seen["edges_a_second"] == pytest.approx(1000 / seen["seconds"]) and seen["shuffled_bytes"] > 1000
+
+
+def test_cube_and_grouping_sets(spark):
+    e = spark.createDataFrame([(1, 2, 5.0), (2, 1, 7.0)], "src long, dst long, money double")
+    accounts, places = spark.createDataFrame([(1, 10), (2, 20)], "v long, nation_key int"), spark.createDataFrame([(10, "A"), (20, "B")], "nation_key int, region string")
+    got = {(r.payer, r.payee): (r.edges, float(r.money)) for r in drilldown.volume_cube(e, accounts, places).collect()}
+    assert got[None, None] == (2, 12.0) and got["A", None] == (1, 5.0) and got[None, "A"] == (1, 7.0) and len(got) == 7
+    levels = spark.createDataFrame([(1, 1, 2.0), (1, 0, 1.0), (2, 1, 3.0)], "mcs long, level int, psi double")
+    sets = {(r.mcs, r.level): (r.communities, r.top_psi) for r in drilldown.level_sets(levels).collect()}
+    assert sets == {(1, None): (2, 2.0), (2, None): (1, 3.0), (None, 1): (2, 3.0), (None, 0): (1, 1.0)}
+
+
 def test_agreement(spark):
     p = lambda xs: spark.createDataFrame(list(enumerate(xs)), "v long, comm long")
     same = evaluate.agreement(p([1, 1, 2, 2]), p([7, 7, 8, 8])).first()

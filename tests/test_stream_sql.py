@@ -1,5 +1,7 @@
 """Streams against batches, SQL access, readers."""
 
+import time
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -54,11 +56,61 @@ def test_running_profiles(spark, rows, tmp_path):
     assert sum(r.n_in for r in seen) == table.count() == sum(r.n_out for r in seen)
 
 
+def test_idle_accounts_leave_the_state(spark, tmp_path):
+    """An account that comes back after the idle time starts anew; one that stays keeps its totals."""
+    rows = [(0, 1, "2024-01-01"), (0, 1, "2024-01-02"), (5, 6, "2024-03-01"), (5, 6, "2024-03-02"), (0, 1, "2024-03-03"), (5, 6, "2024-03-03")]
+    for i, (a, b, day) in enumerate(rows):
+        spark.createDataFrame([(a, b, 1.0, float(i), day, i)], "src long, dst long, amount double, t_sec double, d string, tx_id long").selectExpr(
+            "src", "dst", "cast(amount as decimal(18,2)) amount", "t_sec", "cast(d as timestamp) ts", "cast(d as date) day", "tx_id").coalesce(1).write.mode("append").parquet(str(tmp_path / "in" / f"f{i:02d}"))
+    seen = []
+    stream = streaming.read_stream(spark, str(tmp_path / "in" / "*"), files_per_batch=1)
+    q = streaming.running_profiles(stream, "1 hour", 5 * 86_400).writeStream.outputMode("update").option("checkpointLocation", str(tmp_path / "c")).foreachBatch(lambda df, n: seen.extend(df.collect())).trigger(availableNow=True).start()
+    finish(q)
+    out = {v: [r.n_out for r in seen if r.v == v] for v in (0, 5)}
+    assert out == {0: [1, 2, 1], 5: [1, 2, 3]}
+
+
+def test_generated_stream(spark, tmp_path):
+    seen = []
+    q = streaming.windowed_edges(streaming.rate_stream(spark, 50, 20), "1 day").writeStream.outputMode("update").option("checkpointLocation", str(tmp_path)).foreachBatch(lambda df, n: seen.append(df.count())).start()
+    try:
+        for _ in range(120):
+            if sum(seen) > 0:
+                break
+            time.sleep(0.5)
+    finally:
+        q.stop()
+    assert sum(seen) > 0
+
+
+def test_period_and_sinks(spark, tmp_path):
+    rows = planted(spark, PERIOD, accounts=60, noise=300, rings=2)
+    part = Period("2024-01-03", "2024-01-05")
+    kept = ledger.in_period(rows, part)
+    want = rows.filter("ts >= '2024-01-03' AND ts < '2024-01-05'")
+    assert 0 < kept.count() == want.count() < rows.count()
+    assert kept.agg(F.min("t_sec") >= 0, F.max("t_sec") < 2 * 86_400).first()[:] == (True, True)
+    merged = graph.merge_transfers(rows)
+    spark.sql("DROP TABLE IF EXISTS edges_test")
+    ledger.write_edges(merged, "edges_test", 4)
+    try:
+        table = spark.table("edges_test")
+        assert table.count() == merged.count()
+        plan = table.groupBy("src").count()._jdf.queryExecution().executedPlan().toString()
+        assert "Exchange" not in plan
+    finally:
+        spark.sql("DROP TABLE edges_test")
+    ledger.write_results(merged.withColumn("level", F.col("src") % 3), str(tmp_path / "out"), "level")
+    assert sorted(p.name for p in (tmp_path / "out").iterdir() if p.is_dir()) == ["level=0", "level=1", "level=2"]
+    assert spark.read.parquet(str(tmp_path / "out")).count() == merged.count()
+
+
 def test_sql_views_and_functions(spark, rows):
     table = ledger.read_transfers(spark, rows)
     register(spark, table, PERIOD, Settings(screen=ScreenParams(2, 5000, 1, 0), louvain=LouvainParams(strategy="local")))
     n = spark.sql("SELECT count(*) FROM communities").first()[0]
     assert n > 0 and spark.sql("SELECT entropy_bits(array(2, 1, 1))").first()[0] == 1.5
+    assert spark.sql("SELECT entropy_of(x) FROM VALUES (1), (1), (2), (3) AS t(x)").first()[0] == 1.5
     levels = spark.sql("SELECT * FROM louvain_levels(TABLE(SELECT mcs, src, dst, w_e FROM edges) PARTITION BY mcs)")
     assert levels.select("v").distinct().count() == n
 
