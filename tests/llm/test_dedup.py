@@ -142,12 +142,17 @@ def brute_lines(texts, least=20, docs=3):
     return out
 
 
-@pytest.mark.parametrize("log2_bits", [16, 20, 27])
-def test_lines(documents, prose, log2_bits):
-    """Also with filters far too small for the corpus."""
-    got = {r.doc_id: (r.n_lines, r.n_dropped, r.kept_sha256) for r in line_dedup.drop_repeated_lines(documents(prose), log2_bits=log2_bits).collect()}
-    assert got == brute_lines(prose)
-    assert any(n for _, n, _ in got.values())
+@pytest.mark.parametrize("most, least, bits", [(28, 20, 8), (28, 16, 0), (10, 20, 8), (10, 20, 0)])
+def test_lines(documents, prose, most, least, bits, monkeypatch):
+    """With a filter that is sent and with filters by slice, also far too small ones."""
+    monkeypatch.setattr(line_dedup, "_LEAST_LOG2", least)
+    monkeypatch.setattr(line_dedup, "_BITS", bits)
+    monkeypatch.setattr(line_dedup, "_SLICE_LINES", 50)
+    docs = documents([*prose, prose[9]], [*range(len(prose)), None])
+    got = {r.doc_id: (r.n_lines, r.n_dropped, r.kept_sha256) for r in line_dedup.drop_repeated_lines(docs, most_log2_bits=most if bits else 28 if most == 28 else -1).collect()}
+    want = brute_lines([prose[9], *prose])  # the row without an id counts, and never keeps a line for itself
+    assert {i: x for i, x in got.items() if i is not None} == {i - 1: x for i, x in want.items() if i}
+    assert any(n for _, n, _ in got.values()) and got[None][1] == 0
 
 
 def brute_windows(texts, size=13, past=()):
