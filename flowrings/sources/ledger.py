@@ -85,10 +85,11 @@ def event(spark: SparkSession, sf_dir: str, period: Period) -> DataFrame:
     return found.filter("src <> dst")
 
 
-def similarity(spark: SparkSession, sf_dir: str, neighbours: int = 10, queries_every: int = 1) -> DataFrame:
+def similarity(spark: SparkSession, sf_dir: str, neighbours: int = 10, queries_every: int = 100) -> DataFrame:
     """Edges (src, dst, w) from each vector to its nearest by cosine; the classes are the truth.
 
-    A small auxiliary set: queries (every vector at ``queries_every`` = 1) meet all vectors in blocks.
+    The queries are a stated set, the vectors whose id ``queries_every`` divides; they meet all vectors, and
+    each task passes on its ``neighbours`` best for a query only (Spark limits ranks before the shuffle).
     """
     vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding")
     norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda s, x: s + x * x))
