@@ -158,8 +158,11 @@ def plain_rounds(pairs, kind, rule, hops, most=50, gain="exact"):
     return best, log, best_q
 
 
-@pytest.mark.parametrize("kind, rule, hops", [("flow", "smaller", "closure"), ("plain", "smaller", "closure"), ("flow", "undo", 1), ("plain", "undo", "closure"), ("flow", "smaller", 1)])
-@pytest.mark.parametrize("local_edges", [0, 10_000])
+#: By the one task (10,000 edges) and by jobs (0).
+ROUNDS = [("flow", "smaller", "closure", 0), ("plain", "undo", 1, 0), *((k, r, h, 10_000) for k in ("flow", "plain") for r in ("smaller", "undo") for h in (1, "closure"))]
+
+
+@pytest.mark.parametrize("kind, rule, hops, local_edges", ROUNDS)
 def test_synchronous_rounds_equal_plain_loops(spark, kind, rule, hops, local_edges):
     """One level by Spark jobs and by the one task against a plain search: the same labels, moves, swaps, followers."""
     rng = random.Random(21)
