@@ -244,7 +244,8 @@ def test_flushes_do_not_matter(spark, documents, prose, monkeypatch):
 def test_empty_tables(spark, documents):
     none = documents(["x"]).limit(0)
     index = substring_dedup.FingerprintIndex(spark, scratch_path(spark, "t-index"), 3)
-    for df in (exact_dedup.deduplicate_once(none), simhash.near_components(none), line_dedup.drop_repeated_lines(none), substring_dedup.remove_repeats(none, index)):
+    whole = substring_dedup.remove_repeats_in_batches(none, substring_dedup.FingerprintIndex(spark, scratch_path(spark, "t-index"), 3))
+    for df in (exact_dedup.deduplicate_once(none), simhash.near_components(none), line_dedup.drop_repeated_lines(none), substring_dedup.remove_repeats(none, index), whole):
         assert df.count() == 0
 
 
