@@ -191,11 +191,11 @@ def test_literal_swap_rule_sends_both_back(spark):
         without_swaps(moves_, "other")
 
 
-@pytest.mark.parametrize("change", [dict(repair="stage"), dict(damping=True), dict(gain="printed"), dict(delta_mode="recomputed"), dict(objective="inout"), dict(resolution=2.0)])
+@pytest.mark.parametrize("change", [dict(repair="stage", max_rounds=8, max_levels=2), dict(damping=True, max_rounds=8, max_levels=2), dict(gain="printed"), dict(delta_mode="recomputed"), dict(objective="inout"), dict(resolution=2.0)])
 def test_search_variants_partition_all_vertices(spark, change):
     pairs, truth = blocks(3, 3, 6)
     log = RoundLog()
-    p = LouvainParams(weight="w", strategy="sync", local_edges=0, max_rounds=100).but(**change)
+    p = LouvainParams(weight="w", strategy="sync", max_rounds=100).but(**change)
     got = {r.v: r.comm for r in detect_communities(frame(spark, pairs), p, log).collect()}
     assert set(got) == set(truth) and all(got[c] == c for c in got.values()) and 1 < len(set(got.values())) < len(truth)
     assert log.rows
