@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
+import sys
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -28,12 +31,30 @@ def map_rows(df: DataFrame, row: Callable, schema: str, columns: list[str]) -> D
     return df.select(*columns).mapInArrow(run, schema)
 
 
+def small_batches(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of at most ``rows``: what Python makes of the texts at once, or sends back, stays small."""
+    for batch in batches:
+        for start in range(0, batch.num_rows, rows):
+            yield batch.slice(start, rows)
+
+
+def give_back_memory() -> None:
+    """Return what a task has freed to the system: a Python worker outlives its task and idles beside later ones."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux" and hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
+        libc.malloc_trim(0)
+
+
 def keep_rows(df: DataFrame, test: Callable[[bytes | None], bool], text_col: str = "text") -> DataFrame:
     """The rows, with all their columns, whose text (as UTF-8 bytes) passes; nothing is shuffled."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield batch.filter(pa.array([test(raw) for (raw,) in byte_rows(batch, [text_col])], pa.bool_()))
+        try:
+            for batch in small_batches(batches):
+                yield batch.filter(pa.array([test(raw) for (raw,) in byte_rows(batch, [text_col])], pa.bool_()))
+        finally:
+            give_back_memory()
 
     return df.mapInArrow(run, df.schema)
 

@@ -19,7 +19,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from flowrings.llm.arrow import byte_rows, documents_view
+from flowrings.llm.arrow import byte_rows, documents_view, give_back_memory, small_batches
 
 _END = "</w>"
 _LATIN = regex.compile(r"[^\x00-ɏ]")
@@ -164,6 +164,11 @@ class WordTrie:
         for chunks in split:
             yield " ".join(map(self.ids.__getitem__, chunks)), " ".join(map(self.text.__getitem__, chunks))
 
+    def forget(self) -> None:
+        """Drop the known chunks and pairs; the vocabulary stays."""
+        self.ids, self.text, self.old_ids, self.old_text = {}, {}, {}, {}
+        self._follows = {}
+
     def encode(self, text: str) -> list[int]:
         return [int(x) for x in next(iter(self.encode_batch([text])))[0].split()]
 
@@ -188,22 +193,26 @@ def encode_documents(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", t
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder, sha = trie(vocabulary), lambda s: hashlib.sha256(s.encode()).hexdigest()
-        for batch in batches:
-            ids_in, texts = [], []
-            for doc_id, raw in byte_rows(batch, ["doc_id", "text"]):
-                ids_in.append(doc_id)
-                texts.append((raw or b"").decode())
-            out, numbers = [], []
-            for ids, text in coder.encode_batch(texts):
-                out.append((ids.count(" ") + 1 if ids else 0, sha(ids), sha(text)))
+        try:
+            for batch in small_batches(batches):
+                ids_in, texts = [], []
+                for doc_id, raw in byte_rows(batch, ["doc_id", "text"]):
+                    ids_in.append(doc_id)
+                    texts.append((raw or b"").decode())
+                out, numbers = [], []
+                for ids, text in coder.encode_batch(texts):
+                    out.append((ids.count(" ") + 1 if ids else 0, sha(ids), sha(text)))
+                    if keep_ids:
+                        numbers.append(np.fromstring(ids, np.int32, sep=" ") if ids else np.empty(0, np.int32))
+                n, ids_sha, text_sha = zip(*out) if out else ((), (), ())
+                arrays = [pa.array(c, t) for c, t in zip((ids_in, n, ids_sha, text_sha), kinds)]
                 if keep_ids:
-                    numbers.append(np.fromstring(ids, np.int32, sep=" ") if ids else np.empty(0, np.int32))
-            n, ids_sha, text_sha = zip(*out) if out else ((), (), ())
-            arrays = [pa.array(c, t) for c, t in zip((ids_in, n, ids_sha, text_sha), kinds)]
-            if keep_ids:
-                ends = np.concatenate([[0], np.cumsum(n, dtype=np.int64)]).astype(np.int32)
-                arrays.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(numbers) if numbers else np.empty(0, np.int32))))
-            yield pa.RecordBatch.from_arrays(arrays, names)
+                    ends = np.concatenate([[0], np.cumsum(n, dtype=np.int64)]).astype(np.int32)
+                    arrays.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(numbers) if numbers else np.empty(0, np.int32))))
+                yield pa.RecordBatch.from_arrays(arrays, names)
+        finally:
+            coder.forget()
+            give_back_memory()
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * keep_ids
     return documents_view(docs, id_col, text_col).mapInArrow(run, schema)
