@@ -14,6 +14,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 
 _OWN: list[str] = []
 
@@ -73,6 +74,16 @@ def release_shuffles(spark: SparkSession) -> None:
     spark._jvm.System.gc()
 
 
+def release_heaps(spark: SparkSession) -> None:
+    """Collect garbage in the executors' JVMs, one task a core.
+
+    A JVM keeps the heap that its busiest step needed until a full collection; beside the Python workers of a
+    later step it then counts against the executor's memory.  Where an executor gets no task, only its heap stays as it is.
+    """
+    slots = max(1, spark.sparkContext.defaultParallelism)
+    spark.range(0, slots, 1, slots).select(F.expr("reflect('java.lang.System', 'gc')")).collect()
+
+
 def drop_scratch(spark: SparkSession) -> None:
     """Delete everything this engine has left in the scratch folder of the session."""
     _delete(spark, f"{scratch_root(spark)}/flowrings")

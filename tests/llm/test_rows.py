@@ -44,3 +44,16 @@ def test_decontaminate_paths_agree_on_null_and_repeated_ids(spark, documents):
     items = spark.createDataFrame([(0, bench)], "item_id long, text string")
     by = [sorted(map(str, decontaminate.decontaminate(docs, items, **kw).collect())) for kw in ({}, {"broadcast_bytes": 0})]
     assert by[0] == by[1] and sum("contaminated=True" in r for r in by[0]) == 2
+
+
+def test_stages_start_after_heaps_are_given_back(spark, documents):
+    import corpus_pipeline as p
+
+    docs, runtime = documents(["a b"]), spark._jvm.java.lang.Runtime.getRuntime()
+    spark._jvm.System.gc()
+    before = runtime.totalMemory()
+    spark.range(0, 4, 1, 4).selectExpr("length(repeat(cast(id AS string), 250000000))").collect()  # an earlier stage's
+    grown = runtime.totalMemory()
+    assert grown > before + 200_000_000
+    p.STAGES[-1][1](spark, docs, "")
+    assert runtime.totalMemory() < grown - 200_000_000
