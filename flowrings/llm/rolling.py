@@ -8,15 +8,17 @@ import zstandard
 _MIX, _END = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 
 
-def grams(a: np.ndarray, k: int) -> np.ndarray:
-    """A 64-bit hash of each run of k word hashes."""
+def grams(a: np.ndarray, k: int, at: np.ndarray | None = None) -> np.ndarray:
+    """A 64-bit hash of each run of k word hashes, or of those that start ``at`` given places."""
     n = len(a) - k + 1
     if n <= 0:
         return np.empty(0, np.uint64)
-    out = np.zeros(n, np.uint64)
+    if at is not None and 3 * len(at) > n:
+        return grams(a, k)[at]
+    out = np.zeros(n if at is None else len(at), np.uint64)
     for i in range(k):
         out *= _MIX
-        out += a[i : i + n]
+        out += a[i : i + n] if at is None else a[at + i]
     out ^= out >> np.uint64(29)
     out *= _END
     out ^= out >> np.uint64(32)

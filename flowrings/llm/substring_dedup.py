@@ -35,6 +35,13 @@ _BLOCKS = "slice int, kind int, block binary"
 #: A block of a run: its slice, its least fingerprint (``_ordered``) and its number of postings.
 _RUN = "slice int, least long, n long, block binary"
 _FLUSH, _CHUNK = 1_000_000, 10_000
+#: Bytes of text whose words are hashed at once: arrays of some 200,000 words.
+_TEXT_BYTES = 1 << 20
+# Odd constants of the two word hashes, and masks for the first 0 to 8 bytes of a number.
+_MIXES = tuple((np.uint64(c), np.uint64(e)) for c, e in ((0x9FB21C651E98DF25, 0xD6E8FEB86659FD93), (0xC2B2AE3D27D4EB4F, 0xFF51AFD7ED558CCD)))
+_MASKS = np.array([(1 << 8 * i) - 1 for i in range(9)], np.uint64)
+#: Longer words, in bytes, are hashed one by one.
+_LONG_WORD = 64
 #: Postings that a slice holds on average before compaction doubles the number of slices.
 _SLICE_POSTINGS = 4_000_000
 #: Suspect postings for each slice of the windows that are verified: some 100,000 windows, so that blocks stay large.
@@ -147,11 +154,70 @@ def _merged_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         yield from cut(now, *(np.concatenate(x) for x in zip(ready, waiting)), True)
 
 
-def words_and_hashes(raw: bytes) -> tuple[list[bytes], np.ndarray, np.ndarray]:
-    """The words and both halves of their 128-bit hashes."""
-    words = raw.split()
-    both = np.frombuffer(b"".join(map(xxhash.xxh3_128_digest, words)), np.uint64).reshape(-1, 2)
-    return words, both[:, 0], both[:, 1]
+def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of texts without nulls: where each one's words start (one bound more than texts), and both halves of the words' 128-bit hashes.
+
+    All words are found and hashed at once, in rounds of 8 bytes.  In a round both halves take the bytes through
+    one-to-one mixing with constants of their own, so words of one length up to 8 bytes never share a half.
+    """
+    ends = np.frombuffer(texts.buffers()[1], np.int32)[texts.offset : texts.offset + len(texts) + 1].astype(np.int64)
+    size = int(ends[-1] - ends[0])
+    raw = np.full(size + 8, 32, np.uint8)
+    if size:
+        raw[:size] = np.frombuffer(texts.buffers()[2], np.uint8)[ends[0] : ends[-1]]
+    ends -= ends[0]
+    edge = np.zeros(size + 1, bool)
+    edge[ends] = True
+    solid = (raw != 32) & ((raw < 9) | (raw > 13))
+    start = np.flatnonzero(solid[:size] & (edge[:size] | ~np.append(False, solid[: max(size - 1, 0)])[:size]))
+    n = np.flatnonzero(solid[:size] & (edge[1:] | ~solid[1 : size + 1])) + 1 - start
+    eights = np.ndarray(size + 1, np.uint64, raw, strides=(1,))
+    halves = [(n.astype(np.uint64) + np.uint64(1)) * c for c, _ in _MIXES]
+    live, at = slice(None), start
+    for done in range(0, _LONG_WORD, 8):
+        if not len(at):
+            break
+        x = eights[at + done] & _MASKS[np.minimum(n[live] - done, 8)]
+        for h, (c, e) in zip(halves, _MIXES):
+            y = (h[live] ^ x) * c
+            y ^= y >> np.uint64(32)
+            y *= e
+            y ^= y >> np.uint64(29)
+            h[live] = y
+        live = np.flatnonzero(n > done + 8) if done == 0 else live[n[live] > done + 8]
+        at = start[live]
+    for i in np.flatnonzero(n > _LONG_WORD).tolist():
+        for h, x in zip(halves, np.frombuffer(xxhash.xxh3_128_digest(raw[start[i] : start[i] + n[i]].tobytes()), np.uint64)):
+            h[i] = x
+    return start.searchsorted(ends), *halves
+
+
+def _few_texts(batches: Iterator[pa.RecordBatch], most: int = _TEXT_BYTES) -> Iterator[tuple[pa.RecordBatch, pa.Array]]:
+    """Rows that have a doc_id, and their texts without nulls, in batches of some ``most`` bytes; a longer text is a batch of its own."""
+    for batch in batches:
+        named = batch.column(batch.schema.get_field_index("doc_id")).is_valid()
+        batch = batch.filter(named) if named.false_count else batch
+        texts = batch.column(batch.schema.get_field_index("text")).cast(pa.binary())
+        texts = texts.fill_null(b"") if texts.null_count else texts
+        if not len(texts):
+            continue
+        ends, start = np.frombuffer(texts.buffers()[1], np.int32)[texts.offset : texts.offset + len(texts) + 1], 0
+        while start < len(texts):
+            stop = max(start + 1, int(ends.searchsorted(int(ends[start]) + most, "right")) - 1)
+            yield batch.slice(start, stop - start), texts.slice(start, stop - start)
+            start = stop
+
+
+def _window_runs(bounds: np.ndarray, a: np.ndarray, window: int, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of the texts' windows: the first words of runs that share one fingerprint, these fingerprints, and the length of each run."""
+    least = sliding_min(grams(a, k), window - k + 1)
+    row = np.repeat(np.arange(len(bounds) - 1, dtype=np.int32), np.diff(bounds))
+    row, inside = row[: len(least)], row[: len(least)] == row[window - 1 :]
+    change = np.append(True, (least[1:] != least[:-1]) | (row[1:] != row[:-1]) | (inside[1:] != inside[:-1]))[: len(least)]
+    first = np.flatnonzero(change)
+    length = np.diff(np.append(first, len(least)))
+    own = inside[first]
+    return first[own], least[first[own]], length[own]
 
 
 def _blocks(keys: np.ndarray, heads: np.ndarray, columns: list[np.ndarray], slices: int, salt: int) -> pa.RecordBatch:
@@ -178,28 +244,26 @@ def _fingerprint_blocks(window: int, k: int, slices: int) -> Callable:
         h, d = np.concatenate(hs), np.concatenate(ds)
         order = np.lexsort((d, h))
         h, d = h[order], d[order]
+        other = np.append(True, (h[1:] != h[:-1]) | (d[1:] != d[:-1]))
+        h, d = h[other], d[other]
         first = np.append(True, h[1:] != h[:-1])
         group = np.cumsum(first) - 1
         last = d[np.append(np.flatnonzero(first)[1:], len(h)) - 1]
         several = (last[group] != d[first][group]).astype(np.int64)
-        heads = d == d[first][group]
-        return _blocks(h, heads & first, [d, several], slices, int(h[len(h) // 2] % np.uint64(slices)))
+        return _blocks(h, first, [d, several], slices, int(h[len(h) // 2] % np.uint64(slices)))
 
     def run(batches):
         hs, ds, n = [], [], 0
-        for batch in batches:
-            for doc_id, raw in byte_rows(batch, ["doc_id", "text"]):
-                if doc_id is None or not raw:
-                    continue
-                _, a, _ = words_and_hashes(raw)
-                u = np.unique(sliding_min(grams(a, k), window - k + 1))
-                if len(u):
-                    hs.append(u)
-                    ds.append(np.full(len(u), doc_id, np.int64))
-                    n += len(u)
-                if n >= _FLUSH:
-                    yield flush(hs, ds)
-                    hs, ds, n = [], [], 0
+        for batch, texts in _few_texts(batches):
+            bounds, a, _ = word_hashes(texts)
+            at, h, _ = _window_runs(bounds, a, window, k)
+            if len(h):
+                hs.append(h)
+                ds.append(_longs(batch, "doc_id")[bounds.searchsorted(at, "right") - 1])
+                n += len(h)
+            if n >= _FLUSH:
+                yield flush(hs, ds)
+                hs, ds, n = [], [], 0
         if n:
             yield flush(hs, ds)
 
@@ -269,35 +333,56 @@ def _window_blocks(window: int, k: int, slices: int) -> Callable:
     """Sorted entries (both halves of the window's digest, position, document, 1 if already indexed) of suspect windows."""
 
     def flush(parts):
-        w, c, at, d, old = (np.concatenate(x) for x in zip(*parts))
-        order = np.lexsort((at, d, 1 - old, c, w))
-        w, c, at, d, old = w[order], c[order], at[order], d[order], old[order]
-        group, first = _groups(w, c)
-        heads = (d == d[first][group]) & (old == old[first][group])
+        w, c, at, d, old, group, first = _by_digest(parts)
+        known = np.maximum.reduceat(old, first)[group]
+        least = np.minimum.reduceat(np.where(old == known, d, np.iinfo(np.int64).max), first)[group]
+        heads = (old == known) & (d == least)
         keep = heads | (old == 0)
         return _blocks(w[keep], heads[keep], [c[keep].view(np.int64), at[keep], d[keep], old[keep]], slices, int(w[len(w) // 2] % np.uint64(slices)))
 
     def run(batches):
         parts, n = [], 0
-        for batch in batches:
-            hs_col = batch.column(batch.schema.get_field_index("hs"))
-            for i, (doc_id, raw, old) in enumerate(byte_rows(batch, ["doc_id", "text", "old"])):
-                _, a, b = words_and_hashes(raw or b"")
-                hs = np.sort(hs_col[i].values.to_numpy().view(np.uint64))
-                least = sliding_min(grams(a, k), window - k + 1)
-                at = np.flatnonzero(hs[np.minimum(hs.searchsorted(least), len(hs) - 1)] == least)
-                if len(at):
-                    parts.append((grams(a, window)[at], grams(b, window)[at], at, np.full(len(at), doc_id, np.int64), np.full(len(at), int(old), np.int64)))
-                    n += len(at)
-                if n >= _FLUSH:
-                    yield flush(parts)
-                    parts, n = [], 0
+        for batch, texts in _few_texts(batches):
+            bounds, a, b = word_hashes(texts)
+            at, h, length = _window_runs(bounds, a, window, k)
+            row = bounds.searchsorted(at, "right") - 1
+            hs = batch.column(batch.schema.get_field_index("hs"))
+            # A fingerprint of another row may seem to be one of this row's: the window is then verified for nothing.
+            tag = lambda h, row: h + row.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+            asked = np.sort(tag(hs.flatten().to_numpy().view(np.uint64), np.repeat(np.arange(len(hs)), hs.value_lengths().to_numpy())))
+            found = tag(h, row)
+            hit = asked[np.minimum(asked.searchsorted(found), len(asked) - 1)] == found if len(asked) else np.zeros(len(h), bool)
+            at, row, length = at[hit], row[hit], length[hit]
+            if len(at):
+                row = np.repeat(row, length)
+                at = np.repeat(at - np.cumsum(length) + length, length) + np.arange(len(row))
+                parts.append((grams(a, window, at), grams(b, window, at), at - bounds[row], _longs(batch, "doc_id")[row], _longs(batch, "old")[row]))
+                n += len(at)
+            if n >= _FLUSH:
+                yield flush(parts)
+                parts, n = [], 0
         if n:
             yield flush(parts)
 
     return run
 
 
+def _longs(batch: pa.RecordBatch, name: str) -> np.ndarray:
+    return batch.column(batch.schema.get_field_index(name)).cast(pa.int64()).to_numpy()
+
+
+def _by_digest(parts: list[tuple]) -> tuple[np.ndarray, ...]:
+    """Entries (both halves, position, document, old) sorted by digest, the group of each, and where groups start."""
+    w, c, at, d, old = (np.concatenate(x) for x in zip(*parts))
+    c = c.view(np.uint64)
+    order = np.argsort(w, kind="stable")
+    same = np.flatnonzero(w[order[1:]] == w[order[:-1]])
+    if (c[order[same]] != c[order[same + 1]]).any():  # digests that have only one half in common
+        order = np.lexsort((c, w))
+    w, c, at, d, old = w[order], c[order], at[order], d[order], old[order]
+    return w, c, at, d, old, *_groups(w, c)
+
+
 def _groups(w: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Of sorted digests: the number of the group of each, and where each group starts."""
     first = np.append(True, (w[1:] != w[:-1]) | (c[1:] != c[:-1]))
@@ -311,11 +396,8 @@ def _merge_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         return pa.RecordBatch.from_arrays([pa.array(d), pa.array(at.astype(np.int32))], ["doc_id", "start"])
 
     def merge(parts):
-        w, c, at, d, old = (np.concatenate(x) for x in zip(*parts))
-        order = np.lexsort((d, 1 - old, c, w))
-        w, c, at, d, old = w[order], c[order], at[order], d[order], old[order]
-        group, first = _groups(w, c)
-        lost = (old == 0) & ((d != d[first][group]) | (old[first][group] == 1))
+        _, _, at, d, old, group, first = _by_digest(parts)
+        lost = (old == 0) & ((np.maximum.reduceat(old, first)[group] == 1) | (d != np.minimum.reduceat(d, first)[group]))
         return rows(d[lost], at[lost])
 
     now, parts = None, []

@@ -6,6 +6,7 @@ import re
 from collections import defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 
@@ -234,6 +235,37 @@ def test_long_texts_and_repeated_rows(spark, documents):
     assert sorted((r.doc_id, r.n_lines, r.n_dropped) for r in lines) == [(1, 2, 1), (2, 2, 1), (3, 1, 0), (3, 2, 0)]
 
 
+def test_words_are_hashed_at_once(prose, monkeypatch):
+    """The words that bytes.split finds, equal hashes for equal words only, and no call for each word of usual length."""
+    calls, digest = [], xxhash.xxh3_128_digest
+    monkeypatch.setattr(substring_dedup.xxhash, "xxh3_128_digest", lambda word: calls.append(word) or digest(word))
+    odd = ["", " a\tb  c ", "", "\xa0z\x1cq\x85 é", "cd \x0b\x0c\r\n", "abcdefgh abcdefghi abcdefghabcdefgh", *(n * "w" for n in (7, 8, 9, 16, 17, 63, 64)), 65 * "w" + " " + 70 * "é"]
+    texts = pa.array([(t or "").encode() for t in odd + prose])
+    for part in (texts, texts.slice(2), texts.slice(3, 4), texts.slice(0, 1), texts.slice(0, 0)):
+        words = [t.split() for t in part.to_pylist()]
+        bounds, a, b = substring_dedup.word_hashes(part)
+        assert np.diff(bounds).tolist() == list(map(len, words))
+        flat = [w for ws in words for w in ws]
+        assert len(a) == len(b) == len(flat)
+        for half in (a, b):
+            known = dict(zip(flat, half.tolist()))
+            assert [known[w] for w in flat] == half.tolist() and len(set(known.values())) == len(known)
+    assert set(calls) == {65 * b"w", 70 * "é".encode()}
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(prose))), pa.array(prose)], ["doc_id", "text"])
+    calls.clear()
+    assert sum(b.num_rows for b in substring_dedup._fingerprint_blocks(13, 5, 4)([batch])) and not calls
+
+
+def test_texts_come_in_batches_of_bytes(prose):
+    ids = [None if i % 5 == 0 else i for i in range(len(prose))]
+    batch = pa.RecordBatch.from_arrays([pa.array(ids), pa.array(prose)], ["doc_id", "text"])
+    for most in (1, 300, 1 << 20):
+        parts = list(substring_dedup._few_texts([batch.slice(0, 0), batch.slice(3)], most))
+        got = [(i, t) for b, texts in parts for i, t in zip(b.column(0).to_pylist(), texts.to_pylist())]
+        assert got == [(i, (t or "").encode()) for i, t in list(zip(ids, prose))[3:] if i is not None]
+        assert all(len(texts) == 1 or sum(map(len, texts.to_pylist())) <= most for _, texts in parts)
+
+
 def test_flushes_do_not_matter(spark, documents, prose, monkeypatch):
     monkeypatch.setattr(substring_dedup, "_FLUSH", 50)
     monkeypatch.setattr(substring_dedup, "_CHUNK", 7)
